@@ -3,17 +3,22 @@
 from __future__ import annotations
 
 from splitcount.llm.bestfit_packing import op5_bestfit_packing
+from splitcount.llm.line_dedup import OP6_SQL, op6_line_dedup
+from splitcount.llm.quality_rules import op1_quality_rules
 from splitcount.llm.secret_scan import op3_secret_scan
 from splitcount.llm.simhash_dedup import op9_simhash_dedup
 from splitcount.llm.topk_search import OP4_SQL, op4_topk_search
 
 QUERIES = {
+    "op1_quality_rules": op1_quality_rules,
     "op3_secret_scan": op3_secret_scan,
     "op4_topk_search": op4_topk_search,
     "op5_bestfit_packing": op5_bestfit_packing,
+    "op6_line_dedup": op6_line_dedup,
     "op9_simhash_dedup": op9_simhash_dedup,
 }
 
 ORACLES: dict[str, str] = {
     "op4_topk_search": OP4_SQL,
+    "op6_line_dedup": OP6_SQL,
 }
