@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from splitcount.llm.bestfit_packing import op5_bestfit_packing
+from splitcount.llm.language_mix import op2_language_mix
 from splitcount.llm.line_dedup import OP6_SQL, op6_line_dedup
 from splitcount.llm.quality_rules import op1_quality_rules
 from splitcount.llm.secret_scan import op3_secret_scan
@@ -11,6 +12,7 @@ from splitcount.llm.topk_search import OP4_SQL, op4_topk_search
 
 QUERIES = {
     "op1_quality_rules": op1_quality_rules,
+    "op2_language_mix": op2_language_mix,
     "op3_secret_scan": op3_secret_scan,
     "op4_topk_search": op4_topk_search,
     "op5_bestfit_packing": op5_bestfit_packing,
