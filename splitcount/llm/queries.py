@@ -9,6 +9,7 @@ from splitcount.llm.quality_rules import op1_quality_rules
 from splitcount.llm.secret_scan import op3_secret_scan
 from splitcount.llm.simhash_dedup import op9_simhash_dedup
 from splitcount.llm.topk_search import OP4_SQL, op4_topk_search
+from splitcount.llm.toxicity import op10_toxicity
 
 QUERIES = {
     "op1_quality_rules": op1_quality_rules,
@@ -18,6 +19,7 @@ QUERIES = {
     "op5_bestfit_packing": op5_bestfit_packing,
     "op6_line_dedup": op6_line_dedup,
     "op9_simhash_dedup": op9_simhash_dedup,
+    "op10_toxicity": op10_toxicity,
 }
 
 ORACLES: dict[str, str] = {
