@@ -17,8 +17,10 @@ gives no rows.
 from __future__ import annotations
 
 import os
+import re
 import zlib
 from collections.abc import Iterator
+from itertools import chain
 
 import numpy as np
 import pandas as pd
@@ -37,31 +39,71 @@ def default_tokenizer() -> str:
     return public_tokenizers.path("word_bpe_49k.json")
 
 
+class _Places(dict):
+    """Numbers words in the order they are first asked for, and lists the new ones."""
+
+    def __init__(self, words: list[bytes]):
+        super().__init__(zip(words, range(len(words)), strict=True))
+        self.new: list[bytes] = []
+
+    def __missing__(self, word: bytes) -> int:
+        self.new.append(word)
+        self[word] = at = len(self)
+        return at
+
+
 class WordIds:
-    """Ids of white-space-free words, kept in one pool; starts anew at ``limit`` words."""
+    """Ids of white-space-free words, kept in one pool.
+
+    At ``limit`` words the table keeps those met again since it was last thinned.  A new word of plain
+    Latin text is lower-cased and cut as the tokenizer does, and its parts are looked up in turn; any
+    other word goes to the tokenizer whole.
+    """
+
+    #: Words whose normal form and cuts need no more than ASCII and the Latin-1 letters.
+    _PLAIN = re.compile(r"(?!.*<\|)[\x21-\x7e\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff]+")
+    #: The tokenizer's own cuts, for such lower-cased words.
+    _CUTS = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-z\u00df-\u00f6\u00f8-\u00ff]+|[0-9]|[^a-z0-9\u00df-\u00f6\u00f8-\u00ff]+")
 
-    def __init__(self, path: str, limit: int = 400_000):
+    def __init__(self, path: str, limit: int = 700_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
         self.tok, self.limit = Tokenizer.from_file(path), limit
-        self.clear()
-
-    def clear(self) -> None:
-        self.at: dict[bytes, int] = {}
-        self.off, self.len = np.zeros(1, np.int64), np.zeros(0, np.int64)
-        self.pool = np.zeros(0, np.uint32)
-
-    def learn(self, words: list[bytes]) -> None:
-        if len(self.at) + len(words) > self.limit:
-            self.clear()
-        got = [e.ids for e in self.tok.encode_batch([w.decode("utf-8", "replace") for w in words], add_special_tokens=False)]
-        base = len(self.at)
-        self.at.update(zip(words, range(base, base + len(words)), strict=True))
+        self.parts: dict[str, tuple[int, ...]] = {}
+        self._keep([])
+
+    def _keep(self, words: list[bytes]) -> None:
+        old = [self.at[w] for w in words]
+        n = self.len[old] if words else np.zeros(0, np.int64)
+        ends = np.cumsum(n)
+        self.pool = self.pool[np.repeat(self.off[old] - ends + n, n) + np.arange(n.sum())] if words else np.zeros(0, np.uint32)
+        self.at = _Places(words)
+        self.len, self.off = n, np.append(0, ends)
+        self.uses = np.zeros(len(words), np.int32)
+
+    def _encode(self, words: list[str]) -> list[list[int]]:
+        return [e.ids for e in self.tok.encode_batch_fast(words, add_special_tokens=False)]
+
+    def _ids_of(self, words: list[bytes]) -> list[tuple[int, ...] | list[int]]:
+        text = [w.decode("utf-8", "replace") for w in words]
+        cuts = [self._CUTS.findall(t.lower()) if self._PLAIN.fullmatch(t) else None for t in text]
+        if len(self.parts) > self.limit:
+            self.parts.clear()
+        parts = self.parts
+        new = sorted({p for c in cuts if c for p in c if p not in parts})
+        parts.update(zip(new, map(tuple, self._encode(new)), strict=True))
+        odd = iter(self._encode([t for t, c in zip(text, cuts, strict=True) if c is None]))
+        return [next(odd) if c is None else parts[c[0]] if len(c) == 1 else [i for p in c for i in parts[p]] for c in cuts]
+
+    def _learn(self) -> None:
+        got = self._ids_of(self.at.new)
+        self.at.new = []
         n = np.fromiter(map(len, got), np.int64, len(got))
         self.len = np.concatenate((self.len, n))
         self.off = np.concatenate((self.off, self.off[-1] + np.cumsum(n)))
-        self.pool = np.concatenate((self.pool, np.fromiter((i for g in got for i in g), np.uint32, int(n.sum()))))
+        self.uses = np.concatenate((self.uses, np.zeros(len(got), np.int32)))
+        self.pool = np.concatenate((self.pool, np.fromiter(chain.from_iterable(got), np.uint32, int(n.sum()))))
 
     def ids(self, texts: list[str]) -> Iterator[np.ndarray]:
         """Ids per text; texts are taken in groups so that a group's new words are encoded together."""
@@ -70,20 +112,19 @@ class WordIds:
         for t in texts:
             group.append(t.encode("utf-8", "replace").split())
             size += len(group[-1])
-            if size > 200_000:
+            if size > 400_000:
                 yield from self._group(group)
                 group, size = [], 0
         yield from self._group(group)
 
     def _group(self, group: list[list[bytes]]) -> Iterator[np.ndarray]:
-        new = set().union(*group).difference(self.at) if group else ()
-        if new:
-            words = sorted(new)
-            if len(self.at) + len(words) > self.limit:
-                words = sorted(set().union(*group))
-            self.learn(words)
-        for words in group:
-            at = np.fromiter(map(self.at.__getitem__, words), np.int64, len(words))
+        if len(self.at) > self.limit:
+            uses = self.uses.tolist()
+            self._keep([w for w, k in self.at.items() if uses[k] > 1])
+        places = [np.fromiter(map(self.at.__getitem__, words), np.int64, len(words)) for words in group]
+        self._learn()
+        for at in places:
+            self.uses[at] += 1
             n = self.len[at]
             ends = np.cumsum(n)
             total = int(ends[-1]) if len(n) else 0
