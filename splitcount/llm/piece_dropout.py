@@ -31,6 +31,8 @@ from splitcount.llm.common import text_of
 
 _SPACE = "▁"
 _NEVER = float("inf")
+#: Odd multipliers of the keyed hash.
+_MIX_A, _MIX_B, _MIX_C = 0x9E3779B1, 0x85EBCA6B, 0x2C1B3C6D
 _UNITS = re.compile(f" +[^ \\n{_SPACE}]*|[^ \\n{_SPACE}]+|[\\n{_SPACE}]")
 
 
@@ -43,7 +45,7 @@ def default_model() -> str:
 class Pieces:
     """Vocabulary, encoder and decoder of one model file."""
 
-    def __init__(self, path: str, rate: float = 0.1, seed: int = 2024, limit: int = 450_000):
+    def __init__(self, path: str, rate: float = 0.1, seed: int = 2024, limit: int = 400_000):
         import sentencepiece
 
         sp = sentencepiece.SentencePieceProcessor(model_file=path)
@@ -71,21 +73,15 @@ class Pieces:
         if not text:
             return array("I", [self.byte[b] for b in _SPACE.encode()]).tobytes()
         key = zlib.crc32(unit.encode("utf-8", "replace"), self.seed * 64 + variant & 0xFFFFFFFF) if self.below else 0
-        out: list[int] = []
-        for sym in self._short(text, key) if len(text) <= 48 else self._long(text, key):
-            got = self.ids.get(sym)
-            if got is None:
-                out += [self.byte[x] for x in sym.encode("utf-8", "replace")]
-            else:
-                out.append(got)
+        syms = self._short(text, key) if len(text) <= 48 else self._long(text, key)
+        out = list(map(self.ids.get, syms))
+        if None in out:
+            out = [i for x, got in zip(syms, out, strict=True) for i in ([self.byte[c] for c in x.encode("utf-8", "replace")] if got is None else (got,))]
         return array("I", out).tobytes()
 
     def _skipped(self, key: int, place: int, order: float) -> bool:
         """Keyed hash of the candidate, in 32 bits, against the rate."""
-        h = (key ^ (place * 0x9E3779B1 + int(order) * 0x85EBCA6B)) & 0xFFFFFFFF
-        h = ((h ^ h >> 15) * 0x2C1B3C6D) & 0xFFFFFFFF
-        h = ((h ^ h >> 12) * 0x297A2D39) & 0xFFFFFFFF
-        return h ^ h >> 15 < self.below
+        return ((key ^ (place * _MIX_A ^ int(order) * _MIX_B)) * _MIX_C >> 8 & 0xFFFFFFFF) < self.below
 
     def _short(self, text: str, key: int) -> list[str]:
         """The agenda as a list of the neighbours' orders; the smallest, leftmost one is next."""
@@ -97,14 +93,14 @@ class Pieces:
             if best == _NEVER:
                 break
             i = agenda.index(best)
-            if below and self._skipped(key, starts[i], best):
+            if below and ((key ^ (starts[i] * _MIX_A ^ int(best) * _MIX_B)) * _MIX_C >> 8 & 0xFFFFFFFF) < below:
                 agenda[i] = _NEVER
                 continue
-            piece = syms[i] + syms[i + 1]
-            syms[i] = piece
-            del syms[i + 1], starts[i + 1], agenda[i]
-            if i < len(agenda):
-                agenda[i] = get(piece + syms[i + 1], _NEVER)
+            j = i + 1
+            syms[i] = piece = syms[i] + syms[j]
+            del syms[j], starts[j], agenda[i]
+            if j < len(syms):
+                agenda[i] = get(piece + syms[j], _NEVER)
             if i:
                 agenda[i - 1] = get(syms[i - 1] + piece, _NEVER)
         return syms
@@ -177,7 +173,7 @@ def variant_of(doc_id: int | None, seed: int, variants: int) -> int:
     return zlib.crc32(f"{seed} {doc_id}".encode()) % variants
 
 
-def encode_table(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rate: float = 0.1, seed: int = 2024, variants: int = 4, model: str | None = None) -> DataFrame:
+def encode_table(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rate: float = 0.1, seed: int = 2024, variants: int = 2, model: str | None = None) -> DataFrame:
     """(doc_id, ids): piece ids of every text."""
     path = model or default_model()
 
@@ -202,7 +198,7 @@ def decode_table(encoded: DataFrame, id_col: str = "doc_id", ids_col: str = "ids
     return encoded.select(F.col(id_col).cast("long").alias("i"), F.col(ids_col).alias("x")).mapInPandas(run, "doc_id long, text string")
 
 
-def digest(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rate: float = 0.1, seed: int = 2024, variants: int = 4, model: str | None = None) -> DataFrame:
+def digest(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rate: float = 0.1, seed: int = 2024, variants: int = 2, model: str | None = None) -> DataFrame:
     """(doc_id, n_ids, ids_crc32, lossless): encoded, and decoded again, without moving the ids."""
     path = model or default_model()
 
