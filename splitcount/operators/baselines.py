@@ -3,6 +3,7 @@ smallest hashes, averages of registers, lossy offsets, and the built-in aggregat
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -89,8 +90,6 @@ def bitmatrix_coded(rows: DataFrame, keys: list[str], p: int) -> DataFrame:
 
     The estimate inverts the expected number of ones; bits are m times the summed column entropies.
     """
-    import pandas as pd
-
     m = registers_of(p)
     bits = bit_rows(rows, keys)
     cells = bits.select(*keys, F.explode(F.sequence(F.lit(1), F.lit(63))).alias("k"), "bits").where(F.expr("getbit(bits, k - 1) = 1"))

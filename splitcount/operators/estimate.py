@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -118,8 +119,6 @@ def likelihood_of(values: dict[int, int], p: int) -> float:
 
 def likelihood(hist: DataFrame, keys: list[str], p: int) -> DataFrame:
     """(keys.., v, est) by maximum likelihood; an Arrow function over at most 64 entries per group."""
-    import pandas as pd
-
     @F.pandas_udf("double")
     def solve(col: pd.Series) -> pd.Series:
         return col.map(lambda es: likelihood_of({int(e["r"]): int(e["c"]) for e in es}, p))

@@ -1 +1 @@
-
+"""Choice between physical forms, and checks on plans."""

@@ -1 +1 @@
-
+"""Stored sketch tables and generated input."""

@@ -1 +1 @@
-
+"""Sketches over streams."""
