@@ -212,7 +212,8 @@ def merge(sketches: list[Sketch]) -> Sketch:
         at = s.entries >> VALUE_BITS
         regs[at] = np.maximum(regs[at], s.entries & (1 << VALUE_BITS) - 1)
     start = Sketch.from_registers(regs, first.kappa, top, hash_id=first.hash_id, seed=first.seed, variant=first.variant)
-    return start.compress()
+    # The smallest-base variant keeps its rule; all others search the base once, in full.
+    return start.rebase(int(regs.min())) if first.variant == "min" else start.compress()
 
 
 def _dense_mask(s: Sketch) -> np.ndarray:
