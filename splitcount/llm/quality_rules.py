@@ -176,8 +176,11 @@ def vote_patterns(counts: DataFrame, rules: tuple[Rule, ...] = RULES) -> list[tu
     return sorted((tuple(r[:-1]), r[-1]) for r in got)
 
 
-def judge(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rules: tuple[Rule, ...] = RULES, threshold: float = 0.5) -> DataFrame:
-    """Counts, ``base_failed``, ``quality`` (posterior, 6 decimals) and ``kept`` per row."""
+def judge(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rules: tuple[Rule, ...] = RULES, threshold: float = 0.25) -> DataFrame:
+    """Counts, ``base_failed``, ``quality`` (posterior, 6 decimals) and ``kept`` per row.
+
+    The threshold rejects what is at least three times as likely bad as good.
+    """
     counts = cut(text_counts(docs, id_col, text_col))
     model = fit_votes(vote_patterns(counts, rules), len(rules))
     failed = (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
