@@ -81,10 +81,27 @@ def suffix_levels(lines: DataFrame, max_level: int | None = None) -> list[DataFr
 
 def repeated_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_words: int = 5, min_lines: int = 4) -> DataFrame:
     """(d, t, gone): per document with deletions, the sorted places (from 0, all lines) that go."""
+    return lines_to_delete(suffix_levels(line_table(docs, id_col, text_col), _top(min_lines)), min_words, min_lines)
+
+
+def _top(min_lines: int) -> int:
     if min_lines & (min_lines - 1) or min_lines < 1:
         raise ValueError("min_lines must be a power of two")
-    top = min_lines.bit_length() - 1
-    levels = suffix_levels(line_table(docs, id_col, text_col), top)
+    return min_lines.bit_length() - 1
+
+
+def longest_runs(levels: list[DataFrame]) -> DataFrame:
+    """(d, t, longest_run): the largest power of two so that as many lines in a row occur earlier."""
+    parts = [x.where("later").select("d", "t", F.lit(1 << k).cast("long").alias("run")) for k, x in enumerate(levels)]
+    every = parts[0]
+    for x in parts[1:]:
+        every = every.unionByName(x)
+    return every.groupBy("d", "t").agg(F.max("run").alias("longest_run"))
+
+
+def lines_to_delete(levels: list[DataFrame], min_words: int, min_lines: int) -> DataFrame:
+    """(d, t, gone) from the doubling steps up to ``min_lines``, or further."""
+    top = _top(min_lines)
     gone = levels[0].where(F.col("later") & (F.col("words") >= min_words)).select("d", "t", "at")
     if len(levels) > top:
         spans = levels[top].where("later").select("d", "t", F.explode(F.sequence(F.col("i"), F.col("i") + F.lit(min_lines - 1))).alias("i"))
@@ -108,7 +125,8 @@ def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
 
 def op6_line_dedup(spark, sf_dir: str, min_words: int = 5, min_lines: int = 4) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
-    gone = repeated_lines(docs, min_words=min_words, min_lines=min_lines)
+    levels = suffix_levels(line_table(docs))  # on until no block of lines repeats
+    gone = lines_to_delete(levels, min_words, min_lines).join(longest_runs(levels), ["d", "t"], "full_outer")
     d, t = _doc_key("doc_id", "text")
     new = F.when(F.col("gone").isNull(), F.col("text")).otherwise(without_lines(F.col("text"), F.col("gone")))
     rows = docs.join(gone, (d == gone["d"]) & (t == gone["t"]), "left")
@@ -116,13 +134,22 @@ def op6_line_dedup(spark, sf_dir: str, min_words: int = 5, min_lines: int = 4) -
         "doc_id",
         F.coalesce(F.size(F.split("text", "\n")), F.lit(0)).cast("long").alias("n_lines"),
         F.coalesce(F.size("gone"), F.lit(0)).cast("long").alias("n_deleted"),
+        F.coalesce("longest_run", F.lit(0)).cast("long").alias("longest_run"),
         F.coalesce(F.array_join(F.col("gone").cast("array<string>"), ","), F.lit("")).alias("deleted"),
         F.md5(F.coalesce(new, F.lit("")).cast("binary")).alias("text_md5"),
     )
 
 
-#: Oracle over tables whose doc_ids differ: blocks are compared as joined text.
-OP6_SQL = r"""
+_STEPS = range(11)
+
+
+def _oracle() -> str:
+    """DuckDB text over tables whose doc_ids differ; blocks of 1 to 1024 lines are compared by their joined text."""
+    blocks = ",\n         ".join(f"case when count(*) over f{k} = {1 << k} then md5(string_agg(s, chr(10)) over f{k}) end as b{k}" for k in _STEPS)
+    frames = ", ".join(f"f{k} as (partition by doc_id order by i rows between current row and {(1 << k) - 1} following)" for k in _STEPS)
+    later = ", ".join(f"b{k} is not null and row_number() over (partition by b{k} order by doc_id, i) > 1 as l{k}" for k in _STEPS)
+    longest = "greatest(" + ", ".join(f"case when l{k} then {1 << k} else 0 end" for k in _STEPS) + ")"
+    return rf"""
 with l as (
   select doc_id, unnest(string_split(text, chr(10))) as s, generate_subscripts(string_split(text, chr(10)), 1) - 1 as pos
   from documents where text is not null
@@ -131,20 +158,22 @@ with l as (
          len(regexp_extract_all(s, '[^\x20\x09-\x0D]+')) as words
   from l where regexp_matches(s, '[^\x20\x09-\x0D]')
 ), b as (
-  select *, row_number() over (partition by s order by doc_id, i) > 1 as later1,
-         case when count(*) over f = 4 then string_agg(s, chr(10)) over f end as block
-  from w window f as (partition by doc_id order by i rows between current row and 3 following)
+  select *, {blocks}
+  from w window {frames}
 ), c as (
-  select *, block is not null and row_number() over (partition by block order by doc_id, i) > 1 as later4 from b
+  select *, {later} from b
 ), g as (
-  select doc_id, pos, (later1 and words >= 5)
-         or bool_or(later4) over (partition by doc_id order by i rows between 3 preceding and current row) as gone
+  select doc_id, pos, {longest} as run, (l0 and words >= 5)
+         or bool_or(l2) over (partition by doc_id order by i rows between 3 preceding and current row) as gone
   from c
 ), k as (
-  select doc_id, list(pos order by pos) as gone from g where gone group by doc_id
+  select doc_id, list(pos order by pos) filter (where gone) as gone, cast(max(run) as bigint) as run from g group by doc_id
 )
-select d.doc_id, coalesce(len(string_split(d.text, chr(10))), 0) as n_lines, coalesce(len(k.gone), 0) as n_deleted,
+select d.doc_id, coalesce(len(string_split(d.text, chr(10))), 0) as n_lines, coalesce(len(k.gone), 0) as n_deleted, coalesce(k.run, 0) as longest_run,
        coalesce(array_to_string(k.gone, ','), '') as deleted,
        md5(coalesce(array_to_string(list_filter(string_split(d.text, chr(10)), lambda x, j: not list_contains(coalesce(k.gone, []), j - 1)), chr(10)), '')) as text_md5
 from documents d left join k on d.doc_id = k.doc_id
 """
+
+
+OP6_SQL = _oracle()
