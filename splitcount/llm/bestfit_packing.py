@@ -65,7 +65,7 @@ class WordIds:
     #: The tokenizer's own cuts, for such lower-cased words.
     _CUTS = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-z\u00df-\u00f6\u00f8-\u00ff]+|[0-9]|[^a-z0-9\u00df-\u00f6\u00f8-\u00ff]+")
 
-    def __init__(self, path: str, limit: int = 700_000):
+    def __init__(self, path: str, limit: int = 500_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
@@ -88,7 +88,7 @@ class WordIds:
     def _ids_of(self, words: list[bytes]) -> list[tuple[int, ...] | list[int]]:
         text = [w.decode("utf-8", "replace") for w in words]
         cuts = [self._CUTS.findall(t.lower()) if self._PLAIN.fullmatch(t) else None for t in text]
-        if len(self.parts) > self.limit:
+        if len(self.parts) > self.limit * 7 // 10:
             self.parts.clear()
         parts = self.parts
         new = sorted({p for c in cuts if c for p in c if p not in parts})

@@ -62,7 +62,7 @@ class ToxicModel:
     known: dict[str, tuple[int, ...]] = field(default_factory=dict)
 
     def features(self, text: str) -> set[int]:
-        if len(self.known) > 400_000:  # a bounded memory of words
+        if len(self.known) > 200_000:  # a bounded memory of words
             self.known.clear()
         known, index = self.known, self.index
         out: set[int] = set()
