@@ -175,7 +175,7 @@ def train_weights(rows: list[list[int]], y: np.ndarray, pairs: list[tuple[list[i
     return v[:-1], float(v[-1])
 
 
-def fit(docs: DataFrame, labels: DataFrame, train: Column, max_rows: int = 12_000, n_features: int = 8192, min_docs: int = 3, min_g: float = 14.0, l2: float = 5e-5, swap_weight: float = 1.0) -> ToxicModel:
+def fit(docs: DataFrame, labels: DataFrame, train: Column, max_rows: int = 12_000, n_features: int = 8192, min_docs: int = 3, min_g: float = 14.0, l2: float = 3e-6, swap_weight: float = 1.0) -> ToxicModel:
     sample = labelled_sample(docs, labels, train, max_rows)
     sizes = {r["y"] != 0: r["n"] for r in sample.groupBy("y").agg(F.count("*").alias("n")).collect()}
     p, n = sizes.get(True, 0), sizes.get(False, 0)
