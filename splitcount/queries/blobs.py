@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import pandas as pd
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -100,42 +102,60 @@ def blob_equal_forms(spark, d):
 # ------------------------------------------------------------------ sequential runs
 
 
-def _trace(spark, d, make, p: int = 8):
-    """One ordered stream: events by id (their (j, r) pairs go to the driver in blocks of one partition)."""
+def _trace(spark, d, make, read, schema: str, p: int = 8):
+    """One ordered stream, events by id, in one task: a sequential run by its nature."""
     from splitcount.functions.hashing import pairs
 
-    rows = pairs(table(spark, d, "events"), ["event_id"], F.col("event_id").cast("string"), p).orderBy("event_id")
-    t = make(p)
-    for r in rows.toLocalIterator():
-        t.offer(r["j"], r["r"])
-    return t
+    rows = pairs(table(spark, d, "events"), ["event_id"], F.col("event_id").cast("string"), p)
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        t = make(p)
+        for b in batches:
+            for j, r in zip(b["j"].tolist(), b["r"].tolist(), strict=True):
+                t.offer(j, r)
+        yield pd.DataFrame([read(t)])
+
+    return rows.repartition(1).sortWithinPartitions("event_id").mapInPandas(run, schema)
+
+
+_COUNTS = "variant string, updates long, rejected long, changed long, compress_calls long, rebases long, candidates long, b long, sparse long, bits long"
 
 
-def _counted(spark, name: str, t: Trace):
+def _counted(t: Trace) -> dict:
     c = t.counters
-    row = (name, c.updates, c.rejected, c.changed, c.compress_calls, c.rebases, c.candidates, t.base, len(t.sparse), t.bits)
-    return spark.createDataFrame([row], "variant string, updates long, rejected long, changed long, compress_calls long, rebases long, candidates long, b long, sparse long, bits long")
+    return {
+        "variant": t.variant,
+        "updates": c.updates,
+        "rejected": c.rejected,
+        "changed": c.changed,
+        "compress_calls": c.compress_calls,
+        "rebases": c.rebases,
+        "candidates": c.candidates,
+        "b": t.base,
+        "sparse": len(t.sparse),
+        "bits": t.bits,
+    }
 
 
 @query("q_opt_trace")
 def opt_trace(spark, d):
-    return _counted(spark, "opt", _trace(spark, d, lambda p: Trace(p, variant="opt")))
+    return _trace(spark, d, lambda p: Trace(p, variant="opt"), _counted, _COUNTS)
 
 
 @query("q_lazy_trace")
 def lazy_trace(spark, d):
-    return _counted(spark, "lazy", _trace(spark, d, lambda p: Trace(p, variant="lazy")))
+    return _trace(spark, d, lambda p: Trace(p, variant="lazy"), _counted, _COUNTS)
 
 
 @query("q_min_trace")
 def min_trace(spark, d):
-    return _counted(spark, "min", _trace(spark, d, lambda p: Trace(p, variant="min")))
+    return _trace(spark, d, lambda p: Trace(p, variant="min"), _counted, _COUNTS)
 
 
 @query("q_zstd_trace")
 def zstd_trace(spark, d):
-    t = _trace(spark, d, CodedTrace)
-    return spark.createDataFrame([(t.decodes, t.encodes, t.low, 8 * len(t.data))], "decodes long, encodes long, low long, bits long")
+    read = lambda t: {"decodes": t.decodes, "encodes": t.encodes, "low": t.low, "bits": 8 * len(t.data)}
+    return _trace(spark, d, CodedTrace, read, "decodes long, encodes long, low long, bits long")
 
 
 @F.pandas_udf(T.LongType())

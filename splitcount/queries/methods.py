@@ -70,6 +70,12 @@ def hash_sha(spark, d):
     return H.pairs(table(spark, d, "events"), ["event_id"], F.col("event_id").cast("string"), P, family="sha_64")
 
 
+@query("q_rank_w32", f"select event_id, {index_sql(P)} as j, cast(case when hi > 0 then 33 - length(bin(hi)) else 33 end as bigint) as r from (select event_id, {hash_sql()} from ({_EVENTS}))")
+def rank_w32(spark, d):
+    """Ranks of a 32-bit hash: the first word alone."""
+    return H.pairs(table(spark, d, "events"), ["event_id"], F.col("event_id").cast("string"), P, w=32)
+
+
 def _mix_sql() -> str:
     """Shift-xor and multiply rounds on 128-bit numbers."""
     h = "h::uhugeint"

@@ -168,3 +168,21 @@ def reduction_law(spark, d):
     mass = rows.withColumn("mass", F.sum("prob").over(per.rangeBetween(0, 7))).groupBy("p").agg(F.max("mass").alias("mass"))
     bits = 3 + (F.col("p") + 6) * (1 - F.col("mass"))
     return mass.select("p", F.round(bits, 4).alias("per_register"), F.round(1 - bits / 6, 4).alias("reduction"))
+
+
+@query(
+    "q_calculators",
+    """select cast(p as bigint) as p, round(exp(-pow(2.0, p) / (2 * p) / 3), 9) as chernoff,
+round(pow(2.0, p) * log2(log2(p)) + pow(2.0, p) + log2(30.0), 4) as split_bits, round(pow(2.0, p) * log2(30.0), 4) as plain_bits,
+round(pow(2.0, p) / log2(p) * log2(64 * log2(p)), 4) as succinct_bits, round(30.0 * pow(2.0, p), 4) as most_calls from range(6, 19) t(p)""",
+)
+def calculators(spark, d):
+    """Scalar bounds for each p at 2**30 items: tail of a sum, leading sizes, coded outliers, base searches."""
+    n = 2.0**30
+    rows = []
+    for p in range(6, 19):
+        m = float(1 << p)
+        s = T.size_formula(p, n)
+        rows.append((p, T.chernoff(1.0, m / (2 * p)), s["split"], s["plain"], T.succinct_bits(T.bits_deep(p)["outliers"], 64 * m), T.amortised(n, p)["calls"]))
+    got = spark.createDataFrame(rows, "p long, chernoff double, split_bits double, plain_bits double, succinct_bits double, most_calls double")
+    return got.select("p", F.round("chernoff", 9).alias("chernoff"), *(F.round(c, 4).alias(c) for c in ("split_bits", "plain_bits", "succinct_bits", "most_calls")))
