@@ -19,8 +19,8 @@ from __future__ import annotations
 import os
 import re
 import zlib
+from array import array
 from collections.abc import Iterator
-from itertools import chain
 
 import numpy as np
 import pandas as pd
@@ -65,12 +65,12 @@ class WordIds:
     #: The tokenizer's own cuts, for such lower-cased words.
     _CUTS = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-z\u00df-\u00f6\u00f8-\u00ff]+|[0-9]|[^a-z0-9\u00df-\u00f6\u00f8-\u00ff]+")
 
-    def __init__(self, path: str, limit: int = 500_000):
+    def __init__(self, path: str, limit: int = 600_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
         self.tok, self.limit = Tokenizer.from_file(path), limit
-        self.parts: dict[str, tuple[int, ...]] = {}
+        self.parts: dict[str, bytes] = {}
         self._keep([])
 
     def _keep(self, words: list[bytes]) -> None:
@@ -82,28 +82,29 @@ class WordIds:
         self.len, self.off = n, np.append(0, ends)
         self.uses = np.zeros(len(words), np.int32)
 
-    def _encode(self, words: list[str]) -> list[list[int]]:
-        return [e.ids for e in self.tok.encode_batch_fast(words, add_special_tokens=False)]
+    def _encode(self, words: list[str]) -> list[bytes]:
+        """Ids of each word, four bytes each."""
+        return [array("I", e.ids).tobytes() for e in self.tok.encode_batch_fast(words, add_special_tokens=False)]
 
-    def _ids_of(self, words: list[bytes]) -> list[tuple[int, ...] | list[int]]:
+    def _ids_of(self, words: list[bytes]) -> list[bytes]:
         text = [w.decode("utf-8", "replace") for w in words]
         cuts = [self._CUTS.findall(t.lower()) if self._PLAIN.fullmatch(t) else None for t in text]
-        if len(self.parts) > self.limit * 7 // 10:
+        if len(self.parts) > self.limit:
             self.parts.clear()
         parts = self.parts
         new = sorted({p for c in cuts if c for p in c if p not in parts})
-        parts.update(zip(new, map(tuple, self._encode(new)), strict=True))
+        parts.update(zip(new, self._encode(new), strict=True))
         odd = iter(self._encode([t for t, c in zip(text, cuts, strict=True) if c is None]))
-        return [next(odd) if c is None else parts[c[0]] if len(c) == 1 else [i for p in c for i in parts[p]] for c in cuts]
+        return [next(odd) if c is None else parts[c[0]] if len(c) == 1 else b"".join(map(parts.__getitem__, c)) for c in cuts]
 
     def _learn(self) -> None:
         got = self._ids_of(self.at.new)
         self.at.new = []
-        n = np.fromiter(map(len, got), np.int64, len(got))
+        n = np.fromiter(map(len, got), np.int64, len(got)) // 4
         self.len = np.concatenate((self.len, n))
         self.off = np.concatenate((self.off, self.off[-1] + np.cumsum(n)))
         self.uses = np.concatenate((self.uses, np.zeros(len(got), np.int32)))
-        self.pool = np.concatenate((self.pool, np.fromiter(chain.from_iterable(got), np.uint32, int(n.sum()))))
+        self.pool = np.concatenate((self.pool, np.frombuffer(b"".join(got), np.uint32)))
 
     def ids(self, texts: list[str]) -> Iterator[np.ndarray]:
         """Ids per text; texts are taken in groups so that a group's new words are encoded together."""
