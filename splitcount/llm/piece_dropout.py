@@ -1,10 +1,11 @@
 """SentencePiece encoding with seeded merge-dropout, and lossless decoding.
 
-Pieces are merged by an agenda, best piece first and leftmost among equals.  With dropout, a popped
-candidate is skipped if a keyed hash of (seed and variant, unit, place, piece) falls below the rate, so the
-same key always gives the same segmentation.  A document's variant comes from a hash of its id: copies
-of a word vary between documents of different variants and are stable within one, which lets a worker
-remember segmentations (in a bounded table).  Rate 0 is the plain encoding.
+Pieces are merged by an agenda, best piece first and leftmost among equals.  With dropout, every popped
+candidate is skipped with the given rate, by draws keyed on (seed, document id, place of the unit in its
+text, number of the pop): each occurrence of a word is cut on its own, and the same key always gives the
+same segmentation.  The draws of an occurrence are its gaps between skips, of geometric law.  What a unit
+becomes depends on nothing but which of its pops are skipped, so a worker remembers units by that (in a
+bounded table) and the table never changes a result.  Rate 0 is the plain encoding.
 
 The text is cut into units at spaces and at characters that no piece holds; no piece spans such a cut, so
 unit by unit encoding is exact.  Characters without a piece become byte pieces; so does the character
@@ -17,10 +18,12 @@ equal pieces; an empty table gives no rows.
 from __future__ import annotations
 
 import heapq
+import math
 import re
 import zlib
 from array import array
 from collections.abc import Iterator
+from operator import itemgetter
 
 import numpy as np
 import pandas as pd
@@ -31,8 +34,10 @@ from splitcount.llm.common import text_of
 
 _SPACE = "▁"
 _NEVER = float("inf")
-#: Odd multipliers of the keyed hash.
-_MIX_A, _MIX_B, _MIX_C = 0x9E3779B1, 0x85EBCA6B, 0x2C1B3C6D
+#: Step between places, and the multipliers of the keyed hash.
+_STEP, _MIX_A, _MIX_B = 0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9, 0x94D049BB133111EB
+#: Units above so many characters take the heap, and are not remembered with their skips.
+_LONG = 48
 _UNITS = re.compile(f" +[^ \\n{_SPACE}]*|[^ \\n{_SPACE}]+|[\\n{_SPACE}]")
 
 
@@ -50,6 +55,7 @@ class Pieces:
 
         sp = sentencepiece.SentencePieceProcessor(model_file=path)
         n = sp.get_piece_size()
+        self.library = sp.encode_as_ids
         self.byte = [0] * 256
         self.order: dict[str, float] = {}
         self.ids: dict[str, int] = {}
@@ -62,62 +68,82 @@ class Pieces:
             elif not (sp.is_control(i) or sp.is_unknown(i) or sp.is_unused(i)):
                 self.order[name], self.ids[name] = -sp.get_score(i), i
                 self.raw[i] = name.replace(_SPACE, " ").encode()
-        self.below, self.seed, self.limit = int(rate * 2.0**32), seed, limit
-        self.known: dict[int, dict[str, bytes]] = {}
-        self.old: dict[int, dict[str, bytes]] = {}
-        self.size = 0
-
-    def unit(self, unit: str, variant: int) -> bytes:
-        """Piece ids of one unit by agenda processing, four bytes each."""
+        self.rate, self.seed, self.limit = rate, seed, limit
+        #: Rate 1 leaves no gap.
+        self.per_gap = 1 / math.log1p(-rate) if 0 < rate < 1 else 0.0
+        #: Units without skips, and (unit, skipped pops as bits): piece ids and the number of pops.
+        self.known: dict[str, tuple[bytes, int]] = {}
+        self.old: dict[str, tuple[bytes, int]] = {}
+        self.forms: dict[tuple[str, int], tuple[bytes, int]] = {}
+        self.old_forms: dict[tuple[str, int], tuple[bytes, int]] = {}
+
+    def unit(self, unit: str, skips: int = 0) -> tuple[bytes, int]:
+        """Piece ids of one unit, four bytes each, and its pops; bit k of ``skips`` drops pop k."""
         text = unit.replace(" ", _SPACE) if unit != _SPACE else ""
         if not text:
-            return array("I", [self.byte[b] for b in _SPACE.encode()]).tobytes()
-        key = zlib.crc32(unit.encode("utf-8", "replace"), self.seed * 64 + variant & 0xFFFFFFFF) if self.below else 0
-        syms = self._short(text, key) if len(text) <= 48 else self._long(text, key)
+            return array("I", [self.byte[b] for b in _SPACE.encode()]).tobytes(), 0
+        syms, pops = self._short(text, skips) if len(text) <= _LONG else self._long(text, skips)
         out = list(map(self.ids.get, syms))
         if None in out:
             out = [i for x, got in zip(syms, out, strict=True) for i in ([self.byte[c] for c in x.encode("utf-8", "replace")] if got is None else (got,))]
-        return array("I", out).tobytes()
-
-    def _skipped(self, key: int, place: int, order: float) -> bool:
-        """Keyed hash of the candidate, in 32 bits, against the rate."""
-        return ((key ^ (place * _MIX_A ^ int(order) * _MIX_B)) * _MIX_C >> 8 & 0xFFFFFFFF) < self.below
-
-    def _short(self, text: str, key: int) -> list[str]:
+        return array("I", out).tobytes(), pops
+
+    def _plain(self, units: list[str]) -> None:
+        """Make units known; words of printable ASCII by the library, where each piece is of whole characters."""
+        if len(self.known) + len(units) > self.limit:  # what is still in use moves on from the old table
+            self.old, self.known = self.known, {}
+        known, old = self.known, self.old
+        new = []
+        for u in units:
+            got = old.get(u)
+            if got is not None:
+                known[u] = got
+            elif u[0] == " " and u[1:2].strip() and u.isascii() and u.isprintable():
+                new.append(u)
+            else:
+                known[u] = self.unit(u)
+        for u, ids in zip(new, map(self.library, [u[1:] for u in new]), strict=True):
+            known[u] = array("I", ids).tobytes(), len(u) - len(ids)
+
+    def _short(self, text: str, skips: int) -> tuple[list[str], int]:
         """The agenda as a list of the neighbours' orders; the smallest, leftmost one is next."""
-        get, below = self.order.get, self.below
-        syms, starts = list(text), list(range(len(text)))
+        get = self.order.get
+        syms, pops = list(text), 0
         agenda = [get(a + b, _NEVER) for a, b in zip(syms, syms[1:], strict=False)]
         while agenda:
             best = min(agenda)
             if best == _NEVER:
                 break
             i = agenda.index(best)
-            if below and ((key ^ (starts[i] * _MIX_A ^ int(best) * _MIX_B)) * _MIX_C >> 8 & 0xFFFFFFFF) < below:
+            pops += 1
+            if skips >> pops - 1 & 1:
                 agenda[i] = _NEVER
                 continue
             j = i + 1
             syms[i] = piece = syms[i] + syms[j]
-            del syms[j], starts[j], agenda[i]
+            del syms[j], agenda[i]
             if j < len(syms):
                 agenda[i] = get(piece + syms[j], _NEVER)
             if i:
                 agenda[i - 1] = get(syms[i - 1] + piece, _NEVER)
-        return syms
+        return syms, pops
 
-    def _long(self, text: str, key: int) -> list[str]:
+    def _long(self, text: str, skips: int) -> tuple[list[str], int]:
         """The same with a heap, in time n log n."""
+        drop = np.unpackbits(np.frombuffer(skips.to_bytes(skips.bit_length() // 8 + 1, "little"), np.uint8), bitorder="little").tolist()
+        pop, last = 0, len(drop)
         n, get = len(text), self.order.get
         end = list(range(1, n + 1))  # end of the symbol that starts here; 0 once merged away
         back = list(range(-1, n - 1))  # start of the symbol before
         agenda = [(o, i, i + 2) for i in range(n - 1) if (o := get(text[i : i + 2])) is not None]
         heapq.heapify(agenda)
         while agenda:
-            order, a, z = heapq.heappop(agenda)
+            _, a, z = heapq.heappop(agenda)
             b = end[a]
             if not b or b >= z or end[b] != z:
                 continue  # one of the two symbols has changed
-            if self.below and self._skipped(key, a, order):
+            pop += 1
+            if pop <= last and drop[pop - 1]:
                 continue
             end[a], end[b] = z, 0
             if z < n:
@@ -130,28 +156,74 @@ class Pieces:
                 o = get(text[p:z])
                 if o is not None:
                     heapq.heappush(agenda, (o, p, z))
-        return [text[a : end[a]] for a in range(n) if end[a]]
-
-    def encode(self, text: str, variant: int = 0) -> list[int]:
+        return [text[a : end[a]] for a in range(n) if end[a]], pop
+
+    def _gaps(self, at: np.ndarray, *nth: int) -> np.ndarray:
+        """A row for each of the nth runs of pops without a skip, for keys of occurrences."""
+        x = at + np.array([[n * _MIX_B % 2**64] for n in nth], np.uint64)
+        x = (x ^ x >> np.uint64(30)) * np.uint64(_MIX_A)
+        x = (x ^ x >> np.uint64(27)) * np.uint64(_MIX_B)
+        x ^= x >> np.uint64(31)
+        # At most 53 bits and above 0, so the logarithm is finite.
+        return (np.log(((x >> np.uint64(11)) + np.uint64(1)) * 2.0**-53) * self.per_gap).astype(np.int64)
+
+    def _dropped(self, units: list[str], got: list[tuple[bytes, int]], doc: int | None) -> None:
+        """Put the units' forms under their own skips into ``got``, which holds those without."""
+        name = f"{self.seed} {doc}".encode()
+        start = np.uint64(zlib.crc32(name) << 32 | zlib.crc32(name, 1))
+        at = (np.arange(len(units), dtype=np.uint64) + start) * np.uint64(_STEP)
+        first = self._gaps(at, 0)[0]
+        hit = np.flatnonzero(first < np.array(list(map(itemgetter(1), got))))
+        if not len(hit):
+            return
+        at = at[hit]
+        gaps = [first[hit].tolist(), *self._gaps(at, 1, 2, 3, 4).tolist()]
+        forms, old = self.forms, self.old_forms
+        for a, k in enumerate(hit.tolist()):
+            u, pop, n, pops = units[k], gaps[0][a], 0, got[k][1]
+            skips, long = 0, len(u) > _LONG
+            while pop < pops:
+                skips |= 1 << pop
+                n += 1
+                pop += 1 + (gaps[n][a] if n < 5 else int(self._gaps(at[a : a + 1], n)[0, 0]))
+                key = u, skips
+                form = None if long else forms.get(key)
+                if form is None and not long and (form := old.get(key)) is not None:
+                    forms[key] = form
+                if form is None:
+                    # One agenda takes all further skips as far as pops seldom reach, and another if they went beyond the next skip.
+                    pops = len(u)
+                    while form is None or pop < pops:
+                        while pop < pops:
+                            skips |= 1 << pop
+                            n += 1
+                            pop += 1 + (gaps[n][a] if n < 5 else int(self._gaps(at[a : a + 1], n)[0, 0]))
+                        form = self.unit(u, skips)
+                        pops = form[1]
+                    got[k] = form
+                    if not long:
+                        forms[u, skips & (1 << form[1]) - 1] = form
+                    break
+                got[k], pops = form, form[1]
+        if len(forms) >= self.limit:
+            self.old_forms, self.forms = forms, {}
+
+    def packed(self, text: str, doc: int | None = 0) -> bytes:
+        """Piece ids of a text, four bytes each."""
         if not text:
-            return []
-        known = self.known.setdefault(variant, {})
+            return b""
         units = _UNITS.findall(" " + text)
-        got = list(map(known.get, units))
+        got = list(map(self.known.get, units))
         if None in got:
-            if self.size >= self.limit:  # what is still in use moves on from the old table
-                self.old, self.known, self.size = self.known, {}, 0
-                known = self.known.setdefault(variant, {})
-            old = self.old.get(variant, {})
-            for k in [k for k, x in enumerate(got) if x is None]:
-                u = units[k]
-                ids = known.get(u)
-                if ids is None:
-                    ids = known[u] = old.get(u) or self.unit(u, variant)
-                    self.size += 1
-                got[k] = ids
+            self._plain(list({u for u, x in zip(units, got, strict=True) if x is None}))
+            got = [self.known[u] if x is None else x for u, x in zip(units, got, strict=True)]
+        if self.rate > 0:
+            self._dropped(units, got, doc)
+        return b"".join(map(itemgetter(0), got))
+
+    def encode(self, text: str, doc: int | None = 0) -> list[int]:
         out = array("I")
-        out.frombytes(b"".join(got))
+        out.frombytes(self.packed(text, doc))
         return out.tolist()
 
     def decode(self, ids: list[int]) -> str:
@@ -169,18 +241,14 @@ def _pieces(path: str, rate: float, seed: int) -> Pieces:
     return _PIECES[key]
 
 
-def variant_of(doc_id: int | None, seed: int, variants: int) -> int:
-    return zlib.crc32(f"{seed} {doc_id}".encode()) % variants
-
-
-def encode_table(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rate: float = 0.1, seed: int = 2024, variants: int = 2, model: str | None = None) -> DataFrame:
+def encode_table(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rate: float = 0.1, seed: int = 2024, model: str | None = None) -> DataFrame:
     """(doc_id, ids): piece ids of every text."""
     path = model or default_model()
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         p = _pieces(path, rate, seed)
         for b in batches:
-            yield pd.DataFrame({"doc_id": b["i"].astype("Int64"), "ids": [p.encode(t, variant_of(i, seed, variants)) for i, t in zip(b["i"].astype("Int64"), b["t"], strict=True)]})
+            yield pd.DataFrame({"doc_id": b["i"].astype("Int64"), "ids": [p.encode(t, i) for i, t in zip(b["i"].astype("Int64"), b["t"], strict=True)]})
 
     src = docs.select(F.col(id_col).cast("long").alias("i"), text_of(text_col).alias("t"))
     return src.mapInPandas(run, "doc_id long, ids array<int>")
@@ -198,7 +266,7 @@ def decode_table(encoded: DataFrame, id_col: str = "doc_id", ids_col: str = "ids
     return encoded.select(F.col(id_col).cast("long").alias("i"), F.col(ids_col).alias("x")).mapInPandas(run, "doc_id long, text string")
 
 
-def digest(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rate: float = 0.1, seed: int = 2024, variants: int = 2, model: str | None = None) -> DataFrame:
+def digest(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rate: float = 0.1, seed: int = 2024, model: str | None = None) -> DataFrame:
     """(doc_id, n_ids, ids_crc32, lossless): encoded, and decoded again, without moving the ids."""
     path = model or default_model()
 
@@ -207,8 +275,8 @@ def digest(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rate
         for b in batches:
             rows = []
             for i, t in zip(b["i"].astype("Int64"), b["t"], strict=True):
-                ids = p.encode(t, variant_of(i, seed, variants))
-                rows.append((i, len(ids), zlib.crc32(np.array(ids, "<u4").tobytes()), p.decode(ids) == t))
+                ids = p.packed(t, i)
+                rows.append((i, len(ids) // 4, zlib.crc32(ids), p.decode(np.frombuffer(ids, "<u4").tolist()) == t))
             yield pd.DataFrame(rows, columns=["doc_id", "n_ids", "ids_crc32", "lossless"]).astype({"doc_id": "Int64"})
 
     src = docs.select(F.col(id_col).cast("long").alias("i"), text_of(text_col).alias("t"))

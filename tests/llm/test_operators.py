@@ -392,6 +392,26 @@ def test_list_and_heap_agendas_agree():
             assert p._short(w, key) == p._long(w, key)
 
 
+def test_dropout_cuts_every_occurrence_on_its_own(spark):
+    """Within a text, and over many documents; by the law of a plain agenda with free draws; whatever is remembered."""
+    word, n = " international", 4000
+    p = PD.Pieces(PD.default_model(), rate=0.3)
+    forms = Counter(tuple(p.encode(word[1:], d)) for d in range(n))
+    rng = np.random.default_rng(8)
+    want = Counter(tuple(np.frombuffer(p.unit(word, sum(1 << k for k in range(64) if rng.random() < 0.3))[0], "<u4").tolist()) for _ in range(n))
+    assert len(forms) > 20 and all(abs(forms[k] - want[k]) < 6 * max(want[k], 9) ** 0.5 for k in forms | want)
+    one = p.encode((word * n)[1:], 7)
+    plain = PD.Pieces(PD.default_model(), rate=0.0).encode((word * n)[1:], 7)
+    assert len(plain) < len(one) and len({tuple(one[k : k + 4]) for k in range(0, len(one), 4)}) > 20
+    text = " ".join(f"{w} {w}" for w in ("walking", "x" * 90, "Überraschung", "tokens,", "ab" * 40)) + "\n  end \n"
+    small = PD.Pieces(PD.default_model(), rate=0.3, limit=3)
+    assert all(p.encode(text, d) == small.encode(text, d) and p.decode(p.encode(text, d)) == text for d in range(50))
+    none = PD.Pieces(PD.default_model(), rate=1.0)
+    assert len(none.encode("walking", 3)) == len("▁walking")
+    rows = PD.encode_table(spark.createDataFrame([(d, "international words") for d in range(400)], "doc_id long, text string")).collect()
+    assert len({tuple(r["ids"]) for r in rows}) > 5
+
+
 # ---------------------------------------------------------------- 9 near-duplicates
 
 
