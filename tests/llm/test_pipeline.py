@@ -1,10 +1,12 @@
 """The pipeline: each stage against brute force on its own input, and the whole run."""
 
+import random
 from collections import Counter
 
 import corpus_pipeline as cp
 
 from splitcount.llm import secret_scan as SS
+from splitcount.llm import simhash_dedup as SD
 from splitcount.llm.common import cut
 
 from ..conftest import SF
@@ -51,3 +53,27 @@ def test_null_texts_pass(spark):
     for _, stage in cp.STAGES[:-1]:
         docs = cut(stage(spark, docs, SF))
     assert sorted(r["doc_id"] for r in docs.collect()) == [1, 2]
+
+
+def test_near_copies_leave(spark):
+    """Every pair of 5-word similarity 0.8 or more is one class, and no pair below is linked."""
+    rnd = random.Random(2)
+    rows = []
+    for k in range(0, 120, 3):
+        words = [f"w{rnd.randrange(900)}" for _ in range(rnd.randrange(40, 300))]
+        close, far = list(words), list(words)
+        for at in range(0, len(words), 60):  # at most 5 shingles of 60 change
+            close[at] = "changed"
+        for at in range(0, len(words), 12):
+            far[at] = "changed"
+        rows += [(k, " ".join(words)), (k + 1, " ".join(close)), (k + 2, " ".join(far))]
+    sets = [{tuple(t.split()[i : i + 5]) for i in range(len(t.split()) - 4)} for _, t in rows]
+    u = SD.Union(len(rows))
+    for i in range(len(rows)):
+        for j in range(i):
+            if len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j]):
+                u.join(i, j)
+    want = {i for i in range(len(rows)) if u.find(i) == i}
+    assert want == {i for i in range(len(rows)) if i % 3 != 1}
+    docs = spark.createDataFrame([(i, t, "en", "s", len(t)) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long")
+    assert {r["doc_id"] for r in cp.keep_one_of_each_group(spark, docs, SF).collect()} == want
