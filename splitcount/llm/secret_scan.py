@@ -4,25 +4,29 @@ The patterns find assignments, access keys and long hex strings.  Beyond them, v
 wider set of credential words, or that stand as the password of a URL, are judged by the number of
 guesses a password cracker would need: a dynamic programme cuts the value into dictionary words,
 dates, repeats, keyboard walks, sequences and brute-force spans at the least total cost (in log10
-guesses).  Values at or above ``min_guesses`` become spans of kind ``guess``; spans of the patterns
-always stay.
+guesses).  Words are a short list of common passwords and then the corpus's own words by frequency, so
+that prose after a credential word is weak whatever its language.  Values at or above ``min_guesses`` become
+spans of kind ``guess``; spans of the patterns always stay.
 
 Offsets are code points, ends exclusive.  Defined results: a null text is the empty text and has no
-span; texts of any length are scanned whole, the programme being linear in the value's length.
+span; texts of any length are scanned whole, the programme being linear in the value's length and keeping
+one number per character; costs of 10^16 guesses and more count as that.
 """
 
 from __future__ import annotations
 
 import hashlib
 import re
-from collections.abc import Iterator
-from functools import lru_cache
+from array import array
+from collections.abc import Iterable, Iterator
 from math import log10
 
 import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from splitcount.llm.common import cut
+
 # The three base patterns.  ASCII matching keeps "either case" to A-Z and a-z.
 _ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.IGNORECASE | re.ASCII)
 _ACCESS = re.compile(r"AKIA[A-Z0-9]{16,}")
@@ -46,8 +50,7 @@ joshua matthew daniel ashley computer internet service account network office co
 security key token pass word code the and for you that with this from have not are was one all new your
 apple orange banana cheese coffee purple yellow silver golden diamond star angel tiger lion eagle
 """.split()
-_RANK = {w: i + 1 for i, w in enumerate(dict.fromkeys(COMMON_WORDS))}
-_LONGEST = max(map(len, _RANK))
+_NEVER = float("inf")
 # Letters that digits and signs stand for.
 _LEET = str.maketrans({"4": "a", "@": "a", "3": "e", "1": "i", "!": "i", "0": "o", "5": "s", "$": "s", "7": "t", "+": "t"})
 # Keyboard rows.
@@ -55,12 +58,21 @@ _ROWS = ("`1234567890-=", "qwertyuiop[]\\", "asdfghjkl;'", "zxcvbnm,./")
 _DATE = re.compile(r"(?:19|20)\d\d(?:[-/.]?(?:0[1-9]|1[0-2])[-/.]?(?:0[1-9]|[12]\d|3[01]))?|(?:0[1-9]|[12]\d|3[01])[-/.]?(?:0[1-9]|1[0-2])[-/.]?(?:19|20)?\d\d")
 
 
-def _neighbours() -> dict[str, set[str]]:
-    at = {ch: (x, y) for y, row in enumerate(_ROWS) for x, ch in enumerate(row)}
-    return {a: {b for b, (u, v) in at.items() if b != a and abs(y - v) <= 1 and abs(x - u) <= 1} for a, (x, y) in at.items()}
+_KEY_AT = {ch: (x, y) for y, row in enumerate(_ROWS) for x, ch in enumerate(row)}
+_TWO = log10(2)
+#: Costs of this and more are reported as this; such a value is strong under any threshold below it.
+ENOUGH = 16.0
+#: Log10 guesses for the length of a run: powers of two, and one cost for 64 and more.
+_FAR = 64
+_LENGTH = [0.0] + [_TWO * (n.bit_length() - 1) for n in range(1, _FAR + 1)]
 
 
-_NEAR = _neighbours()
+def _move(a: str, b: str) -> tuple[int, int] | None:
+    """Step between neighbouring keys, or None."""
+    if a == b or a not in _KEY_AT or b not in _KEY_AT:
+        return None
+    (x, y), (u, v) = _KEY_AT[a], _KEY_AT[b]
+    return (u - x, v - y) if abs(u - x) <= 1 and abs(v - y) <= 1 else None
 
 
 def _alphabet(ch: str) -> float:
@@ -71,70 +83,150 @@ def _alphabet(ch: str) -> float:
     return log10(33) if ch.isascii() else 2.0
 
 
-def _run(low: str, i: int, follows) -> int:
-    j = i + 1
-    while j < len(low) and follows(low[j - 1], low[j]):
-        j += 1
-    return j
-
-
-@lru_cache(maxsize=20_000)
-def guess_cost(value: str) -> tuple[float, str]:
-    """Least log10 guesses, and the kinds of the segments that reach it (b d r s w k, in order)."""
-    n = len(value)
-    low = value.lower() if len(value.lower()) == n else value
-    plain = low.translate(_LEET)
-    best, back = [0.0] + [float("inf")] * n, [(0, "")] * (n + 1)
-    walk_end = seq_end = rep_end = 0
-    step = 0
-
-    def offer(i: int, j: int, cost: float, kind: str) -> None:
-        # Each further segment costs a factor of two: a cracker must also try where to cut.
-        total = best[i] + cost + (log10(2) if i and not (kind == "b" and back[i][1] == "b") else 0.0)
-        if total < best[j]:
-            best[j], back[j] = total, (i, kind)
-
-    for i in range(n):
-        offer(i, i + 1, _alphabet(value[i]), "b")
-        for j in range(i + 3, min(n, i + _LONGEST) + 1):
-            word = low[i:j]
-            rank, extra = _RANK.get(word), 0.0
-            if rank is None:
-                rank, extra = _RANK.get(plain[i:j]), log10(4)
-            if rank:
-                raw = value[i:j]
-                offer(i, j, log10(rank + 1) + extra + (0.0 if raw == word else log10(2) if raw.isupper() or raw.istitle() else log10(2) * 3), "w")
-        if value[i].isdigit():
-            m = _DATE.match(value, i)
-            while m:
-                offer(i, m.end(), log10(200) if m.end() - i == 4 else log10(366 * 200), "d")
-                m = _DATE.match(value, i, m.end() - 1) if m.end() - i > 4 else None
-        # Longest runs, found once for each start of a run; every end of a run is offered.
-        if i >= rep_end:
-            rep_end = _run(low, i, lambda a, b: a == b)
-            if rep_end - i >= 3:
-                offer(i, rep_end, _alphabet(value[i]) + log10(rep_end - i), "r")
-        if i + 1 < n and i >= seq_end - 1:
-            step = ord(low[i + 1]) - ord(low[i])
-            seq_end = _run(low, i, lambda a, b, s=step: ord(b) - ord(a) == s) if abs(step) == 1 else i + 1
-            if seq_end - i >= 3:
-                offer(i, seq_end, _alphabet(value[i]) + log10(2 * (seq_end - i)), "s")
-        if i >= walk_end - 1:
-            walk_end = _run(low, i, lambda a, b: b in _NEAR.get(a, ()))
-            if walk_end - i >= 4:
-                turns = sum(1 for k in range(i + 2, walk_end) if ord(low[k]) - ord(low[k - 1]) != ord(low[k - 1]) - ord(low[k - 2]))
-                offer(i, walk_end, log10(47 * (walk_end - i)) + min(turns, 40) * log10(2), "k")
-        for size in (2, 3, 4):  # blocks such as abcabc
-            if i + 2 * size <= n and low[i : i + size] == low[i + size : i + 2 * size] and (i < size or low[i - size : i] != low[i : i + size]):
-                j = i + 2 * size
-                while low[j : j + size] == low[i : i + size] and j + size <= n:
-                    j += size
-                offer(i, j, sum(map(_alphabet, value[i : i + size])) + log10((j - i) // size), "r")
-    kinds, j = [], n
-    while j:
-        j, kind = back[j]
-        kinds.append(kind)
-    return best[n], "".join(reversed(kinds))
+class _Run:
+    """The starts of a run that still goes on, one unit apart, with what a segment from there costs besides its length.
+
+    Lengths between two powers of two cost the same, so an end compares one minimum for each power; of the starts
+    ``_FAR`` units back and more, whose lengths cost the same, the least is kept.
+    """
+
+    def __init__(self, unit: int = 1):
+        self.unit, self.first, self.costs, self.far = unit, 0, [], _NEVER
+
+    def clear(self) -> None:
+        if self.costs:
+            self.costs, self.far = [], _NEVER
+
+    def start(self, at: int, cost: float) -> None:
+        if not self.costs:
+            self.first = at
+        self.costs.append(cost)
+
+    def least(self) -> float:
+        return min(self.far, min(self.costs, default=_NEVER))
+
+    def end(self, at: int, units: int) -> float:
+        """Least cost of a segment that ends here and has so many units or more."""
+        costs = self.costs
+        longest = (at - self.first) // self.unit
+        if longest >= _FAR:
+            self.far = min(self.far, costs.pop(0))
+            self.first += self.unit
+            longest -= 1
+        best, low = self.far + _LENGTH[_FAR], units
+        while low <= longest:  # lengths low..high cost the same
+            high = min(2 ** low.bit_length() - 1, longest)
+            best = min(best, min(costs[longest - high : longest - low + 1]) + _LENGTH[low])
+            low = high + 1
+        return best
+
+
+class Guesser:
+    """Least log10 guesses of values, with the built-in words ranked first and then the given ones."""
+
+    def __init__(self, words: Iterable[str] = ()):
+        self.ranks = {w: k + 1 for k, w in enumerate(dict.fromkeys([*COMMON_WORDS, *words]))}
+        self.longest = max(map(len, self.ranks))
+        self.known: dict[str, float] = {}
+
+    def cost(self, value: str) -> float:
+        if len(value) > 64:
+            return self._search(value)
+        got = self.known.get(value)
+        if got is None:
+            if len(self.known) >= 20_000:  # a bounded memory of short values
+                self.known.clear()
+            got = self.known[value] = self._search(value)
+        return got
+
+    def word(self, raw: str, low: str, plain: str) -> float:
+        """Cost of a dictionary word, also with capitals or with signs for letters."""
+        rank, extra = self.ranks.get(low), 0.0
+        if rank is None:
+            rank, extra = self.ranks.get(plain), 2 * _TWO
+        if rank is None:
+            return _NEVER
+        return log10(rank + 1) + extra + (0.0 if raw == low else _TWO if raw.isupper() or raw.istitle() else 3 * _TWO)
+
+    def _search(self, value: str) -> float:
+        """Least sum over all segmentations, at most ``ENOUGH``.
+
+        Every segment after the first costs a factor of two, as a cracker must also try where to cut.  ``brute`` is the
+        least cost that ends inside a brute-force span, which may go on without a new cut; ``after[i]`` is the least
+        cost of anything before a segment that starts at i.  Runs offer every start and every end; blocks are offered
+        at every period that costs less than ``ENOUGH``.
+        """
+        n = len(value)
+        low = value.lower()
+        if len(low) != n:
+            low = value
+        plain = low.translate(_LEET)
+        after, brute = array("d", [0.0]), _NEVER
+        equal, steps, walk = _Run(), _Run(), _Run()
+        blocks = {p: [_Run(p) for _ in range(p)] for p in range(2, min(n // 2, int(ENOUGH)) + 1)}
+        turns, direction, step, free = 0.0, None, 0, _NEVER
+        reach = max(self.longest, 10)  # words and dates
+        lately = max(reach, int(ENOUGH)) + 2
+        for j in range(1, n + 1):
+            ch = low[j - 1]
+            free = _NEVER
+            if j > 1:
+                i, last = j - 2, low[j - 2]
+                if ch == last:
+                    equal.start(i, after[i] + _alphabet(value[i]))
+                    free = min(free, equal.end(j, 3))
+                else:
+                    equal.clear()
+                up = ord(ch) - ord(last)
+                if up != step:
+                    steps.clear()
+                    step = up
+                if abs(up) == 1:
+                    steps.start(i, after[i] + _alphabet(value[i]) + _TWO)
+                    free = min(free, steps.end(j, 3))
+                move = _move(last, ch)
+                if move is None:
+                    walk.clear()
+                    turns = 0.0
+                else:
+                    if direction is not None and move != direction:
+                        turns += _TWO
+                    walk.start(i, after[i] + log10(47) - turns)  # pays the turns after its own first step
+                    free = min(free, walk.end(j, 4) + turns)
+                direction = move
+            for p, runs in blocks.items():
+                i = j - 1 - p
+                if i >= 0 and low[i] == ch:
+                    runs[i % p].start(i, after[i] + sum(map(_alphabet, value[i : i + p])))
+                    free = min(free, runs[j % p].end(j, 2))
+                elif i >= 0:
+                    for r in runs:
+                        r.clear()
+            for i in range(max(0, j - reach), j - 2):
+                if after[i] < free:
+                    free = min(free, after[i] + self.word(value[i:j], low[i:j], plain[i:j]))
+                    if ch.isdigit() and 4 <= j - i <= 10 and (m := _DATE.fullmatch(value, i, j)):
+                        free = min(free, after[i] + log10(200 if m.end() - i == 4 else 366 * 200))
+            brute = _alphabet(value[j - 1]) + min(brute, after[j - 1])
+            after.append(min(free, brute) + _TWO)
+            if j % 32 == 0 and min(brute, *after[-lately:], walk.least() + turns) >= ENOUGH and all(r.least() >= ENOUGH for r in (equal, steps, *(x for y in blocks.values() for x in y))):
+                return ENOUGH  # whatever follows, no cut or span so far leads to less
+        return min(free, brute, ENOUGH) if n else 0.0
+
+
+def corpus_words(docs: DataFrame, text_col: str = "text", max_words: int = 20_000) -> list[str]:
+    """The most frequent words of all whole texts, most frequent first, ties in alphabetical order.
+
+    Only words between white space and punctuation count, and nothing that follows a colon or an equals sign, so
+    that a credential repeated in many copies is no word.  At most 100,000 words can hold a share of 1/100,000, so
+    what is sorted and what reaches the driver is bounded whatever the corpus.
+    """
+    prose = F.regexp_replace(F.coalesce(F.col(text_col), F.lit("")), r"[:=]\x20*[\"']?[^\x20\x09-\x0D]+", " ")
+    found = F.regexp_extract_all(prose, F.lit(r"(?<![^\x20\x09-\x0D(])(\p{L}{3,24})(?=[\x20\x09-\x0D.,;!?)]|$)"), F.lit(1))
+    counts = cut(docs.select(F.explode(found).alias("w")).groupBy(F.lower("w").alias("w")).agg(F.count("*").alias("n")))
+    total = counts.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+    often = counts.where(F.col("n") * 100_000 >= total)
+    return [r["w"] for r in often.orderBy(F.desc("n"), "w").limit(max_words).collect()]
 
 
 def base_spans(text: str) -> list[tuple[int, int, int, int, int]]:
@@ -145,20 +237,20 @@ def base_spans(text: str) -> list[tuple[int, int, int, int, int]]:
     return out
 
 
-def guess_spans(text: str, min_guesses: float) -> list[tuple[int, int, int, int, int]]:
+def guess_spans(text: str, min_guesses: float, guesser: Guesser) -> list[tuple[int, int, int, int, int]]:
     """Values in a credential context that withstand 10 ** min_guesses guesses, one span per place."""
     found = {}
     for m, g in [*((m, 2) for m in _CONTEXT.finditer(text)), *((m, 1) for m in _URL.finditer(text))]:
         a, b = m.start(g), m.end(g)
         while b - a >= 6 and text[b - 1] in ".:!?)]}":
             b -= 1
-        if b - a >= 6 and guess_cost(text[a:b])[0] >= min_guesses:
+        if b - a >= 6 and guesser.cost(text[a:b]) >= min_guesses:
             found.setdefault((a, b), (a, 3, b, a, b))
     return list(found.values())
 
 
-def all_spans(text: str, min_guesses: float) -> list[tuple[int, int, int, int, int]]:
-    return sorted(set(base_spans(text)) | set(guess_spans(text, min_guesses)))
+def all_spans(text: str, min_guesses: float, guesser: Guesser) -> list[tuple[int, int, int, int, int]]:
+    return sorted(set(base_spans(text)) | set(guess_spans(text, min_guesses, guesser)))
 
 
 def joined(spans) -> str:
@@ -168,41 +260,47 @@ def joined(spans) -> str:
 _SCAN = "doc_id long, n_assign long, n_access long, n_hex long, base_sha256 string, spans string, n_guess long, weakest double"
 
 
-def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_guesses: float = 8.0) -> DataFrame:
-    """Spans per row; ``weakest`` is the least log10 guesses among values of assignments, else null."""
+def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_guesses: float = 8.0, words: Iterable[str] | None = None) -> DataFrame:
+    """Spans per row; ``weakest`` is the least log10 guesses among values of assignments, else null.
+
+    ``words`` None: the corpus's own.
+    """
+    guesser = docs.sparkSession.sparkContext.broadcast(Guesser(corpus_words(docs, text_col) if words is None else words))  # at most max_words words
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        g = guesser.value
         for b in batches:
             rows = []
             for i, t in zip(b["i"].astype("Int64"), b["t"], strict=True):
                 base = sorted(base_spans(t))
-                spans = sorted(set(base) | set(guess_spans(t, min_guesses)))
+                spans = sorted(set(base) | set(guess_spans(t, min_guesses, g)))
                 n = [sum(s[1] == k for s in spans) for k in range(4)]
-                costs = [guess_cost(t[s[3] : s[4]])[0] for s in base if s[1] == 0]
+                costs = [g.cost(t[s[3] : s[4]]) for s in base if s[1] == 0]
                 rows.append((i, n[0], n[1], n[2], hashlib.sha256(joined(base).encode()).hexdigest(), joined(spans), n[3], round(min(costs), 6) if costs else None))
             yield pd.DataFrame(rows, columns=_SCAN.replace(" long", "").replace(" string", "").replace(" double", "").split(", ")).astype({"doc_id": "Int64"})
 
     return docs.select(F.col(id_col).cast("long").alias("i"), F.coalesce(F.col(text_col), F.lit("")).alias("t")).mapInPandas(run, _SCAN)
 
 
-def redact(text: str, min_guesses: float = 8.0, mark: str = "<secret>") -> str:
+def redact(text: str, guesser: Guesser, min_guesses: float = 8.0, mark: str = "<secret>") -> str:
     """The text with the value of every span replaced; overlapping spans become one mark."""
     out, at = [], 0
-    for a, b in sorted((s[3], s[4]) for s in all_spans(text, min_guesses)):
+    for a, b in sorted((s[3], s[4]) for s in all_spans(text, min_guesses, guesser)):
         if a >= at:
             out += [text[at:a], mark]
         at = max(at, b)
     return "".join(out) + text[at:] if out else text
 
 
-def redacted(text_col: Column | str = "text", min_guesses: float = 8.0) -> Column:
-    """Column expression for :func:`redact`; null stays null."""
+def redacted(docs: DataFrame, text_col: str = "text", min_guesses: float = 8.0, words: Iterable[str] | None = None) -> Column:
+    """Column expression over ``docs`` for :func:`redact`; null stays null."""
+    guesser = docs.sparkSession.sparkContext.broadcast(Guesser(corpus_words(docs, text_col) if words is None else words))
 
     @F.pandas_udf("string")
     def run(texts: pd.Series) -> pd.Series:
-        return texts.map(lambda t: None if t is None else redact(t, min_guesses))
+        return texts.map(lambda t: None if t is None else redact(t, guesser.value, min_guesses))
 
-    return run(text_col)
+    return run(F.col(text_col))
 
 
 def op3_secret_scan(spark, sf_dir: str) -> DataFrame:
