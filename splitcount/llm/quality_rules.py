@@ -6,8 +6,9 @@ each vote on good and on bad texts, and the share of good texts; a text's poster
 good then follows from its votes.  A text is kept if the fixed limits hold and the posterior reaches the
 threshold, so that one failed soft rule no longer rejects it by itself.
 
-Repeated three-word windows are found inside each row: windows are hashed to 40 bits beside their 24-bit
-place, one primitive sort brings equal hashes together, and only those candidates are compared as text.
+Repeated three-word windows are found inside each row: a window's hash stands above its place in one long
+(as many bits for the place as the row's words need, 24 at least), one primitive sort brings equal hashes
+together, and only those candidates are compared as text.
 
 Defined results: a null or empty text has no words, so the fixed limits reject it; rows that repeat stay;
 an empty table gives no rows.
@@ -60,18 +61,19 @@ def text_counts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
         "n_ends",
         "n_punct",
         F.transform("words", lambda w: F.xxhash64(w)).alias("wh"),
+        F.greatest(F.lit(_PLACE_BITS), F.length(F.bin(F.size("words").cast("long")))).alias("bits"),
     )
     counts = ["n_words", "word_chars", "n_symbols", "n_lines", "n_dup_lines", "n_upper", "n_ends", "n_punct"]
-    wh = F.col("wh")
+    wh, bits = F.col("wh"), F.col("bits")
     keys = F.transform(
         F.slice(wh, 1, F.greatest(F.col("n_words").cast("int") - 2, F.lit(0))),
-        lambda h, i: F.shiftleft(F.xxhash64(h, F.get(wh, i + 1), F.get(wh, i + 2)), _PLACE_BITS).bitwiseOR(i.cast("long")),
+        lambda h, i: F.call_function("shiftleft", F.xxhash64(h, F.get(wh, i + 1), F.get(wh, i + 2)), bits).bitwiseOR(i.cast("long")),
     )
-    rows = rows.select("doc_id", *counts, "words", F.sort_array(keys).alias("s"))
+    rows = rows.select("doc_id", *counts, "words", "bits", F.sort_array(keys).alias("s"))
     s = F.col("s")
-    place = F.lit((1 << _PLACE_BITS) - 1)
+    place = F.call_function("shiftleft", F.lit(1).cast("long"), bits) - 1
     cand = F.transform(
-        F.filter(s, lambda x, i: _equal_neighbour(s, x, i, lambda k: F.shiftright(k, _PLACE_BITS))),
+        F.filter(s, lambda x, i: _equal_neighbour(s, x, i, lambda k: F.call_function("shiftright", k, bits))),
         lambda x: x.bitwiseAND(place).cast("int"),
     )
     rows = rows.select("doc_id", *counts, "words", cand.alias("cand"), F.size("s").alias("windows"))
