@@ -28,9 +28,11 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from splitcount.llm.common import cut, text_of
+from splitcount.llm.common import cut, remembered, text_of
 
 CAPACITY = 4096
+#: Words above so many bytes are not remembered, and words of so many bytes altogether make the table thin out.
+_LONG, _BYTES = 256, 16 << 20
 
 
 def default_tokenizer() -> str:
@@ -78,7 +80,7 @@ class WordIds:
         n = self.len[old] if words else np.zeros(0, np.int64)
         ends = np.cumsum(n)
         self.pool = self.pool[np.repeat(self.off[old] - ends + n, n) + np.arange(n.sum())] if words else np.zeros(0, np.uint32)
-        self.at = _Places(words)
+        self.at, self.size = _Places(words), sum(map(len, words))
         self.len, self.off = n, np.append(0, ends)
         self.uses = np.zeros(len(words), np.int32)
 
@@ -95,10 +97,15 @@ class WordIds:
         new = sorted({p for c in cuts if c for p in c if p not in parts})
         parts.update(zip(new, self._encode(new), strict=True))
         odd = iter(self._encode([t for t, c in zip(text, cuts, strict=True) if c is None]))
-        return [next(odd) if c is None else parts[c[0]] if len(c) == 1 else b"".join(map(parts.__getitem__, c)) for c in cuts]
+        out = [next(odd) if c is None else parts[c[0]] if len(c) == 1 else b"".join(map(parts.__getitem__, c)) for c in cuts]
+        for p in new:
+            if len(p) > _LONG:  # long parts are forgotten at once
+                del parts[p]
+        return out
 
     def _learn(self) -> None:
         got = self._ids_of(self.at.new)
+        self.size += sum(map(len, self.at.new))
         self.at.new = []
         n = np.fromiter(map(len, got), np.int64, len(got)) // 4
         self.len = np.concatenate((self.len, n))
@@ -112,16 +119,16 @@ class WordIds:
         size = 0
         for t in texts:
             group.append(t.encode("utf-8", "replace").split())
-            size += len(group[-1])
+            size += len(group[-1]) + len(t) // 64  # a text may be one long word
             if size > 400_000:
                 yield from self._group(group)
                 group, size = [], 0
         yield from self._group(group)
 
     def _group(self, group: list[list[bytes]]) -> Iterator[np.ndarray]:
-        if len(self.at) > self.limit:
+        if len(self.at) > self.limit or self.size > _BYTES:
             uses = self.uses.tolist()
-            self._keep([w for w, k in self.at.items() if uses[k] > 1])
+            self._keep([w for w, k in self.at.items() if uses[k] > 1 and len(w) <= _LONG])
         places = [np.fromiter(map(self.at.__getitem__, words), np.int64, len(words)) for words in group]
         self._learn()
         for at in places:
@@ -132,16 +139,6 @@ class WordIds:
             yield self.pool[np.repeat(self.off[at] - ends + n, n) + np.arange(total)]
 
 
-_WORDS: dict[str, WordIds] = {}
-
-
-def _words(path: str) -> WordIds:
-    if path not in _WORDS:
-        _WORDS.clear()
-        _WORDS[path] = WordIds(path)
-    return _WORDS[path]
-
-
 def best_fit(sizes: np.ndarray, capacity: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Best-fit, longest first: (bin, offset) per item and the fill per bin."""
     bins, offs = np.empty(len(sizes), np.int64), np.empty(len(sizes), np.int64)
@@ -192,7 +189,7 @@ def _pack_local(path: str, capacity: int, end_id: int, slack: int, hold: int):
             return f
 
         for batch in batches:
-            ids = _words(path).ids(batch["t"].tolist())
+            ids = remembered(("word ids", path), lambda: WordIds(path)).ids(batch["t"].tolist())
             for doc, got in zip(batch["i"].astype("Int64"), ids, strict=True):
                 got = np.append(got, np.uint32(end_id)).astype("<u4")
                 for k, at in enumerate(range(0, len(got), capacity)):

@@ -11,35 +11,33 @@ Conventions for every operator in this subpackage:
 
 from __future__ import annotations
 
-import tempfile
-import uuid
+from collections.abc import Callable
+from typing import TypeVar
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column
 from pyspark.sql import functions as F
 
-#: Fixed value: a word is a longest stretch without 0x20 and 0x09-0x0D.
-WORD = r"[^\x20\x09-\x0D]+"
+from splitcount.session import cut, shared_dir, table
+
+__all__ = ["WORD", "cut", "held_out", "remembered", "shared_dir", "table", "text_of"]
 
+T = TypeVar("T")
+_REMEMBERED: dict = {}
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that all executors share; a temporary one only where the session names none."""
-    found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if not found:
-        found = tempfile.mkdtemp(prefix="splitcount-checkpoint-")
-        spark.sparkContext.setCheckpointDir(found)
-    return found.rstrip("/")
 
+def remembered(key: tuple, make: Callable[[], T]) -> T:
+    """What a worker keeps from task to task: one operator's vocabulary and word memory at a time.
 
-def cut(df: DataFrame) -> DataFrame:
-    """Write ``df`` once to the shared folder and go on from the written table."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/cut-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    Workers outlive stages; the next operator's tables take the place of the last one's instead of adding to them.
+    """
+    if key not in _REMEMBERED:
+        _REMEMBERED.clear()
+        _REMEMBERED[key] = make()
+    return _REMEMBERED[key]
 
 
-def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+#: Fixed value: a word is a longest stretch without 0x20 and 0x09-0x0D.
+WORD = r"[^\x20\x09-\x0D]+"
 
 
 def held_out(doc_id: Column | str) -> Column:

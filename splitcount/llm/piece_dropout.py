@@ -23,6 +23,7 @@ import re
 import zlib
 from array import array
 from collections.abc import Iterator
+from functools import partial
 from operator import itemgetter
 
 import numpy as np
@@ -30,7 +31,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from splitcount.llm.common import text_of
+from splitcount.llm.common import remembered, text_of
 
 _SPACE = "▁"
 _NEVER = float("inf")
@@ -55,7 +56,7 @@ class Pieces:
 
         sp = sentencepiece.SentencePieceProcessor(model_file=path)
         n = sp.get_piece_size()
-        self.library = sp.encode_as_ids
+        self.library = partial(sp.encode, num_threads=1)
         self.byte = [0] * 256
         self.order: dict[str, float] = {}
         self.ids: dict[str, int] = {}
@@ -68,6 +69,8 @@ class Pieces:
             elif not (sp.is_control(i) or sp.is_unknown(i) or sp.is_unused(i)):
                 self.order[name], self.ids[name] = -sp.get_score(i), i
                 self.raw[i] = name.replace(_SPACE, " ").encode()
+        #: Characters that are pieces: words of them have no byte pieces, so each piece is of whole characters.
+        self.whole = {x for x in self.ids if len(x) == 1 and x != _SPACE}
         self.rate, self.seed, self.limit = rate, seed, limit
         #: Rate 1 leaves no gap.
         self.per_gap = 1 / math.log1p(-rate) if 0 < rate < 1 else 0.0
@@ -89,21 +92,21 @@ class Pieces:
         return array("I", out).tobytes(), pops
 
     def _plain(self, units: list[str]) -> None:
-        """Make units known; words of printable ASCII by the library, where each piece is of whole characters."""
+        """Make units known; single words of whole pieces by the library."""
         if len(self.known) + len(units) > self.limit:  # what is still in use moves on from the old table
             self.old, self.known = self.known, {}
-        known, old = self.known, self.old
+        known, old, whole = self.known, self.old, self.whole
         new = []
         for u in units:
             got = old.get(u)
             if got is not None:
                 known[u] = got
-            elif u[0] == " " and u[1:2].strip() and u.isascii() and u.isprintable():
-                new.append(u)
+            elif u[0] == " " and whole.issuperset(word := u[1:]) and word:
+                new.append(word)
             else:
                 known[u] = self.unit(u)
-        for u, ids in zip(new, map(self.library, [u[1:] for u in new]), strict=True):
-            known[u] = array("I", ids).tobytes(), len(u) - len(ids)
+        for word, ids in zip(new, self.library(new) if new else (), strict=True):
+            known[" " + word] = array("I", ids).tobytes(), len(word) + 1 - len(ids)
 
     def _short(self, text: str, skips: int) -> tuple[list[str], int]:
         """The agenda as a list of the neighbours' orders; the smallest, leftmost one is next."""
@@ -230,15 +233,8 @@ class Pieces:
         return b"".join(map(self.raw.__getitem__, ids)).decode("utf-8", "replace")[1:]
 
 
-_PIECES: dict[tuple, Pieces] = {}
-
-
 def _pieces(path: str, rate: float, seed: int) -> Pieces:
-    key = (path, rate, seed)
-    if key not in _PIECES:
-        _PIECES.clear()
-        _PIECES[key] = Pieces(path, rate, seed)
-    return _PIECES[key]
+    return remembered(("pieces", path, rate, seed), lambda: Pieces(path, rate, seed))
 
 
 def encode_table(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rate: float = 0.1, seed: int = 2024, model: str | None = None) -> DataFrame:

@@ -1,7 +1,7 @@
 """Edit-aware token counts.
 
 A document is held as a segment tree over its pre-tokens: leaves are short runs of pre-tokens with their
-characters and token counts, inner nodes hold the sums.  An edit goes down the tree to the place it
+text, lengths and token counts, inner nodes hold the sums.  An edit goes down the tree to the place it
 touches, steps back over the few characters of context that a cut may depend on, and re-encodes from
 there only until a new cut falls on an old one; sums change along the touched paths alone.
 
@@ -17,16 +17,19 @@ from __future__ import annotations
 
 import base64
 import re
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
+from itertools import accumulate
 
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from splitcount.llm.common import text_of
+from splitcount.llm.common import remembered, text_of
 
 _CONTEXT = 3
 _RUN = 64
+#: Longest pre-token that is remembered, in characters: bounds the memory of counts in bytes.
+_KNOWN = 64
 #: Texts whose letters, digits and spaces the short pattern below knows.
 _PLAIN = re.compile(r"[\t\n\r\x20-\x7eÀ-ÖØ-öø-ÿ]*")
 #: The tokenizer's cuts, for such texts.
@@ -65,9 +68,11 @@ class PieceCounter:
     def count(self, piece: str) -> int:
         n = self.known.get(piece)
         if n is None:
-            if len(self.known) > self.limit:
-                self.known.clear()
-            n = self.known[piece] = len(self.encoding.encode_ordinary(piece))
+            n = len(self.encoding.encode_ordinary(piece))
+            if len(piece) <= _KNOWN:  # long pre-tokens seldom come again
+                if len(self.known) > self.limit:
+                    self.known.clear()
+                self.known[piece] = n
         return n
 
     def counts(self, pieces: list[str]) -> list[int]:
@@ -78,15 +83,19 @@ class PieceCounter:
 
 
 class TokenTree:
-    """Pre-tokens of one text under a tree of sums; node 1 is the root, leaf k is node ``size + k``."""
+    """Pre-tokens of one text under a tree of sums; node 1 is the root, leaf k is node ``size + k``.
+
+    A leaf holds its stretch of the text, and the length and token count of each of its pre-tokens.  Nothing else
+    holds the text, so an edit costs what it touches and a path to the root.
+    """
 
     def __init__(self, text: str, counter: PieceCounter):
-        self.text, self.counter, self.reencoded = text, counter, 0
-        self._build(pieces := counter.pieces(text), counter.counts(pieces))
+        self.counter, self.reencoded = counter, 0
+        pieces = counter.pieces(text)
+        self._lay(text, list(map(len, pieces)), counter.counts(pieces))
 
-    def _build(self, pieces: list[str], counts: list[int]) -> None:
-        lens = list(map(len, pieces))
-        cuts = range(0, max(len(pieces), 1), _RUN)
+    def _lay(self, text: str, lens: list[int], counts: list[int]) -> None:
+        cuts = range(0, max(len(lens), 1), _RUN)
         self.lens = [lens[i : i + _RUN] for i in cuts]
         self.counts = [counts[i : i + _RUN] for i in cuts]
         n = len(self.lens)
@@ -94,10 +103,16 @@ class TokenTree:
         self.chars, self.tokens = [0] * (2 * self.size), [0] * (2 * self.size)
         self.chars[self.size : self.size + n] = map(sum, self.lens)
         self.tokens[self.size : self.size + n] = map(sum, self.counts)
+        ends = list(accumulate(self.chars[self.size : self.size + n]))
+        self.parts = [text[a:z] for a, z in zip([0, *ends], ends, strict=False)]
         for sums in (self.chars, self.tokens):
             for k in range(self.size - 1, 0, -1):
                 sums[k] = sums[2 * k] + sums[2 * k + 1]
 
+    @property
+    def text(self) -> str:
+        return "".join(self.parts)
+
     @property
     def total(self) -> int:
         return self.tokens[1]
@@ -116,6 +131,19 @@ class TokenTree:
                 k += 1
         return k - self.size, start
 
+    def _read(self, start: int, end: int) -> str:
+        """Characters start..end of the text."""
+        if start >= end:
+            return ""
+        leaf, at = self._leaf_at(start)
+        out = [self.parts[leaf][start - at : end - at]]
+        at += len(self.parts[leaf])
+        while at < end:
+            leaf += 1
+            out.append(self.parts[leaf][: end - at])
+            at += len(self.parts[leaf])
+        return "".join(out)
+
     def _touch(self, leaf: int) -> None:
         k = self.size + leaf
         self.chars[k], self.tokens[k] = sum(self.lens[leaf]), sum(self.counts[leaf])
@@ -125,22 +153,26 @@ class TokenTree:
             self.tokens[k] = self.tokens[2 * k] + self.tokens[2 * k + 1]
 
     def replace(self, start: int, end: int, new: str) -> None:
-        """Replace text[start:end] by ``new`` and bring the counts up to date."""
-        if self.text[start:end] == new:
+        """Replace characters start..end by ``new`` and bring the counts up to date."""
+        if self._read(start, end) == new:
             return
-        shift = len(new) - (end - start)
-        old_length = len(self.text)
-        self.text = text = self.text[:start] + new + self.text[end:]
+        shift, old_length = len(new) - (end - start), self.chars[1]
+        edited = start + len(new)  # where the edit ends in the new text
+
+        def after(a: int, z: int) -> str:
+            """Characters a..z of the new text."""
+            return self._read(a, min(z, start)) + new[max(a - start, 0) : max(z - start, 0)] + self._read(max(a, edited) - shift, z - shift)
+
         # First pre-token that ends within the context before the edit.
         leaf, at = self._leaf_at(max(0, start - _CONTEXT))
-        piece = 0
+        begin, piece = at, 0
         while piece < len(self.lens[leaf]) - 1 and at + self.lens[leaf][piece] <= start - _CONTEXT:
             at += self.lens[leaf][piece]
             piece += 1
-        first_leaf, first_piece = leaf, piece
+        first_leaf, first_piece, cut = leaf, piece, at
         # Old cuts from the end of the edit on, walked in step with the new ones.
         old = at
-        lens, counts = [], []
+        lens, counts, found = [], [], []
 
         def step() -> bool:
             """Move the old cut past one pre-token."""
@@ -154,15 +186,15 @@ class TokenTree:
             return True
 
         met = False
-        # A window keeps the matcher off the far rest of long texts.
-        for m in self._cuts_from(text, at):
-            lens.append(m[1])
-            counts.append(self.counter.count(text[m[0] : m[0] + m[1]]))
-            place = m[0] + m[1]
-            while old < end or old + shift < place:
+        for token in self._cuts_from(after, old_length + shift, at):
+            lens.append(len(token))
+            counts.append(self.counter.count(token))
+            found.append(token)
+            at += len(token)
+            while old < end or old + shift < at:
                 if not step():
                     break
-            if old >= end and old + shift == place:
+            if old >= end and old + shift == at:
                 met = True
                 break
         self.reencoded += len(lens)
@@ -170,46 +202,38 @@ class TokenTree:
             while old < old_length and step():
                 pass
         if leaf < len(self.lens):
-            rest = (self.lens[leaf][piece:], self.counts[leaf][piece:])
+            left = sum(self.lens[leaf][piece:])
+            rest = (self.lens[leaf][piece:], self.counts[leaf][piece:], self.parts[leaf][len(self.parts[leaf]) - left :])
         else:
-            leaf, rest = len(self.lens) - 1, ([], [])
-        head = (self.lens[first_leaf][:first_piece], self.counts[first_leaf][:first_piece])
+            leaf, rest = len(self.lens) - 1, ([], [], "")
+        head = (self.lens[first_leaf][:first_piece], self.counts[first_leaf][:first_piece], self.parts[first_leaf][: cut - begin])
         for k in range(first_leaf, leaf + 1):
-            self.lens[k], self.counts[k] = [], []
-        self.lens[first_leaf], self.counts[first_leaf] = head[0] + lens, head[1] + counts
+            self.lens[k], self.counts[k], self.parts[k] = [], [], ""
+        self.lens[first_leaf], self.counts[first_leaf], self.parts[first_leaf] = head[0] + lens, head[1] + counts, head[2] + "".join(found)
         if leaf == first_leaf:
             self.lens[leaf] += rest[0]
             self.counts[leaf] += rest[1]
+            self.parts[leaf] += rest[2]
         else:
-            self.lens[leaf], self.counts[leaf] = rest
+            self.lens[leaf], self.counts[leaf], self.parts[leaf] = rest
         if len(self.lens[first_leaf]) > 8 * _RUN:  # an overgrown leaf: lay the leaves out anew, without encoding
-            flat = [x for r in self.lens for x in r], [x for r in self.counts for x in r]
-            self._relay(*flat)
+            self._lay(self.text, [x for r in self.lens for x in r], [x for r in self.counts for x in r])
         else:
-            for k in {first_leaf, leaf, *range(first_leaf, leaf + 1)}:
+            for k in range(first_leaf, leaf + 1):
                 self._touch(k)
 
-    def _relay(self, lens: list[int], counts: list[int]) -> None:
-        cuts = range(0, max(len(lens), 1), _RUN)
-        self.lens, self.counts = [lens[i : i + _RUN] for i in cuts], [counts[i : i + _RUN] for i in cuts]
-        n = len(self.lens)
-        self.size = 1 << (n - 1).bit_length()
-        self.chars, self.tokens = [0] * (2 * self.size), [0] * (2 * self.size)
-        for leaf in range(n):
-            self._touch(leaf)
-
-    def _cuts_from(self, text: str, at: int) -> Iterator[tuple[int, int]]:
-        """(start, length) of the pre-tokens from the cut ``at`` on; reads windows, doubling as needed."""
+    def _cuts_from(self, read: Callable[[int, int], str], length: int, at: int) -> Iterator[str]:
+        """The pre-tokens from the cut ``at`` on; reads windows, doubling as needed."""
         width = 256
-        while at < len(text):
-            stop = min(len(text), at + width)
-            window = text[at:stop]
+        while at < length:
+            stop = min(length, at + width)
+            window = read(at, stop)
             done = 0
             for m in self.counter.finditer(window, 0):
                 # Near a window's end a match could still grow or change.
-                if stop < len(text) and m.end() > len(window) - _CONTEXT:
+                if stop < length and m.end() > len(window) - _CONTEXT:
                     break
-                yield at + m.start(), m.end() - m.start()
+                yield m[0]
                 done = m.end()
             at += done
             width = width * 2 if not done else 256
@@ -227,22 +251,12 @@ def cleaning_edits(text: str) -> list[tuple[int, int, str]]:
     return out
 
 
-_COUNTER: dict[str, PieceCounter] = {}
-
-
-def _counter(path: str) -> PieceCounter:
-    if path not in _COUNTER:
-        _COUNTER.clear()
-        _COUNTER[path] = PieceCounter(path)
-    return _COUNTER[path]
-
-
 def counts_with_edits(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", edits=cleaning_edits, ranks: str | None = None) -> DataFrame:
     """(doc_id, n_pieces, n_tokens, n_edits, n_reencoded, n_tokens_after); ``edits`` maps a text to its edits."""
     path = ranks or default_ranks()
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        counter = _counter(path)
+        counter = remembered(("piece counts", path), lambda: PieceCounter(path))
         for b in batches:
             rows = []
             for i, t in zip(b["i"].astype("Int64"), b["t"], strict=True):

@@ -16,6 +16,7 @@ row every score is 0; several labels of one doc_id count as toxic if any is; an
 from __future__ import annotations
 
 import re
+import uuid
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
@@ -25,7 +26,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from splitcount.llm.common import held_out, table, text_of
+from splitcount.llm.common import held_out, remembered, table, text_of
 
 _WORDS = re.compile(r"[^\W\d_]+")
 _SENTENCE = re.compile(r"[^.!?\n]+")
@@ -59,17 +60,19 @@ class ToxicModel:
     index: dict[str, int] = field(default_factory=dict)
     weight: np.ndarray = field(default_factory=lambda: np.zeros(0))
     bias: float | None = None
-    known: dict[str, tuple[int, ...]] = field(default_factory=dict)
+    name: str = field(default_factory=lambda: uuid.uuid4().hex)
 
     def features(self, text: str) -> set[int]:
-        if len(self.known) > 200_000:  # a bounded memory of words
-            self.known.clear()
-        known, index = self.known, self.index
+        known, index = remembered(("toxic words", self.name, len(self.index)), dict), self.index
+        if len(known) > 100_000:  # a bounded memory of words
+            known.clear()
         out: set[int] = set()
         for w in words_of(text):
             got = known.get(w)
             if got is None:
-                got = known[w] = tuple(index[f] for f in word_features(w) if f in index)
+                got = tuple(index[f] for f in word_features(w) if f in index)
+                if len(w) <= 64:
+                    known[w] = got
             if got:
                 out.update(got)
         return out
