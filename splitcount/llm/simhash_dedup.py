@@ -280,16 +280,11 @@ def near_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     return fps.join(known, "fp").select("doc_id", "fp", "component_id")
 
 
-def leading(docs: DataFrame, classes: DataFrame, id_col: str = "doc_id") -> DataFrame:
-    """The rows whose id leads their class.  Rows that share the leading id all stay."""
-    lead = classes.where(F.col("doc_id").eqNullSafe(F.col("component_id")))
-    ids = lead.select(F.col("doc_id").alias("_lead")).distinct()
-    return docs.join(ids, docs[id_col].cast("long").eqNullSafe(ids["_lead"]), "left_semi")
-
-
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **how) -> DataFrame:
-    """The rows whose id leads their class by fingerprints."""
-    return leading(docs, near_classes(docs, id_col, text_col, **how), id_col)
+    """The rows whose id leads their class by fingerprints.  Rows that share the leading id all stay."""
+    classes = near_classes(docs, id_col, text_col, **how)
+    ids = classes.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("_lead")).distinct()
+    return docs.join(ids, docs[id_col].cast("long").eqNullSafe(ids["_lead"]), "left_semi")
 
 
 def fingerprint_text(fp: str = "fp"):
