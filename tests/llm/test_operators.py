@@ -120,10 +120,95 @@ def test_language_held_out_accuracy(spark):
 
 
 def test_language_mixture_proportions():
-    m = LM.LanguageModel({"a": np.bincount(LM.units("alpha beta gamma " * 50)[0], minlength=1 << 15), "b": np.bincount(LM.units("zzyx wqqv kjjk " * 50)[0], minlength=1 << 15), "c": np.bincount(LM.units("mnop rstu " * 50)[0], minlength=1 << 15)})
-    mix = LM.infer(m.word_scores("alpha beta gamma " * 3 + "zzyx wqqv kjjk "), 2.0)
+    m = LM.LanguageModel({"a": np.bincount(LM.units("alpha beta gamma " * 50), minlength=1 << 15), "b": np.bincount(LM.units("zzyx wqqv kjjk " * 50), minlength=1 << 15), "c": np.bincount(LM.units("mnop rstu " * 50), minlength=1 << 15)})
+    mix = LM.infer(*m.word_scores("alpha beta gamma " * 3 + "zzyx wqqv kjjk "), 2.0)
     assert set(mix) == {0, 1} and mix[0] == pytest.approx(0.75, abs=0.02)
-    assert LM.infer(m.word_scores("alpha beta"), 2.0) == {0: 1.0}
+    assert LM.infer(*m.word_scores("alpha beta"), 2.0) == {0: 1.0}
+
+
+def brute_languages(rows, ask, penalty=4.0):
+    """Counts, smoothing, expectation-maximisation and selection for the rows numbered in ``ask``, word by word."""
+    from math import exp, log
+
+    def words(t):
+        b = bytes(x + 32 if 65 <= x <= 90 else x if x >= 128 or 97 <= x <= 122 else 0 for x in (t or "").encode())
+        return [w for w in b.split(b"\0") if w]
+
+    def buckets(w):
+        f = b"\0" + w + b"\0"
+        return [((f[k] << 16 | f[k + 1] << 8 | f[k + 2]) * 2654435761 % 2**32) >> 17 for k in range(len(w))]
+
+    counts = {}
+    for i, t, lang in rows:
+        if lang is not None and not (i is not None and zlib.crc32(str(i).encode()) % 4 == 2):
+            c = counts.setdefault(lang, Counter())
+            for w in words(t):
+                c.update(buckets(w))
+    langs = sorted(counts)
+    total = {x: sum(counts[x].values()) + 0.1 * 2**15 for x in langs}
+    out = []
+    for i, t, _ in (rows[k] for k in sorted(ask)):
+        ws = words(t)
+        if not any(map(str.isalpha, t or "")) or not ws or not langs:
+            out.append((i, "und"))
+            continue
+        ll = [[sum(log((counts[x][k] + 0.1) / total[x]) for k in buckets(w)) for x in langs] for w in ws]
+        fit = [sum(r[k] for r in ll) for k in range(len(langs))]
+        chosen, p = [max(range(len(langs)), key=lambda k: fit[k])], [1.0]
+        best, price = fit[chosen[0]], penalty * log(max(len(ws), 2))
+
+        def mixture(cols, ll=ll):
+            p = [1 / len(cols)] * len(cols)
+            top = [max(r[c] for c in cols) for r in ll]
+            for _ in range(30):
+                new = [0.0] * len(cols)
+                for r, z in zip(ll, top, strict=True):
+                    lik = [q * exp(r[c] - z) for q, c in zip(p, cols, strict=True)]
+                    for k, x in enumerate(lik):
+                        new[k] += x / sum(lik) / len(ll)
+                moved, p = max(abs(a - b) for a, b in zip(p, new, strict=True)), new
+                if moved < 1e-4:
+                    break
+            return p, sum(log(sum(q * exp(r[c] - z) for q, c in zip(p, cols, strict=True))) + z for r, z in zip(ll, top, strict=True))
+
+        while len(chosen) < len(langs):
+            value, k, q = max(((v, k, q) for k in range(len(langs)) if k not in chosen for q, v in [mixture([*chosen, k])]), key=lambda x: (x[0], -x[1]))
+            if value - best <= price:
+                break
+            chosen.append(k)
+            p, best = q, value
+        out.append((i, langs[chosen[min(range(len(chosen)), key=lambda k: (-round(p[k], 9), chosen[k]))]]))
+    return out
+
+
+def test_languages_by_brute_force(docs, odd):
+    for df, few in ((docs, 60), (odd.where("length(text) < 5000 or text is null"), 60)):
+        model = LM.fit(df, ~held_out("doc_id"))
+        rows = [(r["doc_id"], r["text"], r["lang"]) for r in df.select("doc_id", "text", "lang").collect()]
+        got = Counter((r["doc_id"], r["lang_pred"]) for r in LM.predict(df, model).collect())
+        short = sorted(range(len(rows)), key=lambda k: len(rows[k][1] or ""))[:few]
+        want = brute_languages(rows, set(short))
+        assert len(want) >= 8 and not Counter(want) - got
+
+
+def test_many_labels_take_a_coarser_table(spark):
+    assert LM.table_bits(4) == LM.table_bits(200) == 15 and LM.table_bits(201) == 14 and LM.table_bits(10**9) == 1
+    rows = [(3 * k, f"w{k} " + chr(97 + k % 26) * (3 + k // 26), f"l{k:03}") for k in range(300)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    model = LM.fit(df, F.lit(True))
+    assert len(model.langs) == 300 and model.logp.shape == (1 << 14, 300)
+    assert sum(r["lang"] == r["lang_pred"] for r in LM.predict(df, model).join(df, "doc_id").collect()) >= 26  # profiles differ by their letter only
+
+
+def test_slices_of_long_texts_change_nothing(monkeypatch):
+    text = "ein Wort und noch eins, über alles " * 40 + "x" * 5000 + " ende"
+    m = LM.LanguageModel({x: np.bincount(LM.units(x), minlength=1 << 15) for x in ("ein wort noch", "over all words", "x y z")})
+    whole = m.word_scores(text)
+    monkeypatch.setattr(LM, "_CELLS", 3 << 10)
+    parts = m.word_scores(text)
+    assert len(whole[0]) == len(parts[0]) and np.allclose(whole[0], parts[0], atol=1e-2) and LM.infer(*whole, 4.0).keys() == LM.infer(*parts, 4.0).keys()
+    rows, times = LM._gathered(*whole)
+    assert len(rows) < len(whole[0]) and times.sum() == whole[1].sum() and LM.infer(rows, times, 4.0) == pytest.approx(LM.infer(*whole, 4.0))
 
 
 def test_language_edges(odd, spark):
@@ -156,30 +241,93 @@ def test_secret_base_spans(docs, odd, spark):
         assert Counter((r["doc_id"], r["base_sha256"]) for r in SS.scan(df).collect()) == Counter((i, base_digest(t)) for i, t in texts(df))
 
 
-def segmented(v):
-    """Plain minimum over all cuts into single letters and known words."""
-    best = [0.0] + [float("inf")] * len(v)
-    for j in range(1, len(v) + 1):
-        for i in range(j):
-            best[j] = min(best[j], best[i] + sum(map(SS._alphabet, v[i:j])))
-    return best[-1]
+def segment_costs(g, v):
+    """Least cost of every single segment v[i:j], by trying each kind on it."""
+    two, low = np.log10(2), v.lower()
+    length = lambda n: two * (min(n, 64).bit_length() - 1)
+    out = {}
+    for i in range(len(v)):
+        for j in range(i + 1, len(v) + 1):
+            s, n = low[i:j], j - i
+            best = brute = sum(map(SS._alphabet, v[i:j]))
+            if n >= 3 and len(set(s)) == 1:
+                best = min(best, SS._alphabet(v[i]) + length(n))
+            if n >= 3 and {ord(y) - ord(x) for x, y in zip(s, s[1:], strict=False)} in ({1}, {-1}):
+                best = min(best, SS._alphabet(v[i]) + two + length(n))
+            moves = [SS._move(x, y) for x, y in zip(s, s[1:], strict=False)]
+            if n >= 4 and None not in moves:
+                best = min(best, np.log10(47) + length(n) + two * sum(x != y for x, y in zip(moves, moves[1:], strict=False)))
+            for p in range(2, n // 2 + 1):
+                if n % p == 0 and s == s[:p] * (n // p):
+                    best = min(best, sum(map(SS._alphabet, v[i : i + p])) + length(n // p))
+            best = min(best, g.word(v[i:j], s, s.translate(SS._LEET)) if n >= 3 else brute)
+            if SS._DATE.fullmatch(v[i:j]):
+                best = min(best, np.log10(200) if n == 4 else np.log10(366 * 200))
+            out[i, j] = best
+    return out
+
+
+def exhaustive(g, v):
+    """Least over all ways to cut v."""
+    seg, n, best = segment_costs(g, v), len(v), SS.ENOUGH
+    for mask in range(1 << (n - 1)):
+        ends = [0, *(k + 1 for k in range(n - 1) if mask >> k & 1), n]
+        best = min(best, sum(seg[a, b] for a, b in zip(ends, ends[1:], strict=False)) + (len(ends) - 2) * np.log10(2))
+    return best
+
+
+def test_guess_costs_are_the_minimum_over_all_segmentations():
+    import random
+
+    rnd, g = random.Random(3), SS.Guesser(["required", "ananas"])
+    bits = ["a", "b", "aa", "abc", "qwe", "rty", "12", "321", "2019", "0412", "pass", "P@ss", "dog", "apple", "Ana", "zx", "xy", "Z", "9", "!", "é", "aaa", "abab", "rtyuiop"]
+    values = ["aaaapple", "passwordrty", "abcabcabcab", "20190412ab", "qwertyqwerty", "aAaA1111", "asdfdsasdf"]
+    while len(values) < 1000:
+        values.append("".join(rnd.choice(bits) for _ in range(rnd.randint(1, 6)))[: rnd.choice([5, 7, 8, 9])])
+    values += ["".join(rnd.choice(bits) for _ in range(8))[:12] for _ in range(25)]
+    for v in values:
+        assert g.cost(v) == pytest.approx(exhaustive(g, v), abs=1e-9), v
 
 
 def test_guess_costs():
-    cost = lambda v: SS.guess_cost(v)[0]
+    cost = SS.Guesser().cost
     assert cost("password") < cost("password1") < cost("x9Kq3vB7tR")
+    assert cost("aaaapple") <= 4.21 and cost("passwordrtyuiop") < 8
     assert cost("aaaaaaaaaaaa") < 4 and cost("abcabcabcabc") < 6 and cost("qwertyuiop") < 6 and cost("20190412") < 6
-    assert cost("P@ssw0rd2019") < 6
-    for v in ("zq8", "k3", "xzv"):
-        assert cost(v) <= segmented(v) + 1e-9
-    assert all(cost(v) <= sum(map(SS._alphabet, v)) + 1e-9 for v in ("correcthorse", "Zebra!77", "ab12ab12"))
-    assert SS.guess_cost("a" * 50_000)[0] < 10  # linear in the value's length
+    assert cost("P@ssw0rd2019") < 6 and cost("") == 0
+    assert cost("xkcd" * 5) < 8 and cost("correcthorsebatterystaple") == SS.ENOUGH
+    assert SS.Guesser(["correct", "horse", "battery", "staple"]).cost("correcthorsebatterystaple") < 11
+
+
+def test_long_values_are_searched_in_bounded_time():
+    import random
+    import time
+
+    rnd, g = random.Random(1), SS.Guesser()
+    strong = "".join(rnd.choice("abcdefghijklmnopqrstuvwxyz0123456789+/") for _ in range(5_000_000))
+    at = time.perf_counter()
+    assert g.cost(strong) == SS.ENOUGH and strong not in g.known
+    assert g.cost("a" * 100_000) < 4 and g.cost("ab" * 20_000) < 6 and g.cost("qwertyuiop" * 3_000) == SS.ENOUGH
+    text = f"see token = {strong} and\n" + "password is " + "b" * 50_000
+    assert SS.redact(text, g) == "see token = <secret> and\npassword is " + "b" * 50_000
+    assert time.perf_counter() - at < 120
+
+
+def test_corpus_words_rank_by_frequency(spark):
+    rows = [(k, "The token is required. Ananas, ananas (and) ananas!") for k in range(20)] + [(50, "password: zorgblatt token=qqq"), (51, None), (52, "")]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    words = SS.corpus_words(df)
+    assert words[0] == "ananas" and "required" in words and "zorgblatt" not in words and SS.corpus_words(df.limit(0)) == []
+    assert SS.corpus_words(df, max_words=2) == words[:2]
+    spans = {r["doc_id"]: r["n_guess"] for r in SS.scan(df).collect()}
+    assert spans[0] == 0 and SS.scan(df.limit(0)).count() == 0
 
 
 def test_redaction_leaves_no_base_span():
     t = "see password: hunter2xyz and api_key='Zk39dkE02kdLs9' or https://bob:Xk29dk3kfE@host/ and deadbeefdeadbeefdeadbeefdeadbeef."
-    r = SS.redact(t)
-    assert not SS.base_spans(r) and "host" in r and SS.redact("plain words only") == "plain words only"
+    g = SS.Guesser()
+    r = SS.redact(t, g)
+    assert not SS.base_spans(r) and "host" in r and SS.redact("plain words only", g) == "plain words only"
     assert "Xk29dk3kfE" not in r
 
 
@@ -303,14 +451,95 @@ def test_line_dedup_documents(docs, odd):
         assert got == Counter((i, t if t is None else lines_after(t, want.get((i, t), ()))) for i, t in rows)
 
 
+def brute_runs(rows):
+    """(id, text, i) -> lines of the longest run from line i on that also starts earlier."""
+    keyed = sorted({x for x in rows if x[1] is not None}, key=lambda x: (x[0] is not None, x[0] or 0))
+    seqs = [(i, t, [s for s in t.split("\n") if WORD.search(s)]) for i, t in keyed]
+    at, out = {}, {}
+    for d, (i, t, seq) in enumerate(seqs):
+        for k in range(len(seq)):
+            best = 0
+            for e, x in at.get(seq[k], ()):
+                n, other = 1, seqs[e][2]
+                while k + n < len(seq) and x + n < len(other) and seq[k + n] == other[x + n]:
+                    n += 1
+                best = max(best, n)
+            if best:
+                out[i, t, k] = best
+            at.setdefault(seq[k], []).append((d, k))
+    return out
+
+
+def run_rows(df):
+    keys = {(r["d"], r["t"]): (r["doc_id"], r["text"]) for r in df.where("text is not null").select("doc_id", "text", *LD._doc_key("doc_id", "text")).collect()}
+    runs = LD.run_lengths(LD.suffix_levels(LD.line_table(df)))
+    return {(*keys[r["d"], r["t"]], r["i"]): r["run"] for r in runs.collect()}, runs, keys
+
+
+@pytest.mark.parametrize("seed", [1, 2])
+def test_run_lengths_are_exact(spark, seed):
+    """Random sequences over few lines, copies of stretches, and one line in a third of all places."""
+    import random
+
+    rnd = random.Random(seed)
+    rows = []
+    for k in range(40):
+        seq = [rnd.choice("abcdefg" + "H" * 4) for _ in range(rnd.randint(0, 25))]
+        if rows and rnd.random() < 0.7:
+            old = rnd.choice(rows)[1].split("\n")
+            a = rnd.randint(0, len(old))
+            seq += old[a : a + rnd.randint(0, 30)]
+        rows.append((k or None, "\n".join(seq)))
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    got, runs, keys = run_rows(df)
+    want = brute_runs(rows)
+    assert got == want and max(want.values()) > 8
+    maximal = {(*keys[r["d"], r["t"]], r["i"]): r["run"] for r in LD.maximal_runs(runs).collect()}
+    assert maximal == {(i, t, k): n for (i, t, k), n in want.items() if want.get((i, t, k - 1)) != n + 1}
+
+
+@pytest.mark.parametrize("min_lines", [3])
+def test_any_least_run(docs, min_lines):
+    rows = texts(docs)
+    want = brute_lines(rows, run=min_lines)
+    got = Counter((r["doc_id"], r["text"]) for r in LD.dedup_lines(docs, min_lines=min_lines).collect())
+    assert got == Counter((i, t if t is None else lines_after(t, want.get((i, t), ()))) for i, t in rows)
+
+
+def test_runs_of_documents(docs, odd):
+    for df in (docs, odd):
+        assert run_rows(df)[0] == brute_runs(texts(df))
+
+
+def test_hot_and_cold_names_join_alike(spark, monkeypatch):
+    rows = [(k, "same line\n" * 3 + f"own {k}\nnext {k % 3}") for k in range(60)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    want = brute_runs(rows)
+    for share in (1, 3, 10**9):
+        monkeypatch.setattr(LD, "_HOT_SHARE", share)
+        assert run_rows(df)[0] == want
+
+
+def test_a_text_of_many_lines(spark):
+    """200,000 lines, nearly all of them later copies: time in proportion to the text."""
+    import time
+
+    text = "\n".join(f"a line of six words {k % 50_000}" for k in range(200_000))
+    df = spark.createDataFrame([(1, text), (2, "a line of six words 7")], "doc_id long, text string")
+    at = time.perf_counter()
+    got = {r["doc_id"]: r["text"] for r in LD.dedup_lines(df).collect()}
+    assert got == {1: "\n".join(text.split("\n")[:50_000]), 2: ""}
+    assert time.perf_counter() - at < 300
+
+
 def test_suffix_names_order_the_suffixes(docs):
-    """Names of the last doubling step compare like the blocks of line ids they stand for."""
+    """Names of every doubling step compare like the blocks of line ids they stand for."""
     lines = LD.line_table(docs)
     levels = LD.suffix_levels(lines)
     assert len(levels) >= 2
     ids = {(r["d"], r["t"], r["i"]): (r["h1"], r["h2"]) for r in lines.collect()}
     for k, level in enumerate(levels[:3]):
-        rows = level.collect()
+        rows = level.rows.collect()
         blocks = {r["name"]: set() for r in rows}
         for r in rows:
             blocks[r["name"]].add(tuple(ids[r["d"], r["t"], r["i"] + x] for x in range(1 << k)))
