@@ -7,7 +7,7 @@ The Spark side uses this inside Arrow functions on rows that are already aggrega
 from __future__ import annotations
 
 import struct
-from collections import Counter
+from collections.abc import Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -53,24 +53,65 @@ def best_base_scan(hist: dict[int, int] | np.ndarray, kappa: int) -> BaseScan:
     return BaseScan(best, sparse if m else 0, visited)
 
 
+#: Registers that are looked at together; whole words for every cell width.
+BLOCK = 1 << 12
+
+
+def lazy_base(hist: np.ndarray, kappa: int, base: int) -> int:
+    """From ``base`` on to the next register value as long as that makes the sparse part smaller."""
+    wide = 1 << kappa
+    inside = lambda b: int(hist[b : b + wide].sum())
+    for b in np.flatnonzero(hist).tolist():
+        if b > base:
+            if inside(b) <= inside(base):
+                break
+            base = b
+    return base
+
+
+def base_for(variant: str, hist: np.ndarray, kappa: int, base: int = 0) -> int:
+    """The base that a variant takes for given registers; ``base`` is where the lazy one stands."""
+    if variant == "min":
+        return int(np.flatnonzero(hist)[0])
+    if variant == "lazy":
+        return lazy_base(hist, kappa, base)
+    return best_base_scan(hist, kappa).base
+
+
 @dataclass
 class Sketch:
-    """Split form: offsets of the registers in the base's window, and packed entries for the rest.
+    """Split form: packed offsets of the registers in the base's window, and packed entries for the rest.
 
-    ``cells`` holds 0 where the register is sparse; ``entries`` are (index << 6) | value, ascending.
+    ``cells`` holds 0 where the register is sparse; ``entries`` are (index << 6) | value, ascending.  Everything
+    below works on this form; registers are spread out one block at a time.
     """
 
     p: int
     kappa: int
     base: int
-    cells: np.ndarray
-    entries: np.ndarray
+    cells: bits.PackedArray
+    entries: bits.PackedArray
     hash_id: int = HASH_IDS["md5_64"]
     seed: int = 0
     variant: str = "opt"
 
     # ---- conversions
 
+    @classmethod
+    def _of_blocks(cls, blocks: Iterator[np.ndarray], p: int, kappa: int, base: int, **tags) -> Sketch:
+        """Split the blocks of registers, in order, at a given base."""
+        check_kappa(kappa)
+        cells, out, start = [], [], 0
+        for regs in blocks:
+            inside = (regs >= base) & (regs < base + (1 << kappa))
+            cells.append(bits.pack(np.where(inside, regs - base, 0), kappa))
+            at = np.flatnonzero(~inside)
+            out.append((at + start << VALUE_BITS) | regs[at])
+            start += len(regs)
+        sparse = np.concatenate(out)
+        width = p + VALUE_BITS
+        return cls(p, kappa, base, bits.PackedArray(kappa, start, b"".join(cells)), bits.PackedArray(width, len(sparse), bits.pack(sparse, width)), **tags)
+
     @classmethod
     def from_registers(cls, regs: np.ndarray, kappa: int = 3, base: int | None = None, **tags) -> Sketch:
         regs = np.asarray(regs, np.int64)
@@ -78,49 +119,60 @@ class Sketch:
         if registers_of(p) != len(regs):
             raise ValueError("the number of registers must be a power of two")
         if base is None:
-            base = best_base_scan(np.bincount(regs, minlength=64), kappa).base
-        inside = (regs >= base) & (regs < base + (1 << check_kappa(kappa)))
-        out = np.flatnonzero(~inside)
-        return cls(p, kappa, base, np.where(inside, regs - base, 0).astype(np.uint8), (out.astype(np.int64) << VALUE_BITS) | regs[out], **tags)
+            base = base_for(tags.get("variant", "opt"), np.bincount(regs, minlength=65), kappa)
+        return cls._of_blocks((regs[at : at + BLOCK] for at in range(0, len(regs), BLOCK)), p, kappa, base, **tags)
 
     @classmethod
     def empty(cls, p: int, kappa: int = 3, **tags) -> Sketch:
-        return cls.from_registers(np.zeros(registers_of(p), np.int64), kappa, **tags)
+        m, width = registers_of(p), p + VALUE_BITS
+        return cls(p, check_kappa(kappa), 0, bits.PackedArray(kappa, m), bits.PackedArray(width), **tags)
 
     @classmethod
     def from_pairs(cls, p: int, j: np.ndarray, r: np.ndarray, kappa: int = 3, base: int | None = None, **tags) -> Sketch:
-        regs = np.zeros(registers_of(p), np.int64)
-        np.maximum.at(regs, np.asarray(j, np.int64), np.asarray(r, np.int64))
-        return cls.from_registers(regs, kappa, base, **tags)
+        s = cls.empty(p, kappa, **tags).offer_many(j, r, reject=False)[0]
+        return s if base is None else s.rebase(base)
+
+    def blocks(self) -> Iterator[np.ndarray]:
+        """Register values, one block after the other: the cells, and the ordered entries that fall among them."""
+        for start in range(0, len(self.cells), BLOCK):
+            yield self.block(start)
+
+    def block(self, start: int) -> np.ndarray:
+        stop = min(start + BLOCK, len(self.cells))
+        regs = self.cells.values(start, stop) + self.base
+        if self.entries.n:
+            got = self.entries.values(self.entries.find(start << VALUE_BITS), self.entries.find(stop << VALUE_BITS))
+            regs[(got >> VALUE_BITS) - start] = got & (1 << VALUE_BITS) - 1
+        return regs
 
     def to_registers(self) -> np.ndarray:
-        """One linear pass over cells and ordered entries."""
-        regs = self.cells.astype(np.int64) + self.base
-        regs[self.entries >> VALUE_BITS] = self.entries & (1 << VALUE_BITS) - 1
-        return regs
+        return np.concatenate(list(self.blocks()))
 
-    def iter_registers(self):
+    def iter_registers(self) -> Iterator[tuple[int, int]]:
         """(j, r) in order of j, without look-ups."""
-        e, n = 0, len(self.entries)
-        for j, off in enumerate(self.cells.tolist()):
-            if e < n and int(self.entries[e]) >> VALUE_BITS == j:
-                yield j, int(self.entries[e]) & (1 << VALUE_BITS) - 1
-                e += 1
-            else:
-                yield j, self.base + off
+        j = 0
+        for regs in self.blocks():
+            for r in regs.tolist():
+                yield j, r
+                j += 1
+
+    def sparse_part(self) -> tuple[np.ndarray, np.ndarray]:
+        """Indexes and values of the sparse registers."""
+        e = self.entries.values()
+        return e >> VALUE_BITS, e & (1 << VALUE_BITS) - 1
 
     # ---- reading
 
     def get(self, j: int) -> int:
         """Sparse value of register j by binary search, else base plus cell."""
-        at = int(np.searchsorted(self.entries, j << VALUE_BITS))
-        if at < len(self.entries) and int(self.entries[at]) >> VALUE_BITS == j:
-            return int(self.entries[at]) & (1 << VALUE_BITS) - 1
-        return self.base + int(self.cells[j])
+        at = self.entries.find(j << VALUE_BITS)
+        if at < self.entries.n and (e := self.entries[at]) >> VALUE_BITS == j:
+            return e & (1 << VALUE_BITS) - 1
+        return self.base + self.cells[j]
 
     @property
     def sparse(self) -> int:
-        return len(self.entries)
+        return self.entries.n
 
     @property
     def bits(self) -> int:
@@ -129,10 +181,15 @@ class Sketch:
     @property
     def low(self) -> int:
         """Smallest register: items that rank no higher cannot change the sketch."""
-        return int(self.to_registers().min())
+        return int(np.flatnonzero(self.counts())[0])
+
+    def counts(self) -> np.ndarray:
+        """How many registers hold each value."""
+        return sum((np.bincount(x, minlength=65) for x in self.blocks()), np.zeros(65, np.int64))
 
     def histogram(self) -> dict[int, int]:
-        return dict(sorted(Counter(self.to_registers().tolist()).items()))
+        h = self.counts()
+        return {r: int(h[r]) for r in np.flatnonzero(h).tolist()}
 
     def estimate(self, range_bits: int | None = 64) -> float:
         from math import log
@@ -150,40 +207,79 @@ class Sketch:
 
     # ---- changing
 
+    def _tags(self) -> dict:
+        return {"hash_id": self.hash_id, "seed": self.seed, "variant": self.variant}
+
+    def put(self, j: int, r: int) -> bool:
+        """Set one register at the present base; True if it was dense and is sparse now."""
+        at = self.entries.find(j << VALUE_BITS)
+        there = at < self.entries.n and self.entries[at] >> VALUE_BITS == j
+        if self.base <= r < self.base + (1 << self.kappa):
+            self.cells[j] = r - self.base
+            if there:
+                self.entries.delete(at)
+            return False
+        entry = j << VALUE_BITS | r
+        if there:
+            self.entries[at] = entry
+        else:
+            self.cells[j] = 0
+            self.entries.insert(at, entry)
+        return not there
+
     def rebase(self, base: int) -> Sketch:
-        return Sketch.from_registers(self.to_registers(), self.kappa, base, hash_id=self.hash_id, seed=self.seed, variant=self.variant)
+        """Every register routed anew, in one pass."""
+        return self if base == self.base else Sketch._of_blocks(self.blocks(), self.p, self.kappa, base, **self._tags())
 
     def compress(self) -> Sketch:
-        best = best_base_scan(np.bincount(self.to_registers(), minlength=64), self.kappa).base
-        return self if best == self.base else self.rebase(best)
+        return self.rebase(best_base_scan(self.counts(), self.kappa).base)
 
     def offer_many(self, j: np.ndarray, r: np.ndarray, reject: bool = True) -> tuple[Sketch, int]:
-        """The sketch after many updates and how many registers changed; re-split once, by the variant's rule."""
+        """The sketch after many updates and how many registers changed; its base follows once, by the variant's rule.
+
+        The lazy rule looks for a base only if a register became sparse that was not.
+        """
         j, r = np.asarray(j, np.int64), np.asarray(r, np.int64)
-        regs = self.to_registers()
         if reject and len(r):
-            high = r > regs.min()
+            high = r > self.low
             j, r = j[high], r[high]
-        new = regs.copy()
-        np.maximum.at(new, j, r)
-        n = int((new > regs).sum())
-        if not n:
+        order = np.argsort(j, kind="stable")
+        j, r = j[order], r[order]
+        hist, changed, grown = np.zeros(65, np.int64), 0, 0
+        wide = 1 << self.kappa
+
+        def after() -> Iterator[np.ndarray]:
+            nonlocal changed, grown
+            for start in range(0, len(self.cells), BLOCK):
+                old = self.block(start)
+                new = old.copy()
+                a, b = np.searchsorted(j, (start, start + BLOCK))
+                np.maximum.at(new, j[a:b] - start, r[a:b])
+                up = new > old
+                changed += int(up.sum())
+                grown += int((up & (old >= self.base) & (old < self.base + wide) & (new >= self.base + wide)).sum())
+                hist[:] += np.bincount(new, minlength=65)
+                yield new
+
+        now = Sketch._of_blocks(after(), self.p, self.kappa, self.base, **self._tags())
+        if not changed:
             return self, 0
-        base = int(new.min()) if self.variant == "min" else None
-        return Sketch.from_registers(new, self.kappa, base, hash_id=self.hash_id, seed=self.seed, variant=self.variant), n
+        if self.variant == "lazy" and not grown:
+            return now, changed
+        return now.rebase(base_for(self.variant, hist, self.kappa, self.base)), changed
 
     def fold(self, p: int) -> Sketch:
         """The sketch with fewer index bits; for indexes whose leading bits nest."""
         if p > self.p:
             raise ValueError("a sketch folds to fewer registers only")
         regs = self.to_registers().reshape(1 << p, -1).max(axis=1)
-        return Sketch.from_registers(regs, self.kappa, hash_id=self.hash_id, seed=self.seed, variant=self.variant)
+        return Sketch.from_registers(regs, self.kappa, **self._tags())
 
     # ---- bytes
 
     def to_bytes(self) -> bytes:
         head = _HEADER.pack(_TAG, self.p, self.kappa, self.base, self.hash_id, VARIANT_IDS[self.variant], self.low, 0, self.seed, self.sparse)
-        return head + bits.pack(self.cells, self.kappa) + bits.pack(self.entries, self.p + VALUE_BITS)
+        return head + self.cells.to_bytes() + self.entries.to_bytes()
 
     @classmethod
     def from_bytes(cls, data: bytes) -> Sketch:
@@ -191,35 +287,33 @@ class Sketch:
         if tag != _TAG:
             raise ValueError("not a sketch")
         m = registers_of(p)
-        words = -(-m * kappa // 64) * 8
         at = _HEADER.size
-        cells = bits.unpack(data[at : at + words], kappa, m).astype(np.uint8)
-        entries = bits.unpack(data[at + words :], p + VALUE_BITS, s).astype(np.int64)
+        sparse = at + -(-m * kappa // 64) * 8
         name = next(k for k, v in VARIANT_IDS.items() if v == variant)
-        return cls(p, kappa, base, cells, entries, hash_id, seed, name)
+        return cls(p, kappa, base, bits.PackedArray(kappa, m, data[at:sparse]), bits.PackedArray(p + VALUE_BITS, s, data[sparse:]), hash_id, seed, name)
 
 
 def merge(sketches: list[Sketch]) -> Sketch:
-    """Merged split form: linear passes over the given forms, and one base search at the end."""
+    """Merged split form, from the split forms side by side, a block at a time.
+
+    The blocks are split at the largest base, which bounds most registers of the result from below; one
+    base search at the end, in full but for the smallest-base variant, which keeps its rule.
+    """
     first = sketches[0]
     if any((s.p, s.hash_id, s.seed) != (first.p, first.hash_id, first.seed) for s in sketches):
         raise ValueError("sketches differ in registers, hash or seed")
-    top = max(s.base for s in sketches)
-    # Cells on the scale of the largest base; values under it stay what they are, through the entries.
-    regs = np.full(len(first.cells), -1, np.int64)
-    for s in sketches:
-        np.maximum(regs, s.cells.astype(np.int64) + s.base, out=regs, where=_dense_mask(s))
-        at = s.entries >> VALUE_BITS
-        regs[at] = np.maximum(regs[at], s.entries & (1 << VALUE_BITS) - 1)
-    start = Sketch.from_registers(regs, first.kappa, top, hash_id=first.hash_id, seed=first.seed, variant=first.variant)
-    # The smallest-base variant keeps its rule; all others search the base once, in full.
-    return start.rebase(int(regs.min())) if first.variant == "min" else start.compress()
+    hist = np.zeros(65, np.int64)
 
+    def largest() -> Iterator[np.ndarray]:
+        for start in range(0, len(first.cells), BLOCK):
+            regs = first.block(start)
+            for s in sketches[1:]:
+                np.maximum(regs, s.block(start), out=regs)
+            hist[:] += np.bincount(regs, minlength=65)
+            yield regs
 
-def _dense_mask(s: Sketch) -> np.ndarray:
-    mask = np.ones(len(s.cells), bool)
-    mask[s.entries >> VALUE_BITS] = False
-    return mask
+    now = Sketch._of_blocks(largest(), first.p, first.kappa, max(s.base for s in sketches), **first._tags())
+    return now.rebase(base_for("min" if first.variant == "min" else "opt", hist, first.kappa))
 
 
 # ------------------------------------------------------------------ sequential updates with counters
@@ -238,11 +332,12 @@ class Counters:
 
 @dataclass
 class Trace:
-    """Item-by-item updates of one sketch under a variant, counting what each costs.
+    """Item-by-item updates of one packed sketch under a variant, counting what each costs.
 
     ``opt`` searches the base after every changed register; ``lazy`` only when a register would become
     sparse that was not, and then tries the next larger register value alone; ``min`` keeps the base at the
-    smallest register with a count of the registers that hold it.
+    smallest register with a count of the registers that hold it.  Beside the sketch there are 65 counts of
+    register values and nothing else.
     """
 
     p: int
@@ -250,21 +345,35 @@ class Trace:
     variant: str = "opt"
     early_reject: bool = True
     prune: bool = True
-    base: int = 0
-    regs: list[int] = field(default_factory=list)
-    hist: list[int] = field(default_factory=list)
-    sparse: set[int] = field(default_factory=set)
     low: int = 0
+    state: Sketch = None
+    hist: list[int] = field(default_factory=list)
     counters: Counters = field(default_factory=Counters)
 
     def __post_init__(self):
-        m = registers_of(self.p)
-        self.regs = [0] * m
-        self.hist = [m] + [0] * 64
-        check_kappa(self.kappa)
+        if self.variant not in ("opt", "lazy", "min"):
+            raise ValueError(f"unknown variant {self.variant}")
+        self.state = Sketch.empty(self.p, self.kappa, variant=self.variant)
+        self.hist = [registers_of(self.p)] + [0] * 64
+
+    @property
+    def base(self) -> int:
+        return self.state.base
+
+    @property
+    def sparse(self) -> int:
+        return self.state.sparse
+
+    @property
+    def regs(self) -> list[int]:
+        return self.state.to_registers().tolist()
+
+    @property
+    def bits(self) -> int:
+        return self.state.bits
 
-    def _inside(self, r: int) -> bool:
-        return self.base <= r < self.base + (1 << self.kappa)
+    def sketch(self) -> Sketch:
+        return self.state
 
     def offer(self, j: int, r: int) -> bool:
         c = self.counters
@@ -273,18 +382,13 @@ class Trace:
             c.rejected += 1
             return False
         c.lookups += 1
-        old = self.regs[j]
+        old = self.state.get(j)
         if r <= old:
             return False
         c.changed += 1
-        self.regs[j] = r
+        grows = self.state.put(j, r)
         self.hist[old] -= 1
         self.hist[r] += 1
-        grows = not self._inside(r) and j not in self.sparse
-        if self._inside(r):
-            self.sparse.discard(j)
-        else:
-            self.sparse.add(j)
         if old == self.low and not self.hist[old]:
             self.low = next(k for k in range(old, 65) if self.hist[k])
         if self.variant == "opt":
@@ -292,16 +396,13 @@ class Trace:
         elif self.variant == "lazy":
             if grows:
                 self._next()
-        elif self.variant == "min":
-            if self.low > self.base:
-                c.compress_calls += 1
-                self._move(self.low)
-        else:
-            raise ValueError(f"unknown variant {self.variant}")
+        elif self.low > self.base:
+            c.compress_calls += 1
+            self._move(self.low)
         return True
 
     def _sparse_at(self, base: int) -> int:
-        return len(self.regs) - sum(self.hist[base : base + (1 << self.kappa)])
+        return len(self.state.cells) - sum(self.hist[base : base + (1 << self.kappa)])
 
     def _search(self) -> None:
         self.counters.compress_calls += 1
@@ -326,15 +427,7 @@ class Trace:
 
     def _move(self, base: int) -> None:
         self.counters.rebases += 1
-        self.base = base
-        self.sparse = {j for j, r in enumerate(self.regs) if not self._inside(r)}
-
-    @property
-    def bits(self) -> int:
-        return self.kappa * len(self.regs) + len(self.sparse) * (self.p + VALUE_BITS)
-
-    def sketch(self) -> Sketch:
-        return Sketch.from_registers(np.array(self.regs), self.kappa, self.base, variant=self.variant)
+        self.state = self.state.rebase(base)
 
 
 @dataclass

@@ -48,5 +48,5 @@ def deep_size(sketch: Sketch) -> dict:
     """Cells of the deep width, the coded sparse part, and their bits, for a sketch's registers."""
     width = min(6, max(1, bits_deep(sketch.p)["bits"]))
     narrow = Sketch.from_registers(sketch.to_registers(), width)
-    coded = EliasFano.of(narrow.entries, len(narrow.cells) << 6)
+    coded = EliasFano.of(narrow.entries.values(), len(narrow.cells) << 6)
     return {"kappa": width, "base": narrow.base, "sparse": narrow.sparse, "bits": width * len(narrow.cells) + coded.bits, "plain_sparse_bits": narrow.bits}

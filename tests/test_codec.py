@@ -6,7 +6,7 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 
 from splitcount.operators import bits
-from splitcount.operators.codec import CodedTrace, Sketch, Trace, best_base_scan, decoded_registers, merge
+from splitcount.operators.codec import CodedTrace, Sketch, Trace, best_base_scan, decoded_registers, lazy_base, merge
 from splitcount.operators.deep import EliasFano, deep_size
 
 registers = st.integers(4, 7).flatmap(lambda p: st.lists(st.one_of(st.integers(0, 12), st.integers(0, 63)), min_size=1 << p, max_size=1 << p))
@@ -22,6 +22,27 @@ def test_packing_round_trip(width, values):
     assert bits.unpack(data, width, len(v)).tolist() == v.tolist()
 
 
+@given(st.integers(1, 56), st.data())
+@settings(max_examples=80, deadline=None)
+def test_packed_arrays_change_in_place(width, data):
+    """Sets, ordered insertions, deletions and searches against a plain list."""
+    a, want = bits.PackedArray(width), []
+    for v in data.draw(st.lists(st.integers(0, (1 << width) - 1), max_size=60)):
+        at = a.find(v)
+        assert at == sum(x < v for x in want)
+        if at < len(want) and want[at] == v and data.draw(st.booleans()):
+            a.delete(at)
+            del want[at]
+        else:
+            a.insert(at, v)
+            want.insert(at, v)
+        assert a.values().tolist() == want and len(a.to_bytes()) == -(-len(want) * width // 64) * 8
+    for k in range(0, len(want), 3):
+        a[k] = want[k] = want[k] ^ 1
+    assert [a[k] for k in range(len(want))] == want and a.values(len(want) // 2).tolist() == want[len(want) // 2 :]
+    assert a.to_bytes() == bits.pack(np.array(want, np.uint64), width)
+
+
 @given(registers, st.integers(1, 6))
 @settings(max_examples=60, deadline=None)
 def test_round_trip_and_lookup(regs, kappa):
@@ -66,7 +87,8 @@ def test_traces_agree_with_registers(pairs):
                 t.offer(j, r)
             assert t.regs == want
             made[variant, reject] = t
-            assert t.sketch().bits == t.bits
+            assert t.sketch().bits == t.bits and t.state.to_bytes() == Sketch.from_registers(np.array(want), base=t.base, variant=variant).to_bytes()
+            assert t.low == min(want) and Sketch.from_bytes(t.state.to_bytes()).to_registers().tolist() == want
         assert made[variant, True].base == made[variant, False].base  # rejecting early changes nothing
     best = Sketch.from_registers(np.array(want))
     assert made["opt", True].bits == best.bits <= min(made["lazy", True].bits, made["min", True].bits)
@@ -97,6 +119,33 @@ def test_many_at_once(pairs):
     assert one.offer_many(j, r) == (one, 0) or not pairs
 
 
+@given(same_size, st.sampled_from(["opt", "lazy", "min"]), st.integers(1, 6))
+@settings(max_examples=60, deadline=None)
+def test_variants_keep_their_rule_in_blobs(three, variant, kappa):
+    """Batches and merges hold the same registers under every variant; the lazy base climbs only while that helps."""
+    a, b, c = (Sketch.from_registers(np.array(x), kappa, variant=variant) for x in three)
+    want = np.max(np.array(three), axis=0)
+    assert Sketch.from_bytes(a.to_bytes()).variant == variant
+    for got in (merge([a, b, c]), a.offer_many(np.arange(len(want)), want)[0]):
+        assert got.variant == variant and got.to_registers().tolist() == want.tolist()
+    best = Sketch.from_registers(want, kappa).bits
+    assert merge([a, b, c]).bits == best or variant == "min"
+    hist = np.bincount(want, minlength=65)
+    at = lazy_base(hist, kappa, 0)
+    inside = lambda x: int(hist[x : x + (1 << kappa)].sum())
+    later = [x for x in np.flatnonzero(hist).tolist() if x > at]
+    assert inside(at) >= inside(0) and (not later or inside(later[0]) <= inside(at))
+
+
+def test_blocks_meet_across_their_borders():
+    rng = np.random.default_rng(6)
+    regs = [np.minimum(rng.geometric(0.5, 1 << 14) + x, 63) for x in (0, 6)]
+    s = [Sketch.from_registers(x) for x in regs]
+    assert all(np.array_equal(x.to_registers(), y) for x, y in zip(s, regs, strict=True))
+    assert merge(s).to_bytes() == Sketch.from_registers(np.maximum(*regs)).to_bytes()
+    assert [s[1].get(j) for j in range(4090, 4102)] == regs[1][4090:4102].tolist()
+
+
 @given(st.lists(st.integers(0, 4095), unique=True, max_size=200))
 def test_elias_fano(values):
     v = np.sort(np.array(values, np.int64))
