@@ -1,8 +1,9 @@
 """Sketches as binary columns: partial building, tree merges, scalar functions and table functions.
 
 A task first reduces its rows to (keys, j, r) in whole-stage code; only then Python packs them.  Two
-forms give the same bytes: ``relational`` (maximum per register, packed at the end) and ``partial`` (a blob
-per task and group, merged in a tree whose fan-in bounds what one task holds).
+forms give the same registers, and the same bytes but for the lazy variant's base: ``relational`` (maximum per
+register, packed at the end) and ``partial`` (a blob per task and group, merged in rounds whose fan-in bounds
+what one task holds).
 """
 
 from __future__ import annotations
@@ -19,6 +20,7 @@ from splitcount.functions.hashing import pairs
 from splitcount.operators import registers as R
 from splitcount.operators.codec import Sketch, merge
 from splitcount.schema import HASH_IDS, registers_of
+from splitcount.session import cut
 
 
 def _key_schema(df: DataFrame, keys: list[str]) -> str:
@@ -31,8 +33,7 @@ def pack_registers(regs: DataFrame, keys: list[str], p: int, kappa: int = 3, var
     tags = {"hash_id": HASH_IDS[family], "seed": seed, "variant": variant}
 
     def pack(j, r) -> bytes:
-        s = Sketch.from_pairs(p, j, r, kappa, **tags)
-        return (s.rebase(int(s.to_registers().min())) if variant == "min" else s).to_bytes()
+        return Sketch.from_pairs(p, j, r, kappa, **tags).to_bytes()
 
     if not keys:
         @F.pandas_udf("binary")
@@ -49,21 +50,25 @@ def pack_registers(regs: DataFrame, keys: list[str], p: int, kappa: int = 3, var
     return regs.select(*keys, "j", "r").groupBy(*keys).applyInArrow(group, _key_schema(regs, keys) + "sketch binary")
 
 
-def partial_sketches(df: DataFrame, keys: list[str], value, p: int, kappa: int = 3, max_groups: int = 4096, **how) -> DataFrame:
+#: Bytes of sketches that one task of a partial build holds; beyond them it gives out what it has.
+_HELD = 64 << 20
+
+
+def partial_sketches(df: DataFrame, keys: list[str], value, p: int, kappa: int = 3, variant: str = "opt", max_groups: int = 4096, **how) -> DataFrame:
     """(keys.., sketch): one blob per task and group; a group may come several times."""
     rows = pairs(df, keys, value, p, **how)
-    tags = {"hash_id": HASH_IDS[how.get("family", "md5_64")], "seed": how.get("seed", 0)}
+    tags = {"hash_id": HASH_IDS[how.get("family", "md5_64")], "seed": how.get("seed", 0), "variant": variant}
+    most = max(1, min(max_groups, _HELD // registers_of(p)))
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         held: dict = {}
         for b in batches:
             b = b.groupby([*keys, "j"], as_index=False, dropna=False)["r"].max() if keys else b.groupby("j", as_index=False)["r"].max()
             for k, g in b.groupby(keys, dropna=False) if keys else [((), b)]:
-                now = held.get(k)
-                held[k] = now.offer_many(g["j"], g["r"])[0] if now else Sketch.from_pairs(p, g["j"], g["r"], kappa, **tags)
-            if len(held) > max_groups:  # a bounded table; its groups simply come again
-                yield out(held)
-                held = {}
+                held[k] = (held.get(k) or Sketch.empty(p, kappa, **tags)).offer_many(g["j"], g["r"])[0]
+                if len(held) > most:  # a bounded table; its groups simply come again
+                    yield out(held)
+                    held = {}
         if held:
             yield out(held)
 
@@ -75,43 +80,60 @@ def partial_sketches(df: DataFrame, keys: list[str], value, p: int, kappa: int =
     return rows.mapInPandas(run, _key_schema(rows, keys) + "sketch binary")
 
 
-def merge_sketches(blobs: DataFrame, keys: list[str], fan_in: int = 128, levels: int = 2, col: str = "sketch") -> DataFrame:
-    """(keys.., sketch): one blob per group, in ``levels`` rounds of at most about ``fan_in`` blobs a task at a time.
+def _largest(rows: DataFrame, by: list[str]) -> int:
+    """Rows of the largest group; reads the keys alone."""
+    return rows.groupBy(*by).agg(F.count("*").alias("n")).agg(F.max("n")).first()[0] or 0
+
 
-    Each round folds with one base search per fold; sketches of different kinds are refused.
+def merge_rounds(blobs: DataFrame, keys: list[str], fan_in: int = 128, col: str = "sketch") -> Iterator[DataFrame]:
+    """The written input of each round of a merge: (keys.., sketch, _id, _salt), no (keys, _salt) above ``fan_in`` rows.
+
+    The number of salts follows from the largest group and doubles until the count of every salted group is
+    within the bound, so a task never holds more than ``fan_in`` blobs of a group, however many there are.
     """
+    rows = blobs.select(*keys, col)
+    while True:
+        rows = cut(rows.withColumn("_id", F.monotonically_increasing_id()))
+        salts = -(-_largest(rows, keys) // fan_in)
+        if salts <= 1:
+            yield rows.withColumn("_salt", F.lit(0))
+            return
+        while True:
+            salted = rows.withColumn("_salt", F.pmod(F.xxhash64("_id"), F.lit(salts)).cast("int"))
+            if _largest(salted, [*keys, "_salt"]) <= fan_in:
+                break
+            salts *= 2
+        yield salted
+        rows = _folded(salted, [*keys, "_salt"], col).select(*keys, col)
 
-    def folder(names: list[str]):
-        def fold(t: pa.Table) -> pa.Table:
-            now = None
-            for at in range(0, t.num_rows, fan_in):
-                part = [Sketch.from_bytes(x) for x in t[col].slice(at, fan_in).to_pylist() if x is not None]
-                if part:
-                    now = merge([*([now] if now else []), *part])
-            return t.select(names).slice(0, 1).append_column(col, pa.array([now.to_bytes() if now else None], pa.binary()))
 
-        return fold
+def _folded(rows: DataFrame, names: list[str], col: str) -> DataFrame:
+    def fold(t: pa.Table) -> pa.Table:
+        part = [Sketch.from_bytes(x) for x in t[col].to_pylist() if x is not None]
+        return t.select(names).slice(0, 1).append_column(col, pa.array([merge(part).to_bytes() if part else None], pa.binary()))
 
-    rows = blobs.select(*keys, col)
-    for level in range(levels):
-        last = level == levels - 1
-        names = list(keys) if last else [*keys, "_salt"]
-        if not last:
-            rows = rows.withColumn("_salt", F.pmod(F.xxhash64(col), F.lit(fan_in)).cast("int"))
-        if last and not keys:
-            rows, names = rows.withColumn("_all", F.lit(1)), ["_all"]
-        schema = _key_schema(rows, names) + f"{col} binary"
+    return rows.select(*names, col).groupBy(*names).applyInArrow(fold, _key_schema(rows, names) + f"{col} binary")
 
-        rows = rows.groupBy(*names).applyInArrow(folder(names), schema).drop("_salt", "_all")
-    return rows
 
+def merge_sketches(blobs: DataFrame, keys: list[str], fan_in: int = 128, col: str = "sketch") -> DataFrame:
+    """(keys.., sketch): one blob per group, in as many rounds as the largest group asks for.
 
-def distinct_sketch(df: DataFrame, keys: list[str], value, p: int = 12, kappa: int = 3, variant: str = "opt", form: str | None = None, **how) -> DataFrame:
-    """(keys.., sketch) of the distinct items of ``value``; ``form`` is relational, partial or chosen by size."""
-    from splitcount.plans.choose import choose_form
+    Null blobs count as none; sketches of different kinds are refused.
+    """
+    for rows in merge_rounds(blobs, keys, fan_in, col):
+        last = rows
+    return _folded(last, [*keys, "_salt"], col).select(*keys, col)
+
+
+def distinct_sketch(df: DataFrame, keys: list[str], value, p: int = 12, kappa: int = 3, variant: str = "opt", form: str | None = None, groups: int | None = None, **how) -> DataFrame:
+    """(keys.., sketch) of the distinct items of ``value``; ``form`` is relational, partial, or chosen by size.
+
+    The choice reads the plan's size; where there are keys, ``groups`` says how many, or they are counted roughly.
+    """
+    from splitcount.plans.choose import choose_form, input_figures
 
-    if (form or choose_form(p)) == "partial" and variant != "min":
-        return merge_sketches(partial_sketches(df, keys, value, p, kappa, **how), keys)
+    if (form or choose_form(p, *input_figures(df, keys, groups))) == "partial":
+        return merge_sketches(partial_sketches(df, keys, value, p, kappa, variant, **how), keys)
     tags = {k: how[k] for k in ("family", "seed") if k in how}
     return pack_registers(R.build(df, keys, value, p, **how), keys, p, kappa, variant, **tags)
 
@@ -152,7 +174,7 @@ def sketch_registers(blobs: pd.Series) -> pd.Series:
         if b is None:
             return None
         s = Sketch.from_bytes(b)
-        out = set((s.entries >> 6).tolist())
+        out = set(s.sparse_part()[0].tolist())
         return [{"j": j, "r": r, "is_sparse": j in out} for j, r in s.iter_registers()]
 
     return blobs.map(rows)
@@ -170,7 +192,7 @@ class ExplodeRegisters:
     def eval(self, blob: bytes):
         if blob is not None:
             s = Sketch.from_bytes(bytes(blob))
-            out = set((s.entries >> 6).tolist())
+            out = set(s.sparse_part()[0].tolist())
             for j, r in s.iter_registers():
                 yield j, r, j in out
 
@@ -183,6 +205,6 @@ def register(spark: SparkSession) -> None:
 
 
 @F.pandas_udf(T.BinaryType())
-def sketch_agg(j: pd.Series, r: pd.Series) -> bytes:
-    """Aggregate of (j, r) rows into a sketch of 2**10 registers; for small groups, after registers are built."""
-    return Sketch.from_pairs(10, j, r).to_bytes()
+def sketch_agg(j: pd.Series, r: pd.Series, p: pd.Series) -> bytes:
+    """Aggregate of (j, r) rows into a sketch of 2**p registers; for registers, of which a group has at most 2**p."""
+    return Sketch.from_pairs(int(p.iloc[0]), j, r).to_bytes()

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from splitcount.schema import registers_of
 
@@ -17,14 +18,31 @@ def shuffle_bytes(p: int, tasks: int, groups: int, rows_per_task: int) -> dict[s
     return {"relational": tasks * groups * touched * ROW_BYTES, "partial": tasks * groups * m * CELL_BYTES}
 
 
-def choose_form(p: int, tasks: int = 1000, groups: int = 1, rows_per_task: int = 0) -> str:
-    """``relational`` unless blobs clearly send less; without figures, relational."""
-    if not rows_per_task:
-        return "relational"
+def choose_form(p: int, tasks: int, groups: int, rows_per_task: int) -> str:
+    """``relational`` unless blobs clearly send less."""
     sent = shuffle_bytes(p, tasks, groups, rows_per_task)
     return "partial" if sent["partial"] * 4 < sent["relational"] else "relational"
 
 
+def input_figures(df: DataFrame, keys: list[str], groups: int | None = None) -> tuple[int, int, int]:
+    """(tasks, groups, rows per task) of a scan of ``df``, from the optimiser's size of its plan.
+
+    Only where there are keys and ``groups`` is not given does a job run: it reads the keys and counts them roughly.
+    """
+    spark = df.sparkSession
+    stats = df._jdf.queryExecution().optimizedPlan().stats()
+    size = int(str(stats.sizeInBytes()))
+    width = sum(f.dataType.typeName() in ("string", "binary") and 20 or 8 for f in df.schema.fields) + 8
+    rows = int(str(stats.rowCount().get())) if stats.rowCount().isDefined() else size // width
+    split = spark._jsparkSession.sessionState().conf().filesMaxPartitionBytes()
+    tasks = max(1, -(-size // split))
+    if not keys:
+        groups = 1
+    elif groups is None:
+        groups = max(1, df.select(F.approx_count_distinct(F.struct(*keys), 0.1)).first()[0])
+    return tasks, groups, rows // tasks
+
+
 def executed_plan(df: DataFrame) -> str:
     return df._jdf.queryExecution().executedPlan().toString()
 

@@ -45,7 +45,7 @@ class SketchStore:
             panes = new.select("pane").distinct()
             old = self.read().select(*cols).join(F.broadcast(panes), "pane", "left_semi") if panes.count() <= 10_000 else self.read().select(*cols).join(panes, "pane", "left_semi")
             new = new.unionByName(old)
-        merged = cut(merge_sketches(new, ["pane", *self.keys], levels=2))
+        merged = cut(merge_sketches(new, ["pane", *self.keys]))
         merged.write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("pane").parquet(self.path)
 
     def validate(self) -> DataFrame:
