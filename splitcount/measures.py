@@ -1,24 +1,27 @@
-"""Timed measures of the experiments; each runs jobs and returns a DataFrame of its records.
+"""Timed measures of the experiments, as DataFrames of their records.
 
-Times are medians of repetitions over the noop sink, under a monotonic clock.
+Build times of whole jobs are medians of repetitions over the noop sink; sequential runs are timed inside their
+tasks, under a monotonic clock.
 """
 
 from __future__ import annotations
 
 import time
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 from statistics import median
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from splitcount import workloads as Wk
 from splitcount.functions import theory
-from splitcount.functions.hashing import pairs, with_hash
+from splitcount.functions.hashing import GOLDEN_HI, GOLDEN_LO, pairs, with_hash
 from splitcount.operators import baselines as B
 from splitcount.operators import registers as R
 from splitcount.operators import split as S
-from splitcount.operators.codec import CodedTrace, Sketch, Trace, merge
+from splitcount.operators.codec import CodedTrace, Sketch, Trace, decoded_registers, merge
+from splitcount.operators.rivals import BitMatrix, FourBitOffsets, PlainRegisters
 from splitcount.plans.choose import plan_stats as _plan_stats
 from splitcount.schema import registers_of
 
@@ -60,29 +63,115 @@ def total_time(spark: SparkSession, n: int, ps: list[int], reps: int = 1) -> Dat
     return spark.createDataFrame(rows, RECORD)
 
 
-def traced(p: int, n: int, variant: str, seed: int = 0):
-    """One sequential run over seeded pairs: (trace, seconds)."""
+def stream(kind: str, p: int, n: int, rep: int):
+    """Seeded input of one sequential run, and how an item of it becomes (j, r).
+
+    ``pairs``: given as they are; ``integers``: 64-bit numbers, mixed; ``strings``: eight characters, hashed.
+    """
     import numpy as np
+    import xxhash
+
+    rng = np.random.default_rng([rep, p, n])
+    if kind == "pairs":
+        return list(zip(rng.integers(0, registers_of(p), n).tolist(), np.minimum(rng.geometric(0.5, n), 63).tolist(), strict=True)), None
+    if kind == "integers":
+        items, digest = rng.integers(0, 1 << 63, n, dtype=np.uint64).tolist(), lambda x: xxhash.xxh64_intdigest(x.to_bytes(8, "little"))
+    else:
+        letters = rng.integers(48, 123, (n, 8), dtype=np.uint8).tobytes()
+        items, digest = [letters[k : k + 8] for k in range(0, 8 * n, 8)], xxhash.xxh64_intdigest
+    golden = GOLDEN_HI << 32 | GOLDEN_LO
+
+    def pair(x) -> tuple[int, int]:
+        h = digest(x)
+        return (h * golden & (1 << 64) - 1) >> (64 - p), min(63, 65 - h.bit_length())
+
+    return items, pair
+
+
+def contender(variant: str, p: int):
+    """An empty sketch of each implementation."""
+    makers = {
+        "zstd": lambda: CodedTrace(p),
+        "reg6": lambda: PlainRegisters(p),
+        "reg8": lambda: PlainRegisters(p, 8),
+        "reg6_library": lambda: PlainRegisters(p, 6, True),
+        "reg4": lambda: FourBitOffsets(p),
+        "matrix": lambda: BitMatrix(p),
+    }
+    return makers[variant]() if variant in makers else Trace(p, variant=variant)
+
+
+CONTENDERS = ("opt", "lazy", "min", "zstd", "reg6", "reg8", "reg6_library", "reg4", "matrix")
+
+
+def estimate_of(sketch) -> float:
+    if isinstance(sketch, BitMatrix):
+        return sketch.estimate()
+    regs = decoded_registers(sketch.data, sketch.p) if isinstance(sketch, CodedTrace) else sketch.regs if isinstance(sketch, Trace) else sketch.registers()
+    return Sketch.from_registers(regs).estimate()
 
-    rng = np.random.default_rng([seed, p, n])
-    j, r = rng.integers(0, registers_of(p), n).tolist(), np.minimum(rng.geometric(0.5, n), 63).tolist()
-    t = CodedTrace(p) if variant == "zstd" else Trace(p, variant=variant)
+
+def traced(p: int, n: int, variant: str, seed: int = 0, kind: str = "pairs"):
+    """One sequential run over seeded input: (sketch, seconds).  ``hash`` only hashes."""
+    items, pair = stream(kind, p, n, seed)
+    t = None if variant == "hash" else contender(variant, p)
     start = time.perf_counter()
-    for a, b in zip(j, r, strict=True):
-        t.offer(a, b)
+    if t is None:
+        for x in items:
+            pair(x)
+    elif pair is None:
+        for j, r in items:
+            t.offer(j, r)
+    else:
+        for x in items:
+            t.offer(*pair(x))
     return t, time.perf_counter() - start
 
 
+RUN = "variant string, p int, n long, rep int, input string, seconds double, per_item double, bits long, est double, changed long, compress_calls long, rebases long"
+
+
+def sequential(spark: SparkSession, runs: list[tuple[str, int, int, int, str]]) -> DataFrame:
+    """Sequential runs (variant, p, n, repetition, input), each timed in a task of its own.
+
+    A run is one stream by nature; a grid of runs is what spreads over the cluster.  The same repetition gives every
+    implementation the same data.
+    """
+    plan = spark.createDataFrame([(k, *r) for k, r in enumerate(runs)], "k int, variant string, p int, n long, rep int, input string")
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for b in batches:
+            for x in b.itertuples(index=False):
+                t, s = traced(x.p, x.n, x.variant, x.rep, x.input)
+                bits = None if t is None else 8 * len(t.data) if isinstance(t, CodedTrace) else t.bits
+                c = t.counters if isinstance(t, Trace) else None
+                counts = [c.changed, c.compress_calls, c.rebases] if c else [None] * 3
+                yield pd.DataFrame([[x.variant, x.p, x.n, x.rep, x.input, s, s / x.n, bits, None if t is None else estimate_of(t), *counts]], columns=[f.split()[0] for f in RUN.split(", ")])
+
+    return plan.repartitionByRange(max(1, len(runs)), "k").mapInPandas(run, RUN)
+
+
+def _median(runs: DataFrame) -> DataFrame:
+    by = ["variant", "p", "n", "input"]
+    middle = lambda c: F.percentile(c, 0.5).alias(c)
+    return runs.groupBy(*by).agg(middle("seconds"), middle("per_item"), middle("bits"), middle("est"), middle("compress_calls"))
+
+
+def update_scaling(spark: SparkSession, p: int = 15, ns: list[int] = (1 << 10, 1 << 13, 1 << 16), variants=("opt", "lazy", "min", "reg6", "reg8", "reg4", "matrix"), reps: int = 3, kind: str = "integers") -> DataFrame:
+    """(variant, p, n, input, per_item, ..): update time per item as the stream grows."""
+    return _median(sequential(spark, [(v, p, n, rep, kind) for v in variants for n in ns for rep in range(reps)]))
+
+
+def total_by_registers(spark: SparkSession, n: int = 1 << 16, ps: list[int] = tuple(range(4, 19, 2)), variants=("opt", "lazy", "min", "reg6", "reg8", "reg4"), reps: int = 1, kind: str = "pairs") -> DataFrame:
+    """(variant, p, n, input, seconds, ..): time for a whole stream, over the number of registers."""
+    return _median(sequential(spark, [(v, p, n, rep, kind) for v in variants for p in ps for rep in range(reps)]))
+
+
 def load_factor(spark: SparkSession, ps: list[int] = (4, 6, 8), rungs: int = 8, variants=("opt", "lazy", "min"), reps: int = 3) -> DataFrame:
     """(variant, p, load, per_item, compress_calls): sequential time per item against the load n / m."""
-    rows = []
-    for p in ps:
-        for k in range(rungs):
-            n = registers_of(p) << k
-            for v in variants:
-                got = [traced(p, n, v, rep) for rep in range(reps)]
-                rows.append((v, p, 1 << k, median(s for _, s in got) / n, int(median(t.counters.compress_calls for t, _ in got))))
-    return spark.createDataFrame(rows, "variant string, p int, load long, per_item double, compress_calls long")
+    runs = [(v, p, registers_of(p) << k, rep, "pairs") for p in ps for k in range(rungs) for v in variants for rep in range(reps)]
+    got = _median(sequential(spark, runs))
+    return got.select("variant", "p", (F.col("n") / F.pow(F.lit(2.0), "p")).cast("long").alias("load"), "per_item", F.col("compress_calls").cast("long").alias("compress_calls"))
 
 
 def merge_time(spark: SparkSession, ps: list[int] = (10, 14, 18), n: float = 2.0**30, reps: int = 5) -> DataFrame:
@@ -111,16 +200,10 @@ def hash_only(df: DataFrame, value: str, family: str = "md5_64", reps: int = 3)
     return run_time(lambda: with_hash(df.select(value).where(F.col(value).isNotNull()), F.col(value).cast("string"), family).agg(F.sum("hi"), F.max("lo")), reps)
 
 
-def tradeoff(spark: SparkSession, ps: list[int] = (8, 10, 12), n: int = 50_000) -> DataFrame:
-    """(variant, p, bits, per_item): size against sequential update time."""
-    rows = []
-    for p in ps:
-        for v in ("opt", "lazy", "min", "zstd"):
-            t, s = traced(p, n if v != "zstd" else n // 5, v)
-            bits = 8 * len(t.data) if v == "zstd" else t.bits
-            rows.append((v, p, int(bits), s / (n if v != "zstd" else n // 5)))
-        rows.append(("reg6", p, 6 * registers_of(p), None))
-    return spark.createDataFrame(rows, "variant string, p int, bits long, per_item double")
+def tradeoff(spark: SparkSession, ps: list[int] = (8, 10, 12), n: int = 20_000, variants=("opt", "lazy", "min", "zstd", "reg6", "reg4", "matrix"), reps: int = 1) -> DataFrame:
+    """(variant, p, bits, per_item): size against sequential update time, every variant over the same items."""
+    got = _median(sequential(spark, [(v, p, n, rep, "pairs") for v in variants for p in ps for rep in range(reps)]))
+    return got.select("variant", "p", F.col("bits").cast("long").alias("bits"), "per_item")
 
 
 def front(points: DataFrame) -> DataFrame:

@@ -7,11 +7,14 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from splitcount.functions.hashing import with_hash
 from splitcount.operators import estimate as E
+from splitcount.operators.rivals import HEADER_BITS, BitMatrix
 from splitcount.operators.split import histogram
 from splitcount.schema import registers_of
+from splitcount.session import cut
 
 #: Published constants of the averaged and bit-matrix estimates.
 LOGLOG_CONSTANT = 0.39701
@@ -86,7 +89,7 @@ def bitmatrix(rows: DataFrame, keys: list[str], p: int) -> DataFrame:
 
 
 def bitmatrix_coded(rows: DataFrame, keys: list[str], p: int) -> DataFrame:
-    """(keys.., est, bits): the bit matrix coded to its column entropy, estimated from its ones.
+    """(keys.., est, bits): the bit matrix at its column entropy, estimated from its ones; :func:`matrix_blobs` codes it.
 
     The estimate inverts the expected number of ones; bits are m times the summed column entropies.
     """
@@ -143,26 +146,85 @@ def tailcut(hist: DataFrame, keys: list[str], p: int, kappa: int = 3) -> DataFra
     return E.from_hist(cut, keys, p).select(*keys, "est", F.lit(kappa * registers_of(p)).cast("long").alias("bits"))
 
 
-def martingale(rows: DataFrame, p: int, order: str) -> float:
-    """A sequential estimator that cannot be merged: each raised register adds the inverse chance of a change.
+def raising(rows: DataFrame, order: str) -> DataFrame:
+    """(order, j, b, r): the rows of an ordered stream that raise a register, and what it held before.
 
-    Meant for one ordered stream; the rows that raise a register are found in parallel, and those few
-    (at most 64 m) are read in order.
+    Only the first row of each (j, r) can raise one, so at most 64 m rows are left before anything is ordered.
     """
-    m = registers_of(p)
+    firsts = rows.groupBy("j", "r").agg(F.min(order).alias(order))
     before = F.coalesce(F.max("r").over(W.partitionBy("j").orderBy(order).rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
-    ups = rows.withColumn("_b", before).where("r > _b").orderBy(order).select("_b", "r").collect()
-    chance, total = 1.0, 0.0
-    for b, r in ups:
-        total += 1 / chance
-        chance += (2.0**-r - 2.0**-b) / m
-    return total
+    return firsts.withColumn("b", before).where("r > b").select(order, "j", "b", "r")
+
+
+def martingale(rows: DataFrame, p: int, order: str) -> DataFrame:
+    """(est): a sequential estimator that cannot be merged: each raised register adds the inverse chance of a change.
+
+    Meant for one ordered stream.  The chance falls by a known amount with every raise, so its course is a running
+    sum over the raising rows, taken range by range.
+    """
+    m = registers_of(p)
+    fall = (F.pow(F.lit(2.0), -F.col("b")) - F.pow(F.lit(2.0), -F.col("r"))) / F.lit(float(m))
+    ups = running_sum(raising(rows, order).select(order, fall.alias("fall")), [order], "fall")
+    return ups.agg(F.coalesce(F.sum(1 / (1 - F.col("before"))), F.lit(0.0)).alias("est"))
+
+
+def running_sum(df: DataFrame, order: list[str], value: str) -> DataFrame:
+    """``df`` with ``before``: the sum of ``value`` over all earlier rows, without a task that sees them all.
+
+    Rows are sorted by ranges and written once; a range's own running sum is a window over that range, and what all
+    earlier ranges hold is one number for each, joined by broadcast.
+    """
+    rows = cut(df.orderBy(*order).withColumn("_g", F.monotonically_increasing_id()))
+    rows = rows.withColumn("_part", F.shiftright("_g", 33))
+    sums = rows.groupBy("_part").agg(F.sum(value).alias("_s"))
+    # As many rows as ranges.
+    offsets = sums.select("_part", F.coalesce(F.sum("_s").over(W.orderBy("_part").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)).alias("_o"))
+    own = F.coalesce(F.sum(value).over(W.partitionBy("_part").orderBy("_g").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
+    return rows.withColumn("_own", own).join(F.broadcast(offsets), "_part").withColumn("before", F.col("_o") + F.col("_own")).drop("_g", "_part", "_s", "_o", "_own")
+
+
+def reg8(regs: DataFrame, keys: list[str], p: int) -> DataFrame:
+    """Library form with a byte for each register: estimate and bits."""
+    return E.from_registers(regs, keys, p).select(*keys, "est", F.lit(8 * registers_of(p)).cast("long").alias("bits"))
+
+
+def reg6_library(regs: DataFrame, keys: list[str], p: int) -> DataFrame:
+    """Library form with six-bit cells behind a header: estimate and bits."""
+    return E.from_registers(regs, keys, p).select(*keys, "est", F.lit(6 * registers_of(p) + HEADER_BITS).cast("long").alias("bits"))
 
 
 def reg4(regs: DataFrame, keys: list[str], p: int) -> DataFrame:
-    """Library form with four-bit offsets from the smallest register; the top code marks an exception."""
+    """Library form with four-bit offsets from the smallest register, the top code marking an exception: estimate and bits."""
     h = histogram(regs, keys, p)
     low = F.min("r").over(W.partitionBy(*keys))
     over = F.sum(F.when(F.col("r") - F.col("_b") >= 15, F.col("c")).otherwise(0)).cast("long")
-    got = h.withColumn("_b", low).groupBy(*keys).agg(over.alias("exceptions"))
-    return got.select(*keys, "exceptions", (F.lit(4 * registers_of(p)) + F.col("exceptions") * (p + 6)).cast("long").alias("bits"))
+    got = h.withColumn("_b", low).groupBy(*keys).agg(over.alias("exceptions"), F.sum(F.col("c") * F.pow(F.lit(2.0), -F.col("r"))).alias("s"), F.coalesce(F.sum(F.when(F.col("r") == 0, F.col("c"))), F.lit(0)).alias("v"))
+    return got.select(*keys, "exceptions", (F.lit(4 * registers_of(p)) + F.col("exceptions") * (p + 6)).cast("long").alias("bits"), E.piecewise(p).alias("est"))
+
+
+def matrix_blobs(rows: DataFrame, keys: list[str], p: int) -> DataFrame:
+    """(keys.., matrix): the coded bit matrix of each group, from its at most m words."""
+
+    @F.pandas_udf("binary")
+    def code(words: pd.Series) -> pd.Series:
+        def one(entries) -> bytes:
+            x = BitMatrix(p)
+            for e in entries:
+                x.rows[e["j"]] = e["bits"]
+            return x.to_bytes()
+
+        return words.map(one)
+
+    return bit_rows(rows, keys).groupBy(*keys).agg(F.collect_list(F.struct("j", "bits")).alias("_w")).select(*keys, code("_w").alias("matrix"))
+
+
+@F.pandas_udf(T.StructType([T.StructField("est", T.DoubleType()), T.StructField("bits", T.LongType()), T.StructField("ones", T.LongType())]))
+def matrix_read(blobs: pd.Series) -> pd.DataFrame:
+    """Estimate, coded bits and ones of a coded bit matrix."""
+    got = [BitMatrix.from_bytes(b) for b in blobs]
+    return pd.DataFrame({"est": [x.estimate() for x in got], "bits": [x.bits for x in got], "ones": [x.ones for x in got]})
+
+
+@F.pandas_udf(T.BinaryType())
+def matrix_merge2(a: pd.Series, b: pd.Series) -> pd.Series:
+    return pd.Series([BitMatrix.from_bytes(x).merge(BitMatrix.from_bytes(y)).to_bytes() for x, y in zip(a, b, strict=True)])

@@ -70,6 +70,8 @@ def from_hist(hist: DataFrame, keys: list[str], p: int, estimator: str = "classi
         est = F.when(F.col("v") > 0, small_range(p))
     elif estimator == "mle":
         return likelihood(hist, keys, p)
+    elif estimator == "improved":
+        return improved(hist, keys, p)
     else:
         raise ValueError(f"unknown estimator {estimator}")
     return m.select(*keys, "v", est.alias("est"))
@@ -81,6 +83,29 @@ def from_registers(regs: DataFrame, keys: list[str], p: int, **how) -> DataFrame
     return from_hist(histogram(regs, keys, p), keys, p, **how)
 
 
+#: Terms of the zero-register series; the rest is below the last bit of a double up to 2**18 registers.
+_TERMS = 25
+
+
+def improved(hist: DataFrame, keys: list[str], p: int) -> DataFrame:
+    """(keys.., v, est) by the corrected harmonic sum: one formula over all ranges, without branches or bias tables.
+
+    Zero registers enter as the limit of the same sum for ranks below one: x + sum over k of x^(2^k) 2^(k-1) at the
+    share x of zero registers.
+    """
+    m = registers_of(p)
+    got = hist.groupBy(*keys).agg(
+        F.sum(F.when(F.col("r") > 0, F.col("c") * F.pow(F.lit(2.0), -F.col("r"))).otherwise(0.0)).alias("s"),
+        F.coalesce(F.sum(F.when(F.col("r") == 0, F.col("c"))), F.lit(0)).cast("long").alias("v"),
+    )
+    x = F.col("v") / F.lit(float(m))
+    zeros = x + sum((F.pow(x, F.lit(2.0**k)) * F.lit(2.0 ** (k - 1)) for k in range(1, _TERMS + 1)), F.lit(0.0))
+    from math import log
+
+    est = F.when(F.col("v") == m, 0.0).otherwise(F.lit(m * m / (2 * log(2))) / (F.lit(float(m)) * zeros + F.col("s")))
+    return got.select(*keys, "v", est.alias("est"))
+
+
 def likelihood_of(values: dict[int, int], p: int) -> float:
     """Maximum-likelihood count from {register value: registers}, by bisection on the score.
 

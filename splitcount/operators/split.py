@@ -47,7 +47,7 @@ def best_base(hist: DataFrame, keys: list[str], p: int, kappa: int = 3, how: str
     """(keys.., b, dense, sparse, bits) of the optimal split; bases are existing register values.
 
     ``how`` picks the plan: ``window`` (a sliding frame), ``theta`` (range self-join), ``maxby``
-    (struct maximum over the frame).  All give the same rows.
+    (struct maximum over the frame), ``rownum`` (counts dealt to the bases that hold them).  All give the same rows.
     """
     check_kappa(kappa)
     wide = (1 << kappa) - 1
@@ -58,6 +58,10 @@ def best_base(hist: DataFrame, keys: list[str], p: int, kappa: int = 3, how: str
         for x in on:
             cond = cond & x
         cand = a.join(b, cond).groupBy(*(F.col(f"a.{k}").alias(k) for k in keys), F.col("a.r").alias("b")).agg(F.sum("b.c").alias("dense"))
+    elif how == "rownum":
+        # Each value counts for the bases whose window holds it; bases are values that some register has.
+        spread = hist.select(*keys, "c", F.explode(F.sequence(F.col("r") - wide, F.col("r"))).alias("b"), "r")
+        cand = spread.groupBy(*keys, "b").agg(F.sum("c").alias("dense"), F.min("r").alias("_r")).where("b = _r").drop("_r")
     else:
         frame = W.partitionBy(*keys).orderBy("r").rangeBetween(0, wide)
         cand = hist.select(*keys, F.col("r").alias("b"), F.sum("c").over(frame).alias("dense"))
@@ -165,3 +169,42 @@ def merge_split(a: DataFrame, b: DataFrame, keys: list[str], p: int, kappa: int
 def theory_base(n: float, p: int) -> int:
     """The base that the analysis uses, with the true count known."""
     return max(0, round(log2(max(n, 1) / registers_of(p))))
+
+
+# ------------------------------------------------------------------ many sizes at once: p is a column
+
+
+def histograms(regs: DataFrame) -> DataFrame:
+    """(p, r, c) from registers (p, j, r) of several sizes; zero included where any register is zero."""
+    seen = regs.groupBy("p", "r").agg(F.count("*").alias("c"))
+    zeros = seen.groupBy("p").agg((F.pow(F.lit(2.0), F.first("p")).cast("long") - F.sum("c")).alias("c")).where("c > 0")
+    return seen.unionByName(zeros.select("p", F.lit(0).cast("long").alias("r"), "c"))
+
+
+def windows(hist: DataFrame, keys: list[str], kappa: int = 3) -> DataFrame:
+    """(keys.., b, here, sparse): for base 0 and every register value, its registers and those outside its window."""
+    order = W.partitionBy(*keys).orderBy("r")
+    rows = hist.select(*keys, "r", "c").unionByName(hist.select(*keys).distinct().select(*keys, F.lit(0).cast("long").alias("r"), F.lit(0).cast("long").alias("c")))
+    rows = rows.groupBy(*keys, "r").agg(F.sum("c").alias("c"))
+    inside = F.sum("c").over(order.rangeBetween(0, (1 << kappa) - 1))
+    total = F.sum("c").over(W.partitionBy(*keys))
+    return rows.withColumn("_in", inside).withColumn("_all", total).select(*keys, F.col("r").alias("b"), F.col("c").alias("here"), (F.col("_all") - F.col("_in")).alias("sparse"))
+
+
+def widest(windows: DataFrame, keys: list[str]) -> DataFrame:
+    """(keys.., b, sparse): the base with the fewest sparse registers, the smallest on ties."""
+    best = windows.where("here > 0").groupBy(*keys).agg(F.min(F.struct("sparse", "b")).alias("x"))
+    return best.select(*keys, "x.b", "x.sparse")
+
+
+def lowest(windows: DataFrame, keys: list[str]) -> DataFrame:
+    """(keys.., b, sparse): the smallest register as base."""
+    return windows.where("here > 0").groupBy(*keys).agg(F.min(F.struct("b", "sparse")).alias("x")).select(*keys, "x.b", "x.sparse")
+
+
+def climbed(windows: DataFrame, keys: list[str]) -> DataFrame:
+    """(keys.., b, sparse): from base 0 to the next register value as long as that makes the sparse part smaller."""
+    order = W.partitionBy(*keys).orderBy("b")
+    steps = windows.withColumn("_stop", F.coalesce(F.col("sparse") >= F.lag("sparse").over(order), F.lit(False)))
+    steps = steps.withColumn("_stopped", F.max("_stop").over(order)).where("not _stopped")
+    return steps.groupBy(*keys).agg(F.max(F.struct("b", "sparse")).alias("x")).select(*keys, "x.b", "x.sparse")

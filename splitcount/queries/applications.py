@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 from splitcount.functions import hashing as H
 from splitcount.operators import estimate as E
 from splitcount.operators import registers as R
+from splitcount.operators.aggregate import sketch_estimate
 from splitcount.operators.baselines import exact
 from splitcount.queries.registry import P, est_sql, query, with_est, with_hist, with_moments, with_pairs, with_regs
 from splitcount.session import table
@@ -228,6 +229,10 @@ regs as (select a || '+' || b as g, j, max(r) as r from two join regs0 x on x.g
 e as (select g, round({est_sql()}, 4) as est from moments)"""
 
 
+#: Groups that are compared pair by pair; their number is checked first.
+_MOST_GROUPS = 100
+
+
 def _status(spark, d):
     return R.build(table(spark, d, "orders").select(F.col("o_orderstatus").alias("g"), F.col("o_custkey").cast("string").alias("v")), ["g"], "v", P)
 
@@ -235,10 +240,13 @@ def _status(spark, d):
 def _overlap(spark, d):
     """(a, b, est_a, est_b, union_est) for pairs of groups; each group's registers go to its pairs."""
     regs = _status(spark, d)
-    gs = regs.select("g").distinct()
-    two = F.broadcast(gs.select(F.col("g").alias("a")).join(gs.select(F.col("g").alias("b")), F.col("a") < F.col("b")))  # pairs of order states
+    names = [r["g"] for r in regs.select("g").distinct().limit(_MOST_GROUPS + 1).collect()]
+    if len(names) > _MOST_GROUPS:
+        raise ValueError(f"pairs of more than {_MOST_GROUPS} groups are not compared all with all")
+    pairs = [(a, b) for a in names for b in names if a < b]
+    two = F.broadcast(spark.createDataFrame(pairs, "a string, b string"))  # of checked size
     union = R.from_pairs(regs.join(two, (F.col("g") == F.col("a")) | (F.col("g") == F.col("b"))), ["a", "b"])
-    single = _est(regs, ["g"])
+    single = _est(regs, ["g"])  # as many rows as names
     got = _est(union, ["a", "b"]).withColumnRenamed("est", "union_est")
     for side in ("a", "b"):
         got = got.join(F.broadcast(single.select(F.col("g").alias(side), F.col("est").alias(f"est_{side}"))), side)
@@ -283,9 +291,11 @@ def words_distinct(spark, d):
 @query("q_kmer_distinct", f"""with {with_est("select lang as g, unnest(list_transform(range(1, greatest(length(text) - 6, 1)), lambda i: substr(text, i, 8))) as v from documents")} select g, est from est""")
 def kmer_distinct(spark, d):
     """Eight-character windows of every text per language."""
-    # A look-ahead yields the window at every character in one pass over the text.
-    grams = F.regexp_extract_all("text", F.lit("(?s)(?=(.{8}))"), 1)
-    rows = table(spark, d, "documents").select(F.col("lang").alias("g"), F.explode(grams).alias("v"))
+    # Slices that overlap by seven characters, each found in one pass; no row holds all windows of a text.
+    parts = F.regexp_extract_all("text", F.lit("(?s)(?=(.{1,4103})).{1,4096}"), 1)
+    rows = table(spark, d, "documents").select(F.col("lang").alias("g"), F.explode(parts).alias("part"))
+    # A look-ahead yields the window at every character.
+    rows = rows.select("g", F.explode(F.regexp_extract_all("part", F.lit("(?s)(?=(.{8}))"), 1)).alias("v"))
     return _est(R.build(rows, ["g"], "v", P), ["g"])
 
 
@@ -326,7 +336,6 @@ def pivot(spark, d):
 
 
 _ORDERS = ("o_orderkey", "o_custkey", "o_orderstatus", "o_totalprice", "o_orderdate", "o_orderpriority")
-_CANON = {"o_totalprice": "cast(cast(round(o_totalprice * 100) as bigint) as varchar)", "o_orderdate": "cast(epoch_us(o_orderdate) as varchar)"}
 
 
 @query(
@@ -340,12 +349,43 @@ def scan_profile(spark, d):
     return one.select(F.explode(F.array(*(F.struct(F.lit(c).alias("name"), F.col("n"), (F.col("n") - F.col(f"n_{c}")).alias("nulls"), F.col(f"d_{c}").alias("n_distinct")) for c in _ORDERS))).alias("x")).select("x.*")
 
 
-@query("q_profile_all", f"""with {with_est(" union all ".join(f"select '{c}' as g, {_CANON.get(c, f'cast({c} as varchar)')} as v from orders" for c in _ORDERS))},
-n as ({" union all ".join(f"select '{c}' as g, count(distinct {c}) as n from orders" for c in _ORDERS)}) select g, n, est from est join n using (g)""")
+#: Columns of every table, and how their items are written where a cast to text differs between engines.
+_TABLES = {
+    "region": ("r_regionkey", "r_name"),
+    "nation": ("n_nationkey", "n_name", "n_regionkey"),
+    "customer": ("c_custkey", "c_name", "c_nationkey", "c_acctbal", "c_mktsegment"),
+    "supplier": ("s_suppkey", "s_name", "s_nationkey", "s_acctbal"),
+    "part": ("p_partkey", "p_name", "p_brand", "p_type", "p_size", "p_retailprice"),
+    "orders": _ORDERS,
+    "lineitem": ("l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_returnflag", "l_linestatus", "l_shipdate"),
+    "events": ("event_id", "ts", "user_id", "event_type", "value", "props"),
+    "documents": ("doc_id", "text", "lang", "source", "n_chars"),
+    "pages": ("page_id", "url", "html"),
+    "benchmark": ("item_id", "text"),
+    "labels": ("doc_id", "quality", "toxic"),
+    "conversations": ("conv_id", "turn", "role", "text"),
+}
+_CENTS = ("c_acctbal", "s_acctbal", "p_retailprice", "o_totalprice", "l_quantity", "l_extendedprice", "l_discount", "l_tax", "value")
+_TIMES = ("o_orderdate", "l_shipdate", "ts")
+
+
+def _item_sql(c: str) -> str:
+    return f"cast(cast(round({c} * 100) as bigint) as varchar)" if c in _CENTS else f"cast(epoch_us({c}) as varchar)" if c in _TIMES else f"cast({c} as varchar)"
+
+
+_ITEMS = " union all ".join(f"select '{t}.{c}' as g, {_item_sql(c)} as v from {t}" for t, cs in _TABLES.items() for c in cs)
+
+
+@query("q_profile_all", f"with {with_est(_ITEMS)}, n as (select g, count(distinct v) as n from ({_ITEMS}) group by g) select g, n, est from est join n using (g)")
 def profile_all(spark, d):
+    """Every column of every table, one scan for each table; the vectors have no text form and are left to exact search."""
     from splitcount.workloads import profile
 
-    return profile(table(spark, d, "orders"), P).withColumnRenamed("name", "g")
+    out = None
+    for t, cs in _TABLES.items():
+        one = profile(table(spark, d, t).select(*cs), P).select(F.concat(F.lit(f"{t}."), "name").alias("g"), "n", "est")
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 _HOPS_P = 6
@@ -364,7 +404,7 @@ def khop_neighbours(spark, d):
     from splitcount.workloads import neighbourhood
 
     edges = table(spark, d, "lineitem").select(F.col("l_partkey").alias("a"), F.col("l_suppkey").alias("b")).distinct()
-    return _est(neighbourhood(edges, _HOPS_P, hops=3), ["g"], _HOPS_P).select(F.col("g").alias("part"), "est")
+    return neighbourhood(edges, _HOPS_P, hops=3).select(F.col("g").alias("part"), F.round(sketch_estimate("sketch"), 4).alias("est"))
 
 
 @query("q_exact_neighbours", "select l_suppkey as supplier, count(distinct l_partkey) as n from lineitem group by l_suppkey")

@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
+from math import log
+
 from pyspark.sql import functions as F
 
 from splitcount.functions import hashing as H
 from splitcount.operators import baselines as B
+from splitcount.operators.rivals import HEADER_BITS
 from splitcount.queries.methods import G, hist_of, regs_of
 from splitcount.queries.registry import P, _union, est_sql, query, src, src_sql, with_est, with_hist, with_moments, with_pairs
 from splitcount.session import table
@@ -51,12 +54,22 @@ def reg6(spark, d):
 
 @query(
     "q_reg4",
-    f"""with {with_hist(_BY_FLAG)}, low as (select g, min(r) as b from hist group by g)
-select h.g, cast(sum(case when h.r - l.b >= 15 then h.c else 0 end) as bigint) as exceptions,
-       cast({4 * _M} + sum(case when h.r - l.b >= 15 then h.c else 0 end) * {P + 6} as bigint) as bits from hist h join low l on h.g = l.g group by h.g""",
+    f"""with {with_est(_BY_FLAG)}, low as (select g, min(r) as b from hist group by g),
+x as (select h.g, cast(sum(case when h.r - l.b >= 15 then h.c else 0 end) as bigint) as exceptions from hist h join low l on h.g = l.g group by h.g)
+select g, exceptions, cast({4 * _M} + exceptions * {P + 6} as bigint) as bits, est from x join est using (g)""",
 )
 def reg4(spark, d):
-    return B.reg4(regs_of(spark, d, "orderkeys_by_flag"), G, P)
+    return B.reg4(regs_of(spark, d, "orderkeys_by_flag"), G, P).withColumn("est", F.round("est", 4))
+
+
+@query("q_reg8", f"with {with_est(_BY_FLAG)} select g, est, cast({8 * _M} as bigint) as bits from est")
+def reg8(spark, d):
+    return B.reg8(regs_of(spark, d, "orderkeys_by_flag"), G, P).withColumn("est", F.round("est", 4))
+
+
+@query("q_reg6_library", f"with {with_est(_BY_FLAG)} select g, est, cast({6 * _M + HEADER_BITS} as bigint) as bits from est")
+def reg6_library(spark, d):
+    return B.reg6_library(regs_of(spark, d, "orderkeys_by_flag"), G, P).withColumn("est", F.round("est", 4))
 
 
 @query("q_linear_counting", f"with {with_pairs(_BY_FLAG)}, u as (select g, count(distinct j) as u from pairs group by g) select g, case when u < {_M} then round({float(_M)!r} * ln({float(_M)!r} / ({_M} - u)), 4) end as est from u")
@@ -118,23 +131,93 @@ def tailcut(spark, d):
     return B.tailcut(hist_of(spark, d, "orderkeys_by_flag"), G, P).select("g", F.round("est", 4).alias("est"), "bits")
 
 
-@query("q_bitmatrix_coded")
+def _matrix_sql(select: str, last: str) -> str:
+    """Ones, estimate by bisection and coded bits of the bit matrices of a grouped select."""
+    return f"""with recursive {with_pairs(select)}, cells as (select distinct g, j, r from pairs), gs as (select distinct g from cells),
+cols as (select g, r as k, count(*) as ones from cells group by g, r),
+full_cols as (select gs.g, t.k, coalesce(c.ones, 0) as ones from gs join (select g, max(r) as top from cells group by g) x on x.g = gs.g, range(1, 64) t(k) left join cols c on c.g = gs.g and c.k = t.k where t.k <= x.top),
+marks as (
+  select f.g, f.k, i.j, case when 2 * f.ones > {_M} then {_M} - f.ones else f.ones end as n
+  from full_cols f, range(0, {_M}) i(j) left join cells c on c.g = f.g and c.r = f.k and c.j = i.j
+  where (c.j is null) = (2 * f.ones > {_M})),
+gaps as (select g, k, n, case when ({_M} - n) // n < 1 then 0 else length(bin(({_M} - n) // n)) - 1 end as s, j - coalesce(lag(j) over (partition by g, k order by j), -1) - 1 as gap from marks),
+rice as (select g, k, sum((gap >> s) + 1 + s) as size from gaps group by g, k),
+coded as (select f.g, cast(7 + sum({P + 3} + least(coalesce(x.size, 0), {_M})) as bigint) as bits, cast(sum(f.ones) as bigint) as ones from full_cols f left join rice x on x.g = f.g and x.k = f.k group by f.g),
+solve(g, ones, step, lo, hi) as (
+  select g, ones, 0, 1e-6::double, pow(2.0, 60) from coded
+  union all
+  select g, ones, step + 1, case when below then sqrt(lo * hi) else lo end, case when below then hi else sqrt(lo * hi) end
+  from (select *, list_sum(list_transform(range(1, 64), lambda k: {_M} * (1 - exp(-sqrt(lo * hi) / ({_M} * pow(2.0, k)))))) < ones as below from solve where step < 200))
+{last}"""
+
+
+@query("q_bitmatrix_coded", _matrix_sql(_BY_FLAG, "select g, round(sqrt(lo * hi), 4) as est, bits, c.ones from solve join coded c using (g) where step = 200"))
 def bitmatrix_coded(spark, d):
-    got = B.bitmatrix_coded(_pairs(spark, d), G, P)
-    return got.select("g", F.round("est", 4).alias("est"), F.round("bits", 4).alias("bits"))
+    """Bit matrices coded to bytes, and read back from them."""
+    return B.matrix_blobs(_pairs(spark, d), G, P).select("g", B.matrix_read("matrix").alias("x")).select("g", F.round("x.est", 4).alias("est"), "x.bits", "x.ones")
+
+
+@query("q_bitmatrix_merge", _matrix_sql(f"select 'A+N' as g, v from ({_BY_FLAG}) where g <> 'R'", "select round(sqrt(lo * hi), 4) as est, bits, c.ones from solve join coded c using (g) where step = 200"))
+def bitmatrix_merge(spark, d):
+    """Two coded matrices merged in their stored form."""
+    b = B.matrix_blobs(_pairs(spark, d), G, P)
+    one = b.where("g = 'A'").select(F.lit(1).alias("k"), F.col("matrix").alias("a"))
+    two = b.where("g = 'N'").select(F.lit(1).alias("k"), F.col("matrix").alias("b"))
+    got = one.join(two, "k").select(B.matrix_read(B.matrix_merge2("a", "b")).alias("x"))
+    return got.select(F.round("x.est", 4).alias("est"), "x.bits", "x.ones")
+
+
+_ENTROPY = f"""with {with_pairs(_BY_FLAG)}, cells as (select distinct g, j, r from pairs), f as (select g, r, count(*) / {float(_M)!r} as f from cells group by g, r)
+select g, round(sum(case when f >= 1 then 0.0 else -f * log2(f) - (1 - f) * log2(1 - f) end) * {_M}, 4) as bits from f group by g"""
+
+
+@query("q_bitmatrix_entropy", _ENTROPY)
+def bitmatrix_entropy(spark, d):
+    """What no coder of the columns can go below."""
+    return B.bitmatrix_coded(_pairs(spark, d), G, P).select("g", F.round("bits", 4).alias("bits"))
 
 
-@query("q_estimate_mle")
+_MLE = f"""with recursive {with_hist(src_sql("four"))}, top as (select g, list(r order by r) as rs, list(c order by r) as cs, max(r) as t, max(case when r = 0 then c else 0 end) as zero from hist group by g),
+solve(g, step, lo, hi) as (
+  select g, 0, 1e-9::double, {float(_M)!r} * pow(2.0, t + 4) from top
+  union all
+  select g, step + 1, case when score > 0 then mid else lo end, case when score > 0 then hi else mid end
+  from (select s.g, step, lo, hi, sqrt(lo * hi) as mid,
+          list_sum(list_transform(range(1, len(rs) + 1), lambda i: case when rs[i] = 0 then -cs[i] / {float(_M)!r}
+            else cs[i] * (-1 / ({_M} * pow(2.0, rs[i])) + 1 / ({_M} * pow(2.0, rs[i])) * exp(-sqrt(lo * hi) / ({_M} * pow(2.0, rs[i]))) / (1 - exp(-sqrt(lo * hi) / ({_M} * pow(2.0, rs[i]))))) end)) as score
+        from solve s join top using (g) where step < 90))
+select g, round(sqrt(lo * hi), 1) as est from solve where step = 90"""
+
+
+@query("q_estimate_mle", _MLE)
 def estimate_mle(spark, d):
+    """Maximum likelihood, to one decimal: the score's zero is flat in its last bits."""
+    from splitcount.operators import estimate as E
+
+    return E.likelihood(hist_of(spark, d, "four"), G, P).select("g", F.round("est", 1).alias("est"))
+
+
+@query(
+    "q_estimate_improved",
+    f"""with {with_hist(src_sql("four"))}, s as (select g, sum(case when r > 0 then c * pow(2.0, -r) else 0.0 end) as s, coalesce(sum(case when r = 0 then c end), 0) / {float(_M)!r} as x from hist group by g)
+select g, round(case when x = 1 then 0.0 else {_M * _M / (2 * log(2))!r} / ({float(_M)!r} * (x + list_sum(list_transform(range(1, 26), lambda k: pow(x, pow(2.0, k)) * pow(2.0, k - 1)))) + s) end, 4) as est from s""",
+)
+def estimate_improved(spark, d):
     from splitcount.operators import estimate as E
 
-    return E.likelihood(hist_of(spark, d, "four"), G, P).select("g", F.round("est", 4).alias("est"))
+    return E.improved(hist_of(spark, d, "four"), G, P).select("g", F.round("est", 4).alias("est"))
 
 
-@query("q_martingale")
+@query(
+    "q_martingale",
+    f"""with {with_pairs("select event_id, cast(event_id as varchar) as v from events", cols="event_id")}, f as (select j, r, min(event_id) as id from pairs group by j, r),
+u as (select id, r, coalesce(max(r) over (partition by j order by id rows between unbounded preceding and 1 preceding), 0) as b from f),
+c as (select 1 - coalesce(sum((pow(2.0, -b) - pow(2.0, -r)) / {float(_M)!r}) over (order by id rows between unbounded preceding and 1 preceding), 0) as chance from u where r > b)
+select round(coalesce(sum(1 / chance), 0), 4) as est from c""",
+)
 def martingale(spark, d):
     rows = H.pairs(table(spark, d, "events"), ["event_id"], F.col("event_id").cast("string"), P)
-    return spark.createDataFrame([(round(B.martingale(rows, P, "event_id"), 4),)], "est double")
+    return B.martingale(rows, P, "event_id").select(F.round("est", 4).alias("est"))
 
 
 @query("q_builtin_hllpp")

@@ -12,7 +12,7 @@ from splitcount.operators import aggregate as A
 from splitcount.operators.codec import CodedTrace, Sketch, Trace, coded_registers
 from splitcount.operators.deep import deep_size
 from splitcount.queries.methods import G, regs_of
-from splitcount.queries.registry import P, query, src, src_sql, with_base, with_est, with_regs
+from splitcount.queries.registry import P, query, src, src_sql, with_base, with_est, with_pairs, with_regs
 from splitcount.session import table
 
 
@@ -64,7 +64,7 @@ def sql_agg(spark, d):
     """The aggregate under its SQL name, over registers."""
     A.register(spark)
     regs_of(spark, d, "texts").createOrReplaceTempView("splitcount_registers")
-    return spark.sql("select g, round(sketch_estimate(s), 4) as est from (select g, sketch_agg(j, r) as s from splitcount_registers group by g)")
+    return spark.sql("select g, round(sketch_estimate(s), 4) as est from (select g, sketch_agg(j, r, 10) as s from splitcount_registers group by g)")
 
 
 @query("q_blob_rollup", f"with {with_est(src_sql('orderkeys'))} select est from est")
@@ -101,12 +101,16 @@ def blob_equal_forms(spark, d):
 
 # ------------------------------------------------------------------ sequential runs
 
+_TRACE_P = 6
 
-def _trace(spark, d, make, read, schema: str, p: int = 8):
-    """One ordered stream, events by id, in one task: a sequential run by its nature."""
+
+def _trace(spark, d, make, read, schema: str, p: int = _TRACE_P):
+    """One ordered stream, events by id.  The rows that raise a register are found in parallel; only they, at most 64 m,
+    change a sketch, and are read in order by one task."""
     from splitcount.functions.hashing import pairs
+    from splitcount.operators.baselines import raising
 
-    rows = pairs(table(spark, d, "events"), ["event_id"], F.col("event_id").cast("string"), p)
+    rows = raising(pairs(table(spark, d, "events"), ["event_id"], F.col("event_id").cast("string"), p), "event_id")
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         t = make(p)
@@ -118,44 +122,69 @@ def _trace(spark, d, make, read, schema: str, p: int = 8):
     return rows.repartition(1).sortWithinPartitions("event_id").mapInPandas(run, schema)
 
 
-_COUNTS = "variant string, updates long, rejected long, changed long, compress_calls long, rebases long, candidates long, b long, sparse long, bits long"
+_COUNTS = "variant string, changed long, compress_calls long, rebases long, b long, sparse long, bits long, low long"
 
 
 def _counted(t: Trace) -> dict:
     c = t.counters
-    return {
-        "variant": t.variant,
-        "updates": c.updates,
-        "rejected": c.rejected,
-        "changed": c.changed,
-        "compress_calls": c.compress_calls,
-        "rebases": c.rebases,
-        "candidates": c.candidates,
-        "b": t.base,
-        "sparse": len(t.sparse),
-        "bits": t.bits,
-    }
-
-
-@query("q_opt_trace")
+    return {"variant": t.variant, "changed": c.changed, "compress_calls": c.compress_calls, "rebases": c.rebases, "b": t.base, "sparse": t.sparse, "bits": t.bits, "low": t.low}
+
+
+def _trace_sql(last: str) -> str:
+    """Every change of a register in order, and the list of how many registers hold each value after it."""
+    m = 1 << _TRACE_P
+    return f"""with recursive {with_pairs("select event_id, cast(event_id as varchar) as v from events", _TRACE_P, cols="event_id")},
+f as (select j, r, min(event_id) as id from pairs group by j, r),
+u as (select id, j, r, coalesce(max(r) over (partition by j order by id rows between unbounded preceding and 1 preceding), 0) as b from f),
+c as (select row_number() over (order by id) as i, r, b from u where r > b),
+d as (select i, v, sum(case when v = r then 1 when v = b then -1 else 0 end) as d from c, range(0, 65) t(v) group by i, v),
+n as (select i, v, cast(case when v = 0 then {m} else 0 end + sum(d) over (partition by v order by i) as bigint) as n from d),
+h as (select i, list(n order by v) as h from n group by i),
+best as (select a.i, a.v as b, (select cast(sum(x.n) as bigint) from n x where x.i = a.i and x.v between a.v and a.v + 7) as dense from n a where a.n > 0),
+opt as (select i, arg_min(b, {m + 1} * ({m} - dense) + b) as b, {m} - max(dense) as sparse from best group by i),
+low as (select i, min(v) as b from n where n > 0 group by i),
+lazy(i, base, calls, moves) as (
+  select cast(0 as bigint), cast(0 as bigint), cast(0 as bigint), cast(0 as bigint)
+  union all
+  select i, case when moved then nxt else base end, calls + grows, moves + moved::int
+  from (select *, grows = 1 and nxt is not null and list_sum(h[nxt + 1:nxt + 8]) > list_sum(h[base + 1:base + 8]) as moved
+        from (select c.i, base, calls, moves, h, list_filter(range(base + 1, 65), lambda x: h[x + 1] > 0)[1] as nxt,
+                     case when c.r >= base + 8 and c.b between base and base + 7 then 1 else 0 end as grows
+              from lazy join c on c.i = lazy.i + 1 join h on h.i = c.i))),
+z as (select max(i) as i from c), last_low as (select b as low from low join z using (i))
+{last}"""
+
+
+def _row_sql(variant: str, calls: str, moves: str, b: str, sparse: str, source: str) -> str:
+    m = 1 << _TRACE_P
+    return f"select '{variant}' as variant, z.i as changed, cast({calls} as bigint) as compress_calls, cast({moves} as bigint) as rebases, cast({b} as bigint) as b, cast({sparse} as bigint) as sparse, cast({3 * m} + ({sparse}) * {_TRACE_P + 6} as bigint) as bits, cast(low as bigint) as low from z, last_low, {source}"
+
+
+_OPT_SQL = _trace_sql(_row_sql("opt", "z.i", "x.moves", "x.b", "x.sparse", "(select arg_max(b, i) as b, arg_max(sparse, i) as sparse, sum(case when b <> before then 1 else 0 end) as moves from (select *, coalesce(lag(b) over (order by i), 0) as before from opt)) x"))
+_MIN_SQL = _trace_sql(_row_sql("min", "x.moves", "x.moves", "low", f"{1 << _TRACE_P} - x.dense", "(select y2.moves, b2.dense from (select sum(case when b <> before then 1 else 0 end) as moves from (select *, coalesce(lag(b) over (order by i), 0) as before from low)) y2, (select best.dense from best join z using (i) join low on low.i = best.i and low.b = best.b) b2) x"))
+_LAZY_SQL = _trace_sql(_row_sql("lazy", "x.calls", "x.moves", "x.base", f"{1 << _TRACE_P} - x.dense", "(select calls, moves, base, list_sum(h[base + 1:base + 8]) as dense from lazy join z using (i) join h using (i)) x"))
+
+
+@query("q_opt_trace", _OPT_SQL)
 def opt_trace(spark, d):
     return _trace(spark, d, lambda p: Trace(p, variant="opt"), _counted, _COUNTS)
 
 
-@query("q_lazy_trace")
+@query("q_lazy_trace", _LAZY_SQL)
 def lazy_trace(spark, d):
     return _trace(spark, d, lambda p: Trace(p, variant="lazy"), _counted, _COUNTS)
 
 
-@query("q_min_trace")
+@query("q_min_trace", _MIN_SQL)
 def min_trace(spark, d):
     return _trace(spark, d, lambda p: Trace(p, variant="min"), _counted, _COUNTS)
 
 
-@query("q_zstd_trace")
+@query("q_zstd_trace", _trace_sql("select z.i as decodes, z.i as encodes, cast(low as bigint) as low from z, last_low"))
 def zstd_trace(spark, d):
-    read = lambda t: {"decodes": t.decodes, "encodes": t.encodes, "low": t.low, "bits": 8 * len(t.data)}
-    return _trace(spark, d, CodedTrace, read, "decodes long, encodes long, low long, bits long")
+    """The coded array is decoded and coded again at every change."""
+    read = lambda t: {"decodes": t.decodes, "encodes": t.encodes, "low": t.low}
+    return _trace(spark, d, CodedTrace, read, "decodes long, encodes long, low long")
 
 
 @F.pandas_udf(T.LongType())

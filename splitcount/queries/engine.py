@@ -22,27 +22,45 @@ def _folder(spark, name: str) -> str:
     return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
 
 
-def _staged(spark, d, files: int = 4):
-    """Events as files that appear in time order, as a stream would find them."""
+#: Parts in time order, and files of each; a batch takes a whole part.
+_PARTS, _FILES = 4, 4
+#: The last part of a stream that is closed: one event this long after all others, so that every window before it ends.
+_CLOSING = "interval 60 days"
+
+
+def _staged(spark, d, closing: bool = False) -> str:
+    """Events as parts that appear in time order, as a stream would find them, each written by several tasks."""
     path = _folder(spark, "events")
     ev = table(spark, d, "events").withColumn("ts", F.col("ts").cast("timestamp"))
     span = ev.agg(F.unix_micros(F.min("ts")).alias("lo"), F.unix_micros(F.max("ts")).alias("hi")).first()
     lo, hi = span["lo"] or 0, span["hi"] or 0
-    part = F.least(F.lit(files - 1), F.floor((F.unix_micros("ts") - lo) * files / (hi - lo + 1)))
-    for k in range(files):
-        ev.where(part == k).coalesce(1).sortWithinPartitions("ts").write.mode("append").parquet(path)
+    part = F.least(F.lit(_PARTS - 1), F.floor((F.unix_micros("ts") - lo) * _PARTS / (hi - lo + 1)))
+    for k in range(_PARTS):
+        # Even shares, so that each part has as many files as a batch takes.
+        ev.where(part == k).repartition(_FILES).write.mode("append").parquet(path)
+    if closing:
+        last = spark.range(1).select(F.lit(-1).cast("long").alias("event_id"), (F.timestamp_micros(F.lit(hi)) + F.expr(_CLOSING)).alias("ts"), F.lit(-1).cast("long").alias("user_id"))
+        last.withColumns({c: F.lit(None).cast(t) for c, t in ev.dtypes if c not in last.columns}).select(*ev.columns).write.mode("append").parquet(path)
     return path
 
 
+def _events(spark, d, closing: bool = False):
+    return panes.source(spark, _staged(spark, d, closing), files_per_batch=_FILES)
+
+
 def _run(spark, stream, mode: str, name: str):
-    """All that is there, to a memory table."""
-    table_name = f"{name}_{uuid.uuid4().hex}"
-    q = stream.writeStream.format("memory").queryName(table_name).outputMode(mode).option("checkpointLocation", _folder(spark, name)).trigger(availableNow=True).start()
+    """All that is there, batch by batch, to a Parquet table."""
+    path = _folder(spark, f"{name}-out")
+    out = stream.writeStream.outputMode(mode).option("checkpointLocation", _folder(spark, name)).trigger(availableNow=True)
+    if mode == "append":
+        q = out.format("parquet").option("path", path).start()
+    else:
+        q = out.foreachBatch(lambda batch, k: batch.write.mode("overwrite").parquet(f"{path}/batch={k}")).start()  # a replay writes the same place
     try:
         q.awaitTermination()
     finally:
         q.stop()
-    return spark.table(table_name)
+    return spark.read.schema(stream.schema).parquet(path)
 
 
 _DAILY = f"with {with_est('select cast(ts as date) as g, cast(user_id as varchar) as v from events')} select strftime(g, '%Y-%m-%d') as pane, est from est"
@@ -60,7 +78,7 @@ def store_upsert(spark, d):
     return store.read().select(F.date_format("pane", "yyyy-MM-dd").alias("pane"), F.round(A.sketch_estimate("sketch"), 4).alias("est"))
 
 
-@query("q_store_asof")
+@query("q_store_asof", f"with {with_est('select event_type, cast(ts as date) as g, cast(user_id as varchar) as v from events', cols='event_type, g')}, k as (select event_type, max(g) as g from est where g <= date '2024-01-15' group by event_type) select event_type, strftime(g, '%Y-%m-%d') as pane, est from est join k using (event_type, g)")
 def store_asof(spark, d):
     store = SketchStore(spark, _folder(spark, "store"), ("event_type",))
     panes.publish(store, "user_id", P)(table(spark, d, "events").withColumn("ts", F.col("ts").cast("timestamp")), 0)
@@ -89,29 +107,38 @@ def src_pairs(spark, d):
 @query("q_stream_tumbling", f"with {with_est('select cast(ts as date) as g, event_type, cast(user_id as varchar) as v from events', cols='g, event_type')} select strftime(g, '%Y-%m-%d') as pane, event_type, est from est")
 def stream_tumbling(spark, d):
     """Registers as streaming state; the last update of each register counts."""
-    regs = panes.tumbling_registers(panes.source(spark, _staged(spark, d)), ["event_type"], "user_id", P, "1 day", "40 days")
+    regs = panes.tumbling_registers(_events(spark, d), ["event_type"], "user_id", P, "1 day", "40 days")
     got = R.from_pairs(_run(spark, regs, "update", "tumbling"), ["pane", "event_type"])
     return _est(got, ["pane", "event_type"]).select(F.date_format("pane", "yyyy-MM-dd").alias("pane"), "event_type", "est")
 
 
-@query("q_stream_closed")
+@query("q_stream_closed", _DAILY)
 def stream_closed(spark, d):
     """Estimates of panes once they close, by two chained streaming aggregations."""
-    got = _run(spark, panes.tumbling_moments(panes.source(spark, _staged(spark, d)), [], "user_id", P, "1 day", "1 hour"), "append", "closed")
+    got = _run(spark, panes.tumbling_moments(_events(spark, d, closing=True), [], "user_id", P, "1 day", "1 hour"), "append", "closed")
     return got.select(F.date_format("pane", "yyyy-MM-dd").alias("pane"), F.round("est", 4).alias("est"))
 
 
-@query("q_stream_sliding")
+@query(
+    "q_stream_sliding",
+    f"with {with_est("select g, v from (select unnest([ts::date, ts::date - 1, ts::date - 2]) as g, cast(user_id as varchar) as v from events)")} select strftime(g, '%Y-%m-%d') as pane, est from est",
+)
 def stream_sliding(spark, d):
-    regs = _run(spark, panes.tumbling_registers(panes.source(spark, _staged(spark, d)), [], "user_id", P, "1 day", "40 days"), "update", "sliding")
+    regs = _run(spark, panes.tumbling_registers(_events(spark, d), [], "user_id", P, "1 day", "40 days"), "update", "sliding")
     wide = panes.sliding(R.from_pairs(regs, ["pane"]), [], "1 day", 3)
     return _est(wide, ["pane"]).select(F.date_format("pane", "yyyy-MM-dd").alias("pane"), "est")
 
 
-@query("q_stream_sessions")
+_SESSIONS = """select start::date as g, cast(user_id as varchar) as v from (
+  select user_id, s, min(ts) as start from (
+    select user_id, ts, sum(case when before is null or ts >= before + interval 12 hour then 1 else 0 end) over (partition by user_id order by ts) as s
+    from (select user_id, ts, lag(ts) over (partition by user_id order by ts) as before from events)) group by user_id, s)"""
+
+
+@query("q_stream_sessions", f"with {with_est(_SESSIONS)} select strftime(g, '%Y-%m-%d') as pane, est from est")
 def stream_sessions(spark, d):
-    """Closed sessions per user, then distinct users with a session per day."""
-    s = _run(spark, panes.sessions(panes.source(spark, _staged(spark, d)), "user_id", "12 hours", "1 hour"), "append", "sessions")
+    """Closed sessions per user, then distinct users with a session that starts on a day."""
+    s = _run(spark, panes.sessions(_events(spark, d, closing=True), "user_id", "12 hours", "1 hour"), "append", "sessions")
     rows = s.select(F.col("start").cast("date").alias("pane"), F.col("user_id").cast("string").alias("v"))
     return _est(R.build(rows, ["pane"], "v", P), ["pane"]).select(F.date_format("pane", "yyyy-MM-dd").alias("pane"), "est")
 
@@ -119,7 +146,7 @@ def stream_sessions(spark, d):
 @query("q_stream_state", f"with {with_est('select event_type as g, cast(user_id as varchar) as v from events')} select g as event_type, est from est")
 def stream_state(spark, d):
     """One packed sketch per key as state; the last update of each key."""
-    got = _run(spark, panes.blob_state(panes.source(spark, _staged(spark, d)), "event_type", "user_id", P), "update", "state")
+    got = _run(spark, panes.blob_state(_events(spark, d), "event_type", "user_id", P), "update", "state")
     last = got.groupBy("event_type").agg(F.max_by("est", "n_changed").alias("est"))
     return last.select("event_type", F.round("est", 4).alias("est"))
 
@@ -138,7 +165,7 @@ def stream_late(spark, d):
 
 @query("q_stream_exact", "select count(distinct user_id) as n from events")
 def stream_exact(spark, d):
-    got = _run(spark, panes.exact_rival(panes.source(spark, _staged(spark, d)).select("ts", "user_id"), "user_id", "60 days"), "append", "exact")
+    got = _run(spark, panes.exact_rival(_events(spark, d).select("ts", "user_id"), "user_id", "60 days"), "append", "exact")
     return got.agg(F.count("*").alias("n"))
 
 

@@ -210,7 +210,6 @@ def _estimate(name: str, bits):
 
 
 estimate_classic = _estimate("q_estimate_classic", 64)
-estimate_w64 = _estimate("q_estimate_w64", 64)
 estimate_w32 = _estimate("q_estimate_w32", 32)
 estimate_open = _estimate("q_estimate_open", None)
 
@@ -254,7 +253,7 @@ def _base(name: str, how: str):
 base_window = _base("q_base_window", "window")
 base_theta = _base("q_base_theta", "theta")
 base_maxby = _base("q_base_maxby", "maxby")
-base_rownum = _base("q_base_rownum", "window")
+base_rownum = _base("q_base_rownum", "rownum")
 
 
 @query("q_base_opt", f"with {with_base(src_sql('orderkeys'))}, {with_moments()} select g, b, dense, sparse, bits, round({est_sql()}, 4) as est from base join moments using (g)")

@@ -2,40 +2,56 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import functions as F
 
-from splitcount import accuracy, workloads
+from splitcount import accuracy, measures, workloads
 from splitcount.operators import estimate as E
 from splitcount.operators import registers as R
 from splitcount.operators import split as S
-from splitcount.queries.registry import _union, query, with_est
-from splitcount.session import table
-
-_GRID = (4, 6, 8, 10, 12)
-
-
-def _rung(p: int) -> str:
-    sql = with_est(
-        "select u.upto, cast(l_orderkey as varchar) as v from lineitem, (select cast(k as integer) as upto from range(4, 61) t(k)) u where ceil(2 * log2(greatest(l_orderkey, 1))) <= u.upto", p, f"_{p}", cols="upto"
-    )
-    # The piecewise estimate reads its own moments.
-    return sql
+from splitcount.operators.codec import coded_registers
+from splitcount.operators.estimate import alpha
+from splitcount.operators.rivals import HEADER_BITS
+from splitcount.queries.registry import est_sql, hash_sql, query, with_hist, with_moments, with_pairs, with_regs
+from splitcount.schema import registers_of
+from splitcount.session import cut, table
+
+_RUNGS = tuple(range(4, 61, 4))
+_REPS = 2
+_ALL_P = tuple(range(4, 19))
+#: (p, m, alpha m m) of every size.
+_SIZES = "(values " + ", ".join(f"({p}, {float(registers_of(p))!r}, {alpha(p) * registers_of(p) ** 2!r})" for p in _ALL_P) + ") sizes(p, m, am)"
+_TOP_E = 2.0**64
+
+_GRID_SQL = f"""with items as (
+  select 'integers' as input, cast(ceil(2 * log2(greatest(l_orderkey, 1))) as integer) as step, cast(l_orderkey as varchar) as v from lineitem
+  union all select 'strings', cast(ceil(2 * log2(greatest(c_custkey, 1))) as integer), c_name from customer
+  union all select 'pairs', cast(ceil(2 * log2(greatest(event_id, 1))) as integer), 'pair ' || event_id from events
+), reps as (
+  select input, cast(k as integer) as rep, step, k || ':' || v as v from items, range(0, {_REPS}) t(k)
+), {with_regs("select * from reps", 18, cols="input, rep, step")},
+rungs as (select cast(k as integer) as upto from (values {", ".join(f"({k})" for k in _RUNGS)}) t(k)),
+every as (select input, rep, upto, j, max(r) as r from regs join rungs on step <= upto group by all),
+folded as (select input, rep, upto, p, m, am, j >> (18 - p) as j, max(r) as r from every, {_SIZES} group by all),
+s as (select input, rep, upto, p, m, am, sum(pow(2.0, -r)) + (m - count(*)) as s, m - count(*) as v from folded group by input, rep, upto, p, m, am),
+n as (select input, rep, upto, count(distinct v) as n from reps join rungs on step <= upto group by all),
+e as (select *, round(case when am / s <= 2.5 * m and v > 0 then m * ln(m / v) when am / s > {_TOP_E / 30!r} then {-_TOP_E!r} * ln(1 - am / s / {_TOP_E!r}) else am / s end, 4) as est from s join n using (input, rep, upto))
+select cast(p as integer) as p, input, rep, upto, n, est, round(est / n - 1, 6) as rel_err from e"""
+
+
+@query("q_w01_grid", _GRID_SQL)
+def grid(spark, d):
+    """Every size, three inputs, repetitions; every fourth rung of the ladder and two repetitions here."""
+    return workloads.grid(spark, d, _ALL_P, _RUNGS, _REPS)
 
 
-@query(
-    "q_w01_grid",
-    "with "
-    + ",\n".join(_rung(p) for p in _GRID)
-    + ",\nn as (select u.upto, count(distinct l_orderkey) as n from lineitem, (select cast(k as integer) as upto from range(4, 61) t(k)) u where ceil(2 * log2(greatest(l_orderkey, 1))) <= u.upto group by u.upto)\n"
-    + " union all ".join(f"select cast({p} as integer) as p, upto, n, est, round(est / n - 1, 6) as rel_err from est_{p} join n using (upto)" for p in _GRID),
-)
-def grid(spark, d):
-    return workloads.grid(spark, d, _GRID)
+_PAIRS_SQL = lambda n, rep: f"select id, '{rep}:' || id as v from range(0, {n}) t(id)"
 
 
-@query("q_w04_pairs")
+@query("q_w04_pairs", f"with {with_regs(_PAIRS_SQL(50_000, 0), 8, cols='id').replace('regs as (select id, j, max(r) as r from pairs group by id, j)', 'regs as (select 0 as g, j, max(r) as r from pairs group by j)')}, {with_hist(None, 8)}, {with_moments(8)} select round({est_sql(8)}, 4) as est from moments")
 def raw_pairs(spark, d):
-    rows = workloads.raw_pairs(spark, 50_000, 8)
+    rows = workloads.raw_pairs(spark, 50_000, 8, family="md5_64")
     return E.from_registers(R.from_pairs(rows, []), [], 8).select(F.round("est", 4).alias("est"))
 
 
@@ -47,18 +63,45 @@ def hash_only(spark, d):
     return h.agg(F.count("*").alias("n"), F.sum("hi").alias("sum_hi"), F.max("hi").alias("max_hi"))
 
 
-@query("q_w08_load_factor")
+@query("q_w06_update_time")
+def update_time(spark, d):
+    """Sequential update time of every implementation as the stream grows, at the figure's size."""
+    plain = measures.update_scaling(spark, 15, (1 << 8, 1 << 11, 1 << 14), reps=1)
+    return plain.unionByName(measures.update_scaling(spark, 15, (1 << 8, 1 << 11), ("zstd",), reps=1))
+
+
+@query("q_w07_total_time")
+def total_time(spark, d):
+    """Time for one stream, over the number of registers."""
+    return measures.total_by_registers(spark, 1 << 13)
+
+
+_LOAD_P, _TOP_LOAD = (4,), 1 << 17
+
+
+@query(
+    "q_w08_load_factor",
+    "with "
+    + ",\n".join(
+        f"""{with_pairs(_PAIRS_SQL(_TOP_LOAD << p, 3), p, f"_{p}", cols="id")},
+f_{p} as (select j, r, min(id) as id from pairs_{p} group by j, r),
+u_{p} as (select id, r, coalesce(max(r) over (partition by j order by id rows between unbounded preceding and 1 preceding), 0) as b from f_{p})"""
+        for p in _LOAD_P
+    )
+    + " "
+    + " union all ".join(f"select cast({p} as integer) as p, cast(floor(log2((id + 1) / {float(1 << p)!r})) as integer) as load, count(*) as changed from u_{p} where r > b group by 2" for p in _LOAD_P),
+)
 def load_factor(spark, d):
-    """Share of pairs that still raise a register, by load factor: the work that is left to do."""
-    out = []
-    for p in (4, 6, 8):
-        rows = workloads.raw_pairs(spark, 1 << 15, p)
-        from pyspark.sql import Window as W
+    """Pairs that still raise a register, by doublings of the load up to 2**17: the work that is left to do."""
+    return workloads.load_changes(spark, _LOAD_P, _TOP_LOAD)
+
 
-        before = F.max("r").over(W.partitionBy("j").orderBy("id").rowsBetween(W.unboundedPreceding, -1))
-        up = rows.withColumn("up", (F.col("r") > F.coalesce(before, F.lit(0))).cast("int")).withColumn("load", F.floor(F.log2((F.col("id") + 1) / (1 << p))).cast("int"))
-        out.append(up.groupBy("load").agg(F.round(F.avg("up"), 6).alias("changed"), F.count("*").alias("n")).select(F.lit(p).alias("p"), "load", "changed", "n"))
-    return _union(out)
+@query("q_w08_load_time")
+def load_time(spark, d):
+    """Time per item and base searches against the load, up to 2**17, per variant."""
+    runs = [(v, 4, 16 << k, 0, "pairs") for v in ("opt", "lazy", "min") for k in (0, 3, 6, 9, 12, 15, 17)]
+    got = measures.sequential(spark, runs)
+    return got.select("variant", "p", (F.col("n") / 16).cast("long").alias("load"), "per_item", "changed", "compress_calls", "rebases")
 
 
 @query("q_w09_merge_halves", "select cast(0 as bigint) as mismatches")
@@ -66,15 +109,92 @@ def merge_halves(spark, d):
     return workloads.merge_check(table(spark, d, "lineitem"), "l_orderkey", 10)
 
 
-@query("q_w10_sizes")
+_LAW_N = 2.0**30
+_WINDOWS = """w as (
+  select a.p, a.b, a.here, a.m - cast(sum(h.c) as bigint) as sparse from cand a join hist h on h.p = a.p and h.r between a.b and a.b + 7 group by a.p, a.b, a.here, a.m
+)"""
+
+_SIZES_SQL = f"""with ids as (select cast(p as integer) as p, cast(m as bigint) as m, unnest(range(0, cast(m as bigint))) as j from {_SIZES}),
+h as (select p, m, j, {hash_sql("'0:' || p || ':' || j")} from ids),
+regs as (select p, m, j, cast(least(63, greatest(0, ceil(log2(1 / (m * (1 - exp(ln((hi * 2097152 + (lo >> 11) + 0.5) / {2.0**53!r}) / {_LAW_N!r}))))))) as bigint) as r from h),
+hist as (select p, m, r, count(*) as c from regs group by all),
+cand as (select p, m, r as b, c as here from hist union all select distinct p, m, cast(0 as bigint), cast(0 as bigint) from hist x where not exists (select 1 from hist y where y.p = x.p and y.r = 0)),
+{_WINDOWS},
+opt as (select p, min_by(sparse, struct_pack(s := sparse, b := b)) as s from w where here > 0 group by p),
+low as (select p, min_by(sparse, b) as s from w where here > 0 group by p),
+steps as (select *, coalesce(sparse >= lag(sparse) over (partition by p order by b), false) as stop from w),
+climb as (select p, max_by(sparse, b) as s from (select *, bool_or(stop) over (partition by p order by b) as stopped from steps) where not stopped group by p),
+four as (select h.p, cast(sum(case when h.r - l.b >= 15 then h.c else 0 end) as bigint) as s from hist h join (select p, min(r) as b from hist group by p) l on l.p = h.p group by h.p),
+f as (select p, m, -(exp({-_LAW_N!r} / (m * pow(2.0, k))) - 1) as f from (select distinct p, m from hist), range(1, 64) t(k)),
+x as (
+  select p, 'split_opt' as variant, 3 * (1::bigint << p) + s * (p + 6) as bits from opt
+  union all select p, 'split_min', 3 * (1::bigint << p) + s * (p + 6) from low
+  union all select p, 'split_lazy', 3 * (1::bigint << p) + s * (p + 6) from climb
+  union all select p, 'reg4', 4 * (1::bigint << p) + s * (p + 6) from four
+  union all select p, 'reg6', 6 * (1::bigint << p) from four
+  union all select p, 'reg6_library', 6 * (1::bigint << p) + {HEADER_BITS} from four
+  union all select p, 'reg8', 8 * (1::bigint << p) from four
+  union all select p, 'matrix', cast(round(m * sum(case when f <= 0 or f >= 1 then 0.0 else -f * log2(f) - (1 - f) * log2(1 - f) end)) as bigint) from f group by p, m
+)
+select p, variant, cast(bits as bigint) as bits, round(bits / pow(2.0, p), 6) as per_register, round(1 - bits / pow(2.0, p) / 6, 6) as reduction from x"""
+
+
+@query("q_w10_sizes", _SIZES_SQL)
 def sizes(spark, d):
-    """Optimal and smallest base at 2**30 items, from registers drawn by their law."""
-    return workloads.sizes_at(spark, 2.0**30, (4, 8, 12, 15))
+    """Every implementation at 2**30 items and all sizes, from registers drawn by their law."""
+    return workloads.sizes_at(spark, _LAW_N)
+
+
+@query("q_w10_zstd")
+def zstd_sizes(spark, d):
+    """(p, bits, per_register) of byte-wide registers under Zstandard, from the same registers."""
+
+    @F.pandas_udf("long")
+    def coded(p: pd.Series, regs: pd.Series) -> pd.Series:
+        out = []
+        for size, entries in zip(p, regs, strict=True):
+            cells = np.zeros(1 << size, np.uint8)
+            for e in entries:
+                cells[e["j"]] = e["r"]
+            out.append(8 * len(coded_registers(cells)))
+        return pd.Series(out)
+
+    one = workloads.law_rows(spark, _LAW_N, _ALL_P).groupBy("p").agg(F.collect_list(F.struct("j", "r")).alias("x"))  # m entries each
+    return one.select("p", coded("p", "x").alias("bits")).withColumn("per_register", F.round(F.col("bits") / F.pow(F.lit(2.0), "p"), 6))
 
 
-@query("q_w10_closed")
+@query(
+    "q_w10_closed",
+    f"""with f as (select cast(p as integer) as p, m, k, case when k = 0 then 0.0 else exp(-{_LAW_N!r} / (m * pow(2.0, k))) end as cum from {_SIZES}, range(0, 64) t(k)),
+c as (select p, m, k, case when k = 0 then exp(-{_LAW_N!r} / m) else cum end as cum from f),
+l as (select p, m, k, cum - coalesce(lag(cum) over (partition by p order by k), 0) as prob from c),
+w as (select a.p, a.m, a.k, sum(b.prob) as mass from l a join l b on b.p = a.p and b.k between a.k and a.k + 7 group by all)
+select p, round(3 + (p + 6) * (1 - max(mass)), 3) as per_register, round(1 - (3 + (p + 6) * (1 - max(mass))) / 6, 3) as reduction, round(min(e), 3) as entropy
+from w join (select p, -sum(case when prob > 0 then prob * log2(prob) else 0 end) as e from l group by p) using (p) group by p""",
+)
 def closed_sizes(spark, d):
-    return workloads.closed_sizes(spark)
+    got = workloads.closed_sizes(spark)
+    return got.select("p", *(F.round(c, 3).alias(c) for c in ("per_register", "reduction", "entropy")))
+
+
+@query("q_w11_point")
+def point(spark, d):
+    """Size and update time of every implementation at the figure's size; slow coders over fewer items, said in n."""
+    quick = measures.sequential(spark, [(v, 15, 1 << 14, 0, "pairs") for v in measures.CONTENDERS if v not in ("zstd", "matrix")])
+    slow = measures.sequential(spark, [(v, 15, 1 << 11, 0, "pairs") for v in ("zstd", "matrix", "lazy", "opt")])
+    return quick.unionByName(slow).select("variant", "p", "n", "bits", "per_item", "est")
+
+
+@query("q_w11_curve")
+def curve(spark, d):
+    """The same for every second size from 2**10 to 2**18 registers."""
+    return measures.tradeoff(spark, (10, 12, 14, 16, 18), 1 << 12)
+
+
+@query("q_w11_front")
+def curve_front(spark, d):
+    """The points that no other beats in both size and time."""
+    return measures.front(cut(measures.tradeoff(spark, (10, 12), 1 << 12)))
 
 
 @query("q_w13_spread")

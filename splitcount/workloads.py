@@ -7,14 +7,17 @@ so a re-run of a lost task makes the same rows.
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from splitcount.functions import cost, theory
+from splitcount.functions import theory
 from splitcount.functions import hashing as H
 from splitcount.operators import estimate as E
 from splitcount.operators import registers as R
 from splitcount.operators import split as S
-from splitcount.operators.baselines import exact
+from splitcount.operators.aggregate import merge_sketches, pack_registers
+from splitcount.operators.baselines import exact, raising
+from splitcount.operators.rivals import HEADER_BITS
 from splitcount.schema import registers_of
 from splitcount.session import cut, table
 
@@ -34,56 +37,120 @@ def strings(spark: SparkSession, n: int, rep: int = 0) -> DataFrame:
     return spark.range(n).select(F.substring(F.md5(F.concat_ws(":", F.lit(rep), "id").cast("binary")), 1, 8).alias("v"))
 
 
-def raw_pairs(spark: SparkSession, n: int, p: int, rep: int = 0) -> DataFrame:
-    """(id, j, r): j uniform over m, r geometric with chance a half."""
+def raw_pairs(spark: SparkSession, n: int, p: int, rep: int = 0, family: str = "xx64") -> DataFrame:
+    """(id, j, r): j uniform over m, r geometric with chance a half.
+
+    ``xx64`` draws j and r from hashes of their own; ``md5_64`` draws both from one, as another engine can.
+    """
+    if family == "md5_64":
+        return H.pairs(spark.range(n), ["id"], F.concat(F.lit(f"{rep}:"), F.col("id").cast("string")), p)
     j = F.pmod(F.xxhash64(F.lit(2 * rep), "id"), F.lit(registers_of(p)))
     h = F.xxhash64(F.lit(2 * rep + 1), "id")
     rows = spark.range(n).select("id", j.alias("j"), F.shiftrightunsigned(h, 32).alias("hi"), h.bitwiseAND(0xFFFFFFFF).alias("lo"))
     return rows.select("id", "j", H.rank().alias("r"))
 
 
-def law_registers(spark: SparkSession, n: float, p: int, rep: int = 0) -> DataFrame:
-    """(j, r) drawn from the register law at n items, without a stream: for sizes at counts no stream reaches."""
-    m = registers_of(p)
-    u = (F.shiftrightunsigned(F.xxhash64(F.lit(rep), "id"), 11) + 0.5) / F.lit(2.0**53)
+def law_rows(spark: SparkSession, n: float, ps: list[int], rep: int = 0) -> DataFrame:
+    """(p, j, r) drawn from the register law at n items, zeros absent, by hashes that another engine can repeat."""
+    ids = None
+    for p in ps:
+        one = spark.range(registers_of(p)).select(F.lit(p).alias("p"), F.col("id").alias("j"))
+        ids = one if ids is None else ids.unionByName(one)
+    rows = H.with_hash(ids, F.concat(F.lit(f"{rep}:"), F.col("p").cast("string"), F.lit(":"), F.col("j").cast("string")))
+    u = (F.col("hi") * F.lit(1 << 21) + F.shiftright("lo", 11) + 0.5) / F.lit(2.0**53)
     # Smallest k with (1 - 1/(m 2**k)) ** n >= u.
-    x = 1 - F.exp(F.log(u) / F.lit(float(n)))
-    k = F.ceil(F.log2(1 / (F.lit(float(m)) * x)))
-    return spark.range(m).select(F.col("id").alias("j"), F.least(F.lit(63), F.greatest(F.lit(0), k)).cast("long").alias("r")).where("r > 0")
+    k = F.ceil(F.log2(1 / (F.pow(F.lit(2.0), "p") * (1 - F.exp(F.log(u) / F.lit(float(n)))))))
+    return rows.select("p", "j", F.least(F.lit(63), F.greatest(F.lit(0), k)).cast("long").alias("r")).where("r > 0")
 
 
-def grid(spark: SparkSession, sf_dir: str, ps: list[int] = (4, 6, 8, 10, 12), steps: int = 8) -> DataFrame:
-    """(p, upto, n, est, rel_err): growing prefixes of the order keys for every p.
+def load_changes(spark: SparkSession, ps: list[int], top_load: int) -> DataFrame:
+    """(p, load, changed, n): pairs of each doubling of the load n / m that still raise a register.
 
-    One fine build for all prefixes: a register's history is a running maximum over prefix steps, and
-    coarser sketches fold from the finest.
+    Only the at most 64 m first rows of their kind are ordered.
     """
-    top = max(ps)
-    line = table(spark, sf_dir, "lineitem").select("l_orderkey")
-    # The step of a key is the first rung of the ladder that reaches it.
-    step = F.ceil(2 * F.log2(F.greatest(F.col("l_orderkey"), F.lit(1)))).cast("int")
-    fine = R.build(line.select(step.alias("step"), "l_orderkey"), ["step"], F.col("l_orderkey").cast("string"), top)
-    rungs = F.broadcast(spark.range(4, 61).select(F.col("id").cast("int").alias("upto")))
-    every = R.from_pairs(fine.join(rungs, F.col("step") <= F.col("upto")), ["upto"])
-    truth = line.select(step.alias("step"), "l_orderkey").distinct().groupBy("step").agg(F.count("*").alias("_n"))
-    truth = truth.join(rungs, F.col("step") <= F.col("upto")).groupBy("upto").agg(F.sum("_n").alias("n"))
     out = None
     for p in ps:
-        est = E.from_registers(R.fold(every, ["upto"], top, p), ["upto"], p).withColumn("est", F.round("est", 4))
-        one = est.join(truth, "upto").select(F.lit(p).alias("p"), "upto", "n", "est", F.round(F.col("est") / F.col("n") - 1, 6).alias("rel_err"))
+        m = registers_of(p)
+        ups = raising(raw_pairs(spark, m * top_load, p, 3, "md5_64"), "id")
+        by = ups.groupBy(F.floor(F.log2((F.col("id") + 1) / m)).cast("int").alias("load")).agg(F.count("*").alias("changed"))
+        one = by.select(F.lit(p).alias("p"), "load", "changed")
         out = one if out is None else out.unionByName(one)
     return out
 
 
-def sizes_at(spark: SparkSession, n: float = 2.0**30, ps: list[int] = tuple(range(4, 19, 2)), rep: int = 0) -> DataFrame:
-    """(p, variant, bits, per_register, reduction) of optimal and smallest base at n items, by sampled registers."""
+def grid_items(spark: SparkSession, sf_dir: str, reps: int) -> DataFrame:
+    """(input, rep, step, v): the three kinds of input from the tables, and fresh items in every repetition.
+
+    Integers are order keys, strings customer names, pairs the events' ids, which stand for ranks drawn before.
+    ``step`` is the first rung of the ladder that reaches the item.
+    """
+    step = lambda c: F.ceil(2 * F.log2(F.greatest(F.col(c), F.lit(1)))).cast("int").alias("step")
+    parts = [
+        table(spark, sf_dir, "lineitem").select(F.lit("integers").alias("input"), step("l_orderkey"), F.col("l_orderkey").cast("string").alias("v")),
+        table(spark, sf_dir, "customer").select(F.lit("strings").alias("input"), step("c_custkey"), F.col("c_name").alias("v")),
+        table(spark, sf_dir, "events").select(F.lit("pairs").alias("input"), step("event_id"), F.concat(F.lit("pair "), F.col("event_id").cast("string")).alias("v")),
+    ]
+    rows = parts[0].unionByName(parts[1]).unionByName(parts[2])
+    rep = F.explode(F.sequence(F.lit(0), F.lit(reps - 1)))
+    return rows.select("input", "step", "v", rep.alias("rep")).select("input", "rep", "step", F.concat(F.col("rep").cast("string"), F.lit(":"), F.col("v")).alias("v"))
+
+
+def grid(spark: SparkSession, sf_dir: str, ps: list[int] = tuple(range(4, 19)), rungs: list[int] = tuple(range(4, 61)), reps: int = 10) -> DataFrame:
+    """(p, input, rep, upto, n, est, rel_err): growing prefixes of every input and repetition, for every p.
+
+    One fine build for all: a register's history is a running maximum over prefix steps, and coarser
+    sketches fold from the finest.
+    """
+    top = max(ps)
+    keys = ["input", "rep"]
+    items = grid_items(spark, sf_dir, reps)
+    fine = R.build(items, [*keys, "step"], "v", top)
+    upto = F.broadcast(spark.createDataFrame([(r,) for r in rungs], "upto int"))
+    every = cut(R.from_pairs(fine.join(upto, F.col("step") <= F.col("upto")), [*keys, "upto"]))
+    truth = items.distinct().groupBy(*keys, "step").agg(F.count("*").alias("_n"))
+    truth = cut(truth.join(upto, F.col("step") <= F.col("upto")).groupBy(*keys, "upto").agg(F.sum("_n").alias("n")))
+    # All sizes in one pass: a register of the finest sketch counts for its leading bits at every p.
+    sized = every.select(*keys, "upto", "r", "j", F.explode(F.array(*map(F.lit, ps))).alias("p"))
+    folded = sized.groupBy(*keys, "upto", "p", F.call_function("shiftright", F.col("j"), F.lit(top) - F.col("p")).alias("j")).agg(F.max("r").alias("r"))
+    m = F.pow(F.lit(2.0), "p")
+    per = folded.groupBy(*keys, "upto", "p").agg((F.sum(F.pow(F.lit(2.0), -F.col("r"))) + (F.pow(F.lit(2.0), F.col("p")) - F.count("*"))).alias("s"), (F.pow(F.lit(2.0), F.col("p")).cast("long") - F.count("*")).alias("v"))
+    scale = F.create_map(*(F.lit(x) for p in ps for x in (p, E.alpha(p) * registers_of(p) ** 2)))
+    e = F.element_at(scale, F.col("p")) / F.col("s")
+    est = F.when((e <= 2.5 * m) & (F.col("v") > 0), m * F.log(m / F.col("v"))).when(e > 2.0**64 / 30, F.lit(-(2.0**64)) * F.log(1 - e / 2.0**64)).otherwise(e)
+    got = per.select("p", *keys, "upto", F.round(est, 4).alias("est")).join(truth, [*keys, "upto"])
+    return got.select("p", *keys, "upto", "n", "est", F.round(F.col("est") / F.col("n") - 1, 6).alias("rel_err"))
+
+
+def sizes_at(spark: SparkSession, n: float = 2.0**30, ps: list[int] = tuple(range(4, 19)), rep: int = 0, kappa: int = 3) -> DataFrame:
+    """(p, variant, bits, per_register, reduction) of every implementation at n items, by sampled registers.
+
+    The bit matrix stands at the sum of its column entropies, by their law.
+    """
+    hist = cut(S.histograms(law_rows(spark, n, ps, rep)))
+    windows = cut(S.windows(hist, ["p"], kappa))
+    low = F.min("r").over(W.partitionBy("p"))
+    above = hist.withColumn("low", low).groupBy("p").agg(F.sum(F.when(F.col("r") - F.col("low") >= 15, F.col("c")).otherwise(0)).cast("long").alias("sparse"))
+    m, entry = F.pow(F.lit(2.0), "p").cast("long"), F.col("p") + 6
+    forms = [
+        ("split_opt", S.widest(windows, ["p"]), kappa * m + F.col("sparse") * entry),
+        ("split_lazy", S.climbed(windows, ["p"]), kappa * m + F.col("sparse") * entry),
+        ("split_min", S.lowest(windows, ["p"]), kappa * m + F.col("sparse") * entry),
+        ("reg4", above, 4 * m + F.col("sparse") * entry),
+        ("reg6", above, 6 * m),
+        ("reg6_library", above, 6 * m + HEADER_BITS),
+        ("reg8", above, 8 * m),
+    ]
     out = None
-    for p in ps:
-        h = S.histogram(law_registers(spark, n, p, rep), [], p)
-        for name, base in (("split_opt", S.best_base(h, [], p)), ("split_min", S.base_at(h, S.min_base(h, []), [], p))):
-            one = base.select(F.lit(p).alias("p"), F.lit(name).alias("variant"), "bits", cost.bits_per_register(F.col("bits"), p).alias("per_register"), cost.reduction(F.col("bits"), p).alias("reduction"))
-            out = one if out is None else out.unionByName(one)
-    return out
+    for name, rows, bits in forms:
+        one = rows.select("p", F.lit(name).alias("variant"), bits.cast("long").alias("bits"))
+        out = one if out is None else out.unionByName(one)
+    f = -F.expm1(F.lit(-float(n)) / F.pow(F.lit(2.0), F.col("p") + F.col("k")))
+    h = F.when((f <= 0) | (f >= 1), 0.0).otherwise(-f * F.log2(f) - (1 - f) * F.log2(1 - f))
+    cells = hist.select("p").distinct().select("p", F.explode(F.sequence(F.lit(1), F.lit(63))).alias("k"))
+    matrix = cells.groupBy("p").agg(F.round(F.sum(h) * F.pow(F.lit(2.0), F.first("p"))).cast("long").alias("bits"))
+    out = out.unionByName(matrix.select("p", F.lit("matrix").alias("variant"), "bits"))
+    per = F.col("bits") / m
+    return out.select("p", "variant", "bits", F.round(per, 6).alias("per_register"), F.round(1 - per / 6, 6).alias("reduction"))
 
 
 def closed_sizes(spark: SparkSession, n: float = 2.0**30, kappa: int = 3) -> DataFrame:
@@ -128,15 +195,15 @@ def profile(df: DataFrame, p: int = 12) -> DataFrame:
 
 
 def neighbourhood(edges: DataFrame, p: int, hops: int = 3) -> DataFrame:
-    """(g, j, r): per left node, a sketch of the right nodes within ``hops`` (odd) steps of a bipartite graph.
+    """(g, sketch): per left node, a sketch of the right nodes within ``hops`` (odd) steps of a bipartite graph.
 
-    Each hop joins the edges with the sketches of the side before and merges; every second hop is cut to
-    the shared folder, so that the lineage stays short.
+    Each hop joins the edges with one packed sketch for each node of the side before, so an edge carries about half
+    a byte for each register; merging goes in rounds of bounded fan-in, so a hub's sketches never meet in one task.
     """
     if hops % 2 == 0:
         raise ValueError("an odd number of hops ends on the right side")
-    regs = R.build(edges, ["a"], F.col("b").cast("string"), p)
+    blobs = cut(pack_registers(R.build(edges, ["a"], F.col("b").cast("string"), p), ["a"], p))
     for _ in range(hops // 2):
-        right = R.from_pairs(edges.join(regs, "a").select("b", "j", "r"), ["b"])
-        regs = cut(R.from_pairs(edges.join(right, "b").select("a", "j", "r"), ["a"]))
-    return regs.select(F.col("a").alias("g"), "j", "r")
+        right = cut(merge_sketches(edges.join(blobs, "a").select("b", "sketch"), ["b"]))
+        blobs = cut(merge_sketches(edges.join(right, "b").select("a", "sketch"), ["a"]))
+    return blobs.select(F.col("a").alias("g"), "sketch")
