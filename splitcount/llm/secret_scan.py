@@ -108,6 +108,8 @@ class _Run:
     def end(self, at: int, units: int) -> float:
         """Least cost of a segment that ends here and has so many units or more."""
         costs = self.costs
+        if not costs:
+            return _NEVER
         longest = (at - self.first) // self.unit
         if longest >= _FAR:
             self.far = min(self.far, costs.pop(0))
