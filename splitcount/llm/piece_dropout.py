@@ -22,7 +22,7 @@ import math
 import re
 import zlib
 from array import array
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from functools import partial
 from operator import itemgetter
 
@@ -39,6 +39,8 @@ _NEVER = float("inf")
 _STEP, _MIX_A, _MIX_B = 0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9, 0x94D049BB133111EB
 #: Units above so many characters take the heap, and are not remembered with their skips.
 _LONG = 48
+#: Units whose agendas run in step.
+_GROUP = 4096
 _UNITS = re.compile(f" +[^ \\n{_SPACE}]*|[^ \\n{_SPACE}]+|[\\n{_SPACE}]")
 
 
@@ -72,6 +74,7 @@ class Pieces:
         #: Characters that are pieces: words of them have no byte pieces, so each piece is of whole characters.
         self.whole = {x for x in self.ids if len(x) == 1 and x != _SPACE}
         self.rate, self.seed, self.limit = rate, seed, limit
+        self._merges()
         #: Rate 1 leaves no gap.
         self.per_gap = 1 / math.log1p(-rate) if 0 < rate < 1 else 0.0
         #: Units without skips, and (unit, skipped pops as bits): piece ids and the number of pops.
@@ -161,17 +164,131 @@ class Pieces:
                     heapq.heappush(agenda, (o, p, z))
         return [text[a : end[a]] for a in range(n) if end[a]], pop
 
+    def _merges(self) -> None:
+        """What two neighbouring pieces become, by their ids in one number, and the pieces of single characters."""
+        made = [(self.ids[a] << 32 | self.ids[b], o, self.ids[x]) for x, o in self.order.items() for k in range(1, len(x)) if (a := x[:k]) in self.ids and (b := x[k:]) in self.ids]
+        made.sort()
+        key = np.array([m[0] for m in made], np.int64)
+        # Orders as ranks, equal where they are; a table by hash, with as many probes as its fullest chain asks for.
+        self.last = np.int32(2**31 - 1)
+        rank = np.unique([m[1] for m in made], return_inverse=True)[1].astype(np.int32)
+        bits = max(4, (4 * len(made)).bit_length())
+        self.slot_shift = np.uint64(64 - bits)
+        self.slot_key = np.full((1 << bits) + 64, -1, np.int64)
+        self.slot_order, self.slot_made = np.full(len(self.slot_key), self.last), np.zeros(len(self.slot_key), np.int32)
+        self.probes, left, at = 0, np.arange(len(made)), self._slot(key)
+        while len(left):
+            free = np.flatnonzero(self.slot_key[at] < 0)
+            _, first = np.unique(at[free], return_index=True)
+            put = free[first]
+            k, to = left[put], at[put]
+            self.slot_key[to], self.slot_order[to], self.slot_made[to] = key[k], rank[k], np.array([made[i][2] for i in k.tolist()], np.int32)
+            rest = np.ones(len(left), bool)
+            rest[put] = False
+            left, at = left[rest], at[rest] + 1
+            self.probes += 1
+        self.piece_of = np.full(0x110000, -1, np.int32)
+        for x in self.whole | {_SPACE} & self.ids.keys():
+            self.piece_of[ord(x)] = self.ids[x]
+
+    def _slot(self, key: np.ndarray) -> np.ndarray:
+        return ((key.view(np.uint64) * np.uint64(_STEP)) >> self.slot_shift).astype(np.int64)
+
+    def _joined(self, left: np.ndarray, right: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Order and id of what the neighbours become; the largest order where they become nothing."""
+        key = left.astype(np.int64) << 32 | right.astype(np.uint32)
+        key[right < 0] = -2
+        at = self._slot(key)
+        open_ = np.flatnonzero((self.slot_key[at] != key) & (self.slot_key[at] >= 0))
+        for _ in range(self.probes):
+            if not len(open_):
+                break
+            at[open_] += 1
+            found = self.slot_key[at[open_]]
+            open_ = open_[(found != key[open_]) & (found >= 0)]
+        return np.where(self.slot_key[at] == key, self.slot_order[at], self.last), self.slot_made[at]
+
+    def _many(self, texts: list[str], key: np.ndarray, skip: np.ndarray) -> Iterator[tuple[int, bytes, int, int]]:
+        """(number, ids, pops, skipped pops) of units of whole pieces, all agendas in step: every round is one pop of each.
+
+        ``skip`` holds the first pop that each skips; the next ones are drawn when they are reached.  A unit's pieces
+        stay where they start and are chained, so a merge touches its neighbours alone.
+        """
+        size = np.fromiter(map(len, texts), np.int64, len(texts))
+        n, width = len(texts), int(size.max())
+        x = np.full((n, width + 1), -1, np.int32)  # the last place is the end of every chain
+        x[np.arange(width + 1) < size[:, None]] = self.piece_of[np.frombuffer("".join(texts).encode("utf-32-le"), np.uint32)]
+        order, made = (z.reshape(n, width) for z in self._joined(x[:, :-1].reshape(-1), x[:, 1:].reshape(-1)))
+        order, made, x = order.copy(), made.copy(), x.reshape(-1)
+        after = np.tile(np.arange(1, width + 2, dtype=np.int32), n)
+        before = np.tile(np.arange(-1, width, dtype=np.int32), n)
+        alive = x >= 0
+        drawn, mask, pops = np.zeros(n, np.int64), np.zeros(n, np.uint64), np.zeros(n, np.int64)
+        flat, joins = order.reshape(-1), made.reshape(-1)
+        row, pop = np.arange(n), 0
+        while len(row):
+            best = order[row].argmin(axis=1) if len(row) < n else order.argmin(axis=1)
+            going = flat[row * width + best] != self.last
+            if not going.all():
+                pops[row[~going]] = pop
+                row, best = row[going], best[going]
+            out = skip[row] == pop
+            hit = row[out]
+            if len(hit):
+                flat[hit * width + best[out]] = self.last
+                drawn[hit] += 1
+                if pop < 64:
+                    mask[hit] |= np.uint64(1 << pop)
+                skip[hit] = pop + 1 + self._gap(key[hit], drawn[hit])
+                best = best[~out]
+                at = row[~out]
+            else:
+                at = row
+            cell = at * (width + 1)
+            a = cell + best
+            b = cell + after[a]
+            c = cell + after[b]
+            x[a] = piece = joins[at * width + best]
+            alive[b] = False
+            # The second piece's own place in the agenda goes with it.
+            inner = b - cell
+            flat[at * width + np.minimum(inner, width - 1)] = self.last
+            after[a] = c - cell
+            before[c] = best
+            flat[at * width + best], joins[at * width + best] = self._joined(piece, x[c])
+            has = np.flatnonzero(before[a] >= 0)
+            if len(has):
+                p = before[a[has]].astype(np.int64)
+                to = at[has] * width + p
+                flat[to], joins[to] = self._joined(x[cell[has] + p], piece[has])
+            pop += 1
+        x, alive = x.reshape(n, width + 1), alive.reshape(n, width + 1)
+        lens = alive.sum(axis=1)
+        ids = x[alive].astype("<u4").tobytes()
+        ends = (4 * np.cumsum(lens)).tolist()
+        for k, (lo, hi, p, m) in enumerate(zip([0, *ends], ends, pops.tolist(), mask.tolist(), strict=False)):
+            yield k, ids[lo:hi], p, m
+
+    def _gap(self, at: np.ndarray, nth: np.ndarray) -> np.ndarray:
+        """The nth run of pops without a skip, of each key."""
+        return self._mixed(at + nth.astype(np.uint64) * np.uint64(_MIX_B))
+
     def _gaps(self, at: np.ndarray, *nth: int) -> np.ndarray:
         """A row for each of the nth runs of pops without a skip, for keys of occurrences."""
-        x = at + np.array([[n * _MIX_B % 2**64] for n in nth], np.uint64)
+        return self._mixed(at + np.array([[n * _MIX_B % 2**64] for n in nth], np.uint64))
+
+    def _mixed(self, x: np.ndarray) -> np.ndarray:
         x = (x ^ x >> np.uint64(30)) * np.uint64(_MIX_A)
         x = (x ^ x >> np.uint64(27)) * np.uint64(_MIX_B)
         x ^= x >> np.uint64(31)
         # At most 53 bits and above 0, so the logarithm is finite.
         return (np.log(((x >> np.uint64(11)) + np.uint64(1)) * 2.0**-53) * self.per_gap).astype(np.int64)
 
-    def _dropped(self, units: list[str], got: list[tuple[bytes, int]], doc: int | None) -> None:
-        """Put the units' forms under their own skips into ``got``, which holds those without."""
+    def _dropped(self, units: list[str], got: list[tuple[bytes, int]], doc: int | None, later: list[tuple]) -> None:
+        """Put the units' forms under their own skips into ``got``, which holds those without.
+
+        Forms that nobody remembers are left to ``later``: (got, place, unit, key, first skip).
+        """
         name = f"{self.seed} {doc}".encode()
         start = np.uint64(zlib.crc32(name) << 32 | zlib.crc32(name, 1))
         at = (np.arange(len(units), dtype=np.uint64) + start) * np.uint64(_STEP)
@@ -181,7 +298,7 @@ class Pieces:
             return
         at = at[hit]
         gaps = [first[hit].tolist(), *self._gaps(at, 1, 2, 3, 4).tolist()]
-        forms, old = self.forms, self.old_forms
+        forms, old, whole = self.forms, self.old_forms, self.whole
         for a, k in enumerate(hit.tolist()):
             u, pop, n, pops = units[k], gaps[0][a], 0, got[k][1]
             skips, long = 0, len(u) > _LONG
@@ -194,35 +311,63 @@ class Pieces:
                 if form is None and not long and (form := old.get(key)) is not None:
                     forms[key] = form
                 if form is None:
-                    # One agenda takes all further skips as far as pops seldom reach, and another if they went beyond the next skip.
-                    pops = len(u)
-                    while form is None or pop < pops:
-                        while pop < pops:
-                            skips |= 1 << pop
-                            n += 1
-                            pop += 1 + (gaps[n][a] if n < 5 else int(self._gaps(at[a : a + 1], n)[0, 0]))
-                        form = self.unit(u, skips)
-                        pops = form[1]
-                    got[k] = form
-                    if not long:
-                        forms[u, skips & (1 << form[1]) - 1] = form
+                    if not long and whole.issuperset(u.lstrip(" ")):
+                        later.append((got, k, u, at[a], gaps[0][a]))
+                    else:
+                        got[k] = self._alone(u, skips, pop, n, at[a : a + 1])
                     break
                 got[k], pops = form, form[1]
-        if len(forms) >= self.limit:
-            self.old_forms, self.forms = forms, {}
+
+    def _alone(self, u: str, skips: int, pop: int, n: int, at: np.ndarray) -> tuple[bytes, int]:
+        """One unit's form; its agenda takes all skips as far as pops seldom reach, and runs again if they went beyond."""
+        form, pops = None, len(u)
+        while form is None or pop < pops:
+            while pop < pops:
+                skips |= 1 << pop
+                n += 1
+                pop += 1 + int(self._gaps(at, n)[0, 0])
+            form = self.unit(u, skips)
+            pops = form[1]
+        return form
+
+    def _settle(self, later: list[tuple]) -> None:
+        """The forms that were left, in groups of like length."""
+        later.sort(key=lambda x: len(x[2]))
+        for lo in range(0, len(later), _GROUP):
+            part = later[lo : lo + _GROUP]
+            at, skip = np.array([x[3] for x in part], np.uint64), np.array([x[4] for x in part], np.int64)
+            for k, ids, pops, skips in self._many([x[2].replace(" ", _SPACE) for x in part], at, skip):
+                got, place, u, *_ = part[k]
+                got[place] = form = ids, pops
+                if pops <= 64:
+                    self.forms[u, skips] = form
+        if len(self.forms) >= self.limit:
+            self.old_forms, self.forms = self.forms, {}
+
+    def packed_all(self, items: Iterable[tuple[str, int | None]]) -> Iterator[bytes]:
+        """Piece ids of every (text, document), four bytes each; texts go together so that their agendas run in step."""
+        held: list[list[tuple[bytes, int]]] = []
+        later: list[tuple] = []
+        size = 0
+        for text, doc in items:
+            units = _UNITS.findall(" " + text) if text else []
+            got = list(map(self.known.get, units))
+            if None in got:
+                self._plain(list({u for u, x in zip(units, got, strict=True) if x is None}))
+                got = [self.known[u] if x is None else x for u, x in zip(units, got, strict=True)]
+            if self.rate > 0 and got:
+                self._dropped(units, got, doc, later)
+            held.append(got)
+            size += len(got)
+            if len(later) >= _GROUP or size > 1 << 18:
+                self._settle(later)
+                yield from (b"".join(map(itemgetter(0), x)) for x in held)
+                held, later, size = [], [], 0
+        self._settle(later)
+        yield from (b"".join(map(itemgetter(0), x)) for x in held)
 
     def packed(self, text: str, doc: int | None = 0) -> bytes:
-        """Piece ids of a text, four bytes each."""
-        if not text:
-            return b""
-        units = _UNITS.findall(" " + text)
-        got = list(map(self.known.get, units))
-        if None in got:
-            self._plain(list({u for u, x in zip(units, got, strict=True) if x is None}))
-            got = [self.known[u] if x is None else x for u, x in zip(units, got, strict=True)]
-        if self.rate > 0:
-            self._dropped(units, got, doc)
-        return b"".join(map(itemgetter(0), got))
+        return next(self.packed_all([(text, doc)]))
 
     def encode(self, text: str, doc: int | None = 0) -> list[int]:
         out = array("I")
@@ -244,7 +389,8 @@ def encode_table(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         p = _pieces(path, rate, seed)
         for b in batches:
-            yield pd.DataFrame({"doc_id": b["i"].astype("Int64"), "ids": [p.encode(t, i) for i, t in zip(b["i"].astype("Int64"), b["t"], strict=True)]})
+            ids = [np.frombuffer(x, "<u4").astype(np.int32) for x in p.packed_all(zip(b["t"], b["i"].astype("Int64"), strict=True))]
+            yield pd.DataFrame({"doc_id": b["i"].astype("Int64"), "ids": ids})
 
     src = docs.select(F.col(id_col).cast("long").alias("i"), text_of(text_col).alias("t"))
     return src.mapInPandas(run, "doc_id long, ids array<int>")
@@ -270,8 +416,8 @@ def digest(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rate
         p = _pieces(path, rate, seed)
         for b in batches:
             rows = []
-            for i, t in zip(b["i"].astype("Int64"), b["t"], strict=True):
-                ids = p.packed(t, i)
+            of = b["i"].astype("Int64")
+            for i, t, ids in zip(of, b["t"], p.packed_all(zip(b["t"], of, strict=True)), strict=True):
                 rows.append((i, len(ids) // 4, zlib.crc32(ids), p.decode(np.frombuffer(ids, "<u4").tolist()) == t))
             yield pd.DataFrame(rows, columns=["doc_id", "n_ids", "ids_crc32", "lossless"]).astype({"doc_id": "Int64"})
 
