@@ -8,6 +8,7 @@ import pandas as pd
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from splitcount.functions.theory import bits_deep
 from splitcount.operators import aggregate as A
 from splitcount.operators.codec import CodedTrace, Sketch, Trace, coded_registers
 from splitcount.operators.deep import deep_size
@@ -206,7 +207,14 @@ def zstd_size(spark, d):
     return _blobs(spark, d, "four").select("g", _zstd_bits("sketch").alias("bits"))
 
 
-@query("q_deep_size")
+_DEEP_WIDTH = min(6, max(1, bits_deep(P)["bits"]))
+
+
+@query(
+    "q_deep_size",
+    f"with {with_base(src_sql('four'), kappa=_DEEP_WIDTH)} select g, cast({_DEEP_WIDTH} as bigint) as kappa, b as base, sparse, cast({_DEEP_WIDTH << P} + case when sparse > 0 then sparse * (2 + ceil(log2({64 << P}.0 / sparse))) else 0 end as bigint) as bits, bits as plain_sparse_bits from base",
+)
 def deep_sizes(spark, d):
+    """The narrower window with its coded sparse part, beside the plain sparse part."""
     got = _blobs(spark, d, "four").select("g", _deep("sketch").alias("x"))
     return got.select("g", "x.*")
