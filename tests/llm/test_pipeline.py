@@ -123,3 +123,60 @@ def test_near_copies_leave(spark):
     assert want == {i for i in range(len(rows)) if i % 3 != 1}
     docs = spark.createDataFrame([(i, t, "en", "s", len(t)) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long")
     assert {r["doc_id"] for r in cp.keep_one_of_each_group(spark, docs, SF).collect()} == want
+
+
+def _variants(n, words, changed, seed):
+    rnd = random.Random(seed)
+    base = [f"w{k}" for k in range(words)]
+    out = []
+    for k in range(n):
+        own = list(base)
+        for at in rnd.sample(range(words), changed):
+            own[at] = f"own{k}_{at}"
+        out.append(" ".join(own))
+    return out
+
+
+def test_fingerprints_alone_find_copies(spark, monkeypatch):
+    """The stage links by fingerprints in BK-trees: without any band of minima the closest copies are still found."""
+    close = _variants(6, 900, 1, 3)
+    rows = list(enumerate([*close, " ".join(f"other{k}" for k in range(300))]))
+    fps = [SD.majority(NC._sets([t], 5, 42)[0]) for _, t in rows]
+    u = SD.Union(len(rows))
+    for i in range(len(rows)):
+        for j in range(i):
+            if (fps[i] ^ fps[j]).bit_count() <= NC.NEAR:
+                u.join(i, j)
+    want = {i for i in range(len(rows)) if u.find(i) == i}
+    assert 1 < len(want) < len(rows)
+    monkeypatch.setattr(NC, "_groups", lambda r: cut(r.where("false").withColumn("b", r["s"]).select("band", "s", "b")))
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    assert {r["doc_id"] for r in NC.keep_one(df).collect()} == want
+
+
+def test_a_pool_gives_no_row_per_pair():
+    """Texts around 0.8: the links that leave a pool join classes, however many pairs are similar, and miss no class."""
+    import numpy as np
+    import pandas as pd
+
+    for changed in (2, 4, 6, 8):
+        sets = NC._sets([t for k in range(3) for t in _variants(40, 200, changed, 10 * changed + k)], 5, 42)
+        n = len(sets)
+        u, pairs = SD.Union(n), 0
+        for i in range(n):
+            for j in range(i):
+                both = len(np.intersect1d(sets[i], sets[j]))
+                if both >= 0.8 * (len(sets[i]) + len(sets[j]) - both):
+                    pairs += 1
+                    u.join(i, j)
+        frame = pd.DataFrame({"s": range(n), "c": range(n), "fp": np.array([SD.majority(x) for x in sets], np.uint64).view(np.int64), "grams": [x.view(np.int64) for x in sets], "build": True, "ask": True})
+        half = np.arange(n) % 2 == 0
+        across = frame.assign(build=half, ask=~half)
+        got = [pd.concat([NC._decided(0.8)(frame)]), pd.concat([NC._decided(0.8)(x.reset_index(drop=True)) for x in (frame[half], frame[~half], across)])]
+        for links in got:
+            v = SD.Union(n)
+            for a, b in links.itertuples(index=False):
+                v.join(a, b)
+            assert [v.find(i) for i in range(n)] == [u.find(i) for i in range(n)]
+        assert len(got[0]) == n - len({u.find(i) for i in range(n)}) <= pairs
+    assert pairs == 0 and len(got[0]) == 0
