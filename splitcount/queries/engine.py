@@ -99,9 +99,12 @@ def src_roundtrip(spark, d):
 
 @query("q_src_pairs")
 def src_pairs(spark, d):
+    """Every event takes the generated pair of its id, by event type."""
     pairs_source.register(spark)
-    rows = spark.read.format("splitcount_pairs").option("n", 20_000).option("p", P).load()
-    return _est(R.from_pairs(rows.select(F.lit("all").alias("g"), "j", "r"), G), G)
+    events = table(spark, d, "events").select(F.col("event_id").alias("id"), F.col("event_type").alias("g"))
+    n = (events.agg(F.max("id")).first()[0] or 0) + 1
+    rows = spark.read.format("splitcount_pairs").option("n", n).option("p", P).load()
+    return _est(R.from_pairs(events.join(rows, "id").select("g", "j", "r"), G), G)
 
 
 @query("q_stream_tumbling", f"with {with_est('select cast(ts as date) as g, event_type, cast(user_id as varchar) as v from events', cols='g, event_type')} select strftime(g, '%Y-%m-%d') as pane, event_type, est from est")
