@@ -88,6 +88,24 @@ class WordIds:
         """Ids of each word, four bytes each."""
         return [array("I", e.ids).tobytes() for e in self.tok.encode_batch_fast(words, add_special_tokens=False)]
 
+    def _encode_parts(self, parts: list[str]) -> list[bytes]:
+        """The same for cuts of words, many to a call: the tokenizer drops the blanks and tells the ids of one cut from the next."""
+        out: list[bytes] = []
+        for k in range(0, len(parts), 512):
+            some = parts[k : k + 512]
+            if max(map(len, some)) > _LONG:
+                out += self._encode(some)
+                continue
+            got = self.tok.encode(" ".join(some), add_special_tokens=False)
+            cut_of = np.array(got.word_ids, np.int64)
+            ends = np.searchsorted(cut_of, np.arange(len(some) + 1))
+            if len(cut_of) == 0 or cut_of[-1] != len(some) - 1 or (np.diff(ends) == 0).any():  # not cut as here
+                out += self._encode(some)
+                continue
+            raw, ends = array("I", got.ids).tobytes(), (4 * ends).tolist()
+            out += [raw[a:b] for a, b in zip(ends, ends[1:], strict=False)]
+        return out
+
     def _ids_of(self, words: list[bytes]) -> list[bytes]:
         text = [w.decode("utf-8", "replace") for w in words]
         cuts = [self._CUTS.findall(t.lower()) if self._PLAIN.fullmatch(t) else None for t in text]
@@ -95,7 +113,7 @@ class WordIds:
             self.parts.clear()
         parts = self.parts
         new = sorted({p for c in cuts if c for p in c if p not in parts})
-        parts.update(zip(new, self._encode(new), strict=True))
+        parts.update(zip(new, self._encode_parts(new), strict=True))
         odd = iter(self._encode([t for t, c in zip(text, cuts, strict=True) if c is None]))
         out = [next(odd) if c is None else parts[c[0]] if len(c) == 1 else b"".join(map(parts.__getitem__, c)) for c in cuts]
         for p in new:

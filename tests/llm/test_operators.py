@@ -790,3 +790,28 @@ def test_oracles(spark, name):
     order = sorted(range(len(r.columns)), key=lambda i: r.columns[i])
     assert cols == [r.columns[i] for i in order]
     assert sorted(tuple(map(repr, x)) for x in df.select(*cols).collect()) == sorted(tuple(repr(x[i]) for i in order) for x in r.fetchall())
+
+
+def test_parts_are_encoded_together():
+    """Cuts of words get the ids that the tokenizer gives each of them, in few calls; very long ones too."""
+    w = BP.WordIds(BP.default_tokenizer())
+    import random
+
+    rnd = random.Random(8)
+    words = ["".join(rnd.choice("abcxyz\u00e9\u00df'0123.,!-#") for _ in range(rnd.randrange(1, 12))) for _ in range(3000)]
+    parts = sorted({p for x in words for p in w._CUTS.findall(x)} | {"z" * 400, "'s", "'", "\u00ff"})
+    want, calls = w._encode(parts), []
+    tok = w.tok
+
+    class Counted:
+        def encode(self, *a, **k):
+            calls.append(1)
+            return tok.encode(*a, **k)
+
+        def encode_batch_fast(self, x, **k):
+            calls.extend([1] * len(x))
+            return tok.encode_batch_fast(x, **k)
+
+    w.tok = Counted()
+    assert w._encode_parts(parts) == want and w._encode_parts([]) == []
+    assert len(calls) < len(parts) / 2
