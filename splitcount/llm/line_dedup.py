@@ -18,8 +18,9 @@ A line goes if it has ``min_words`` words or more and an equal line occurs earli
 run of ``min_lines`` lines or more that occurs earlier.
 
 Distinct blocks are counted before they are sorted, with map-side combination, and joined back; names that
-hold more than a 500th of the positions (fewer than 500 names) are joined by broadcast, so that a line that
-a third of all documents share is dealt like any other.
+hold more than a 500th of the positions (fewer than 500 names), and more than 1,000, are joined by broadcast, so
+that a line that a third of all documents share is dealt like any other.  Levels without such a name take one
+plain join: each step of a plan costs the driver threads and buffers, however few rows it has.
 
 Defined results: a null text stays null and an empty one empty; rows that repeat both doc_id and text are
 one document and get one answer; rows that share only the doc_id are told apart by their text; null
@@ -40,6 +41,8 @@ _HAS_WORD = r"[^\x20\x09-\x0D]"
 _NO_ID = -(1 << 63)
 #: A name is hot from this share of all named positions; fewer names than this can be.
 _HOT_SHARE = 500
+#: With no more rows than this a name is no load for one task, whatever its share.
+_HOT_ROWS = 1000
 
 
 def _doc_key(id_col: str, text_col: str) -> list[Column]:
@@ -59,17 +62,36 @@ def line_table(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     return rows.select("d", "t", F.col("i").cast("long").alias("i"), F.col("x.at").alias("at"), F.xxhash64(s).alias("h1"), F.xxhash64(F.lit("line"), s).alias("h2"), F.regexp_count(s, F.lit(WORD)).alias("words"))
 
 
-def _with(rows: DataFrame, groups: DataFrame, on: list[str], hot: bool) -> DataFrame:
-    """``rows`` joined with one row per key; with ``hot``, hot keys (by the groups' count ``n``) are broadcast, the others shuffled."""
-    if not hot:
+def _hot(most: int | None, total: int | None) -> bool:
+    return bool(total) and most * _HOT_SHARE > total and most > _HOT_ROWS
+
+
+def _load(groups: DataFrame) -> tuple[int | None, int | None]:
+    """All positions and those of the largest name, of a written table of groups; nulls if it is empty."""
+    return tuple(groups.agg(F.sum("n"), F.max("n")).first())
+
+
+def _with(rows: DataFrame, groups: DataFrame, on: list[str], total: int | None) -> DataFrame:
+    """``rows`` joined with one row per key.
+
+    ``total`` is the sum of the groups' counts ``n`` if some key is hot: hot keys are broadcast, the others shuffled.
+    """
+    if total is None:
         return rows.join(groups.drop("n"), on)
-    groups = cut(groups)
-    total = groups.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
-    few = groups.where(F.col("n") * _HOT_SHARE > total)  # fewer than _HOT_SHARE rows
-    cold = rows.join(F.broadcast(few.select(*on)), on, "left_anti").join(groups.where(F.col("n") * _HOT_SHARE <= total).drop("n"), on)
+    hot = (F.col("n") * _HOT_SHARE > total) & (F.col("n") > _HOT_ROWS)
+    few = groups.where(hot)  # fewer than _HOT_SHARE rows
+    cold = rows.join(F.broadcast(few.select(*on)), on, "left_anti").join(groups.where(~hot).drop("n"), on)
     return rows.join(F.broadcast(few.drop("n")), on).unionByName(cold)
 
 
+def _spread(rows: DataFrame, groups: DataFrame, on: list[str], ask: bool = True) -> DataFrame:
+    """:func:`_with` of groups that are not written yet; without ``ask`` none of them can be hot."""
+    if not ask:
+        return _with(rows, groups, on, None)
+    total, most = _load(groups := cut(groups))
+    return _with(rows, groups, on, total if _hot(most, total) else None)
+
+
 @dataclass
 class Level:
     """Positions whose block of 2^k lines repeats: (d, t, i, p, name, first); ``hot`` if one block has more than its share of them."""
@@ -82,11 +104,11 @@ def _named(rows: DataFrame, on: list[str]) -> Level | None:
     """``rows`` of the keys that occur at two positions or more, with the key's name and its first position."""
     groups = rows.groupBy(*on).agg(F.count("*").alias("n"), F.min("p").alias("first")).where("n > 1")
     groups = cut(groups.orderBy(*on).withColumn("name", F.monotonically_increasing_id()))
-    total, most = groups.agg(F.sum("n"), F.max("n")).first()
+    total, most = _load(groups)
     if not total:
         return None
-    hot = most * _HOT_SHARE > total
-    return Level(cut(_with(rows, groups, on, hot).drop(*on)), hot)
+    hot = _hot(most, total)
+    return Level(cut(_with(rows, groups, on, total if hot else None).drop(*on)), hot)
 
 
 def suffix_levels(lines: DataFrame) -> list[Level]:
@@ -96,7 +118,7 @@ def suffix_levels(lines: DataFrame) -> list[Level]:
     The first table also has ``at`` and ``words``.
     """
     repeated = lines.groupBy("h1", "h2").agg(F.count("*").alias("n")).where("n > 1")
-    base = _with(lines.select("d", "t", "i", "at", "h1", "h2", "words"), repeated, ["h1", "h2"], True)
+    base = _spread(lines.select("d", "t", "i", "at", "h1", "h2", "words"), repeated, ["h1", "h2"])
     # Rows that repeat a whole document are one document.
     base = base.groupBy("d", "t", "i").agg(*(F.first(c).alias(c) for c in ("at", "words", "h1", "h2")))
     base = cut(base.orderBy("d", "t", "i").withColumn("p", F.monotonically_increasing_id()))
@@ -141,11 +163,11 @@ def _narrowed(state: DataFrame, level: DataFrame, k: int, hot: bool) -> DataFram
     key = ["run", "g", "b"]
     met = rows.where("b is not null")
     parts = met.groupBy(*key).agg(F.count("*").alias("n"), F.min("p").alias("low"), F.max(F.when(F.col("ask"), F.col("p"))).alias("last"))
-    met = cut(_with(met, parts, key, hot))
+    met = cut(_spread(met, parts, key, hot))
     on = met.where("last > low").select("d", "t", "i", "p", (F.col("run") + F.lit(1 << k)).alias("run"), F.col("low").alias("g"), (F.col("ask") & (F.col("p") > F.col("low"))).alias("ask"))
     stay = met.where("p = low").select(*cols).unionByName(rows.where("b is null").select(*cols))
     asked = stay.where("ask").groupBy("run", "g").agg(F.count("*").alias("n"))
-    others = _with(stay.where("not ask"), asked, ["run", "g"], hot)  # only where something is still asked
+    others = _spread(stay.where("not ask"), asked, ["run", "g"], hot)  # only where something is still asked
     return on.unionByName(stay.where("ask")).unionByName(others.select(*cols))
 
 

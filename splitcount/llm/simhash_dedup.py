@@ -248,8 +248,14 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     Alternates two star contractions; each is an aggregation with map-side combine and one join, and
     each round's edges are cut to the shared folder.  Only a count returns to the driver.
     """
+
+    def sum_of(e: DataFrame) -> tuple:
+        return tuple(e.agg(F.count("*"), F.coalesce(F.sum(F.xxhash64("u", "v").cast("decimal(38,0)")), F.lit(0).cast("decimal(38,0)"))).first())
+
     e = cut(edges.where("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct())
-    state = None
+    state = sum_of(e)
+    if not state[0]:
+        return e.select(F.col("u").alias("node"), F.col("v").alias("root"))
     for _ in range(max_rounds):
         both = e.select("u", "v").unionByName(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
         low = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
@@ -259,10 +265,9 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
         e3 = e2.join(small, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v")
         e3 = e3.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).unionByName(small.select("u", F.col("m").alias("v")))
         e = cut(e3.distinct())
-        now = e.agg(F.count("*"), F.coalesce(F.sum(F.xxhash64("u", "v").cast("decimal(38,0)")), F.lit(0).cast("decimal(38,0)"))).first()
-        if tuple(now) == state:
+        before, state = state, sum_of(e)
+        if state == before:
             break
-        state = tuple(now)
     else:
         raise RuntimeError(f"classes did not settle in {max_rounds} rounds")
     roots = e.groupBy("u").agg(F.min("v").alias("root")).select(F.col("u").alias("node"), "root")

@@ -520,6 +520,22 @@ def test_hot_and_cold_names_join_alike(spark, monkeypatch):
         assert run_rows(df)[0] == want
 
 
+def test_names_of_few_rows_are_joined_as_they_are(spark, monkeypatch):
+    """Each level costs few writes unless a name has many rows; the results are the same with and without hot names."""
+    rows = [(k, "same line\n" * 3 + f"own {k}\nnext {k % 3}") for k in range(60)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    want, writes = brute_runs(rows), []
+    monkeypatch.setattr(LD, "cut", lambda df, cut=LD.cut: writes.append(1) or cut(df))
+    levels = LD.suffix_levels(LD.line_table(df))
+    LD.run_lengths(levels)
+    assert levels and not any(x.hot for x in levels) and len(writes) <= 4 * (len(levels) + 1)
+    monkeypatch.setattr(LD, "_HOT_ROWS", 0)
+    for share in (1, 3, 10**9):
+        monkeypatch.setattr(LD, "_HOT_SHARE", share)
+        assert run_rows(df)[0] == want
+    assert any(x.hot for x in LD.suffix_levels(LD.line_table(df)))
+
+
 def test_a_text_of_many_lines(spark):
     """Many lines, most of them later copies: time in proportion to the text."""
     import time
@@ -706,6 +722,16 @@ def test_tree_follows_only_near_edges():
     assert got == {(a, b) for a in range(200) for b in range(3000) if (int(q[a]) ^ int(fp[b])).bit_count() <= 4}
 
 
+def test_classes_of_no_links_take_no_rounds(spark, monkeypatch):
+    writes = []
+    monkeypatch.setattr(SD, "cut", lambda df, cut=SD.cut: writes.append(1) or cut(df))
+    none = spark.createDataFrame([(1, 1)], "a long, b long")
+    got = SD.components(none)
+    assert got.count() == 0 and got.columns == ["node", "root"] and len(writes) == 1
+    stars = SD.components(spark.createDataFrame([(1, 5), (5, 1), (9, 1)], "a long, b long"))
+    assert {tuple(r) for r in stars.collect()} == {(1, 1), (5, 1), (9, 1)} and len(writes) == 3
+
+
 def test_keep_one(odd):
     kept = SD.keep_one(odd)
     ids = [r["doc_id"] for r in kept.collect()]

@@ -72,6 +72,19 @@ def brute_leads(rows):
     return [min(x)[2] for x in first.values()]
 
 
+def test_cuts_collect_a_grown_heap():
+    """The driver's garbage is collected at a cut once the heap is beyond half of what it may take, and only then."""
+    from types import SimpleNamespace as Of
+
+    from splitcount.session import relieve
+
+    for total, want in ((50, []), (51, ["gc"])):
+        done = []
+        heap = Of(totalMemory=lambda total=total: total, maxMemory=lambda: 100)
+        jvm = Of(java=Of(lang=Of(Runtime=Of(getRuntime=lambda heap=heap: heap))), System=Of(gc=lambda done=done: done.append("gc")))
+        assert relieve(Of(sparkContext=Of(_jvm=jvm))) == bool(want) and done == want
+
+
 def test_null_texts_pass(spark):
     """Every null text stays through all stages, of repeated and empty texts one does."""
     rows = [(1, None), (2, None), (None, None), (3, ""), (4, "fine words"), (5, ""), (4, "fine words"), (6, " \n ")]
