@@ -17,6 +17,8 @@ equal pieces; an empty table gives no rows.
 
 from __future__ import annotations
 
+import contextlib
+import gc
 import heapq
 import math
 import re
@@ -266,8 +268,7 @@ class Pieces:
         lens = alive.sum(axis=1)
         ids = x[alive].astype("<u4").tobytes()
         ends = (4 * np.cumsum(lens)).tolist()
-        for k, (lo, hi, p, m) in enumerate(zip([0, *ends], ends, pops.tolist(), mask.tolist(), strict=False)):
-            yield k, ids[lo:hi], p, m
+        return zip(range(n), map(ids.__getitem__, map(slice, [0, *ends], ends)), pops.tolist(), mask.tolist(), strict=True)
 
     def _gap(self, at: np.ndarray, nth: np.ndarray) -> np.ndarray:
         """The nth run of pops without a skip, of each key."""
@@ -308,7 +309,7 @@ class Pieces:
                 pop += 1 + (gaps[n][a] if n < 5 else int(self._gaps(at[a : a + 1], n)[0, 0]))
                 key = u, skips
                 form = None if long else forms.get(key)
-                if form is None and not long and (form := old.get(key)) is not None:
+                if form is None and not long and old and (form := old.get(key)) is not None:
                     forms[key] = form
                 if form is None:
                     if not long and whole.issuperset(u.lstrip(" ")):
@@ -378,6 +379,18 @@ class Pieces:
         return b"".join(map(self.raw.__getitem__, ids)).decode("utf-8", "replace")[1:]
 
 
+@contextlib.contextmanager
+def _no_collection() -> Iterator[None]:
+    """Python's cycle collector rests meanwhile: the tables of units hold no cycles, and it would walk them again and again."""
+    on = gc.isenabled()
+    gc.disable()
+    try:
+        yield
+    finally:
+        if on:
+            gc.enable()
+
+
 def _pieces(path: str, rate: float, seed: int) -> Pieces:
     return remembered(("pieces", path, rate, seed), lambda: Pieces(path, rate, seed))
 
@@ -389,7 +402,8 @@ def encode_table(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         p = _pieces(path, rate, seed)
         for b in batches:
-            ids = [np.frombuffer(x, "<u4").astype(np.int32) for x in p.packed_all(zip(b["t"], b["i"].astype("Int64"), strict=True))]
+            with _no_collection():
+                ids = [np.frombuffer(x, "<u4").astype(np.int32) for x in p.packed_all(zip(b["t"], b["i"].astype("Int64"), strict=True))]
             yield pd.DataFrame({"doc_id": b["i"].astype("Int64"), "ids": ids})
 
     src = docs.select(F.col(id_col).cast("long").alias("i"), text_of(text_col).alias("t"))
@@ -417,8 +431,9 @@ def digest(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rate
         for b in batches:
             rows = []
             of = b["i"].astype("Int64")
-            for i, t, ids in zip(of, b["t"], p.packed_all(zip(b["t"], of, strict=True)), strict=True):
-                rows.append((i, len(ids) // 4, zlib.crc32(ids), p.decode(np.frombuffer(ids, "<u4").tolist()) == t))
+            with _no_collection():
+                for i, t, ids in zip(of, b["t"], p.packed_all(zip(b["t"], of, strict=True)), strict=True):
+                    rows.append((i, len(ids) // 4, zlib.crc32(ids), p.decode(np.frombuffer(ids, "<u4").tolist()) == t))
             yield pd.DataFrame(rows, columns=["doc_id", "n_ids", "ids_crc32", "lossless"]).astype({"doc_id": "Int64"})
 
     src = docs.select(F.col(id_col).cast("long").alias("i"), text_of(text_col).alias("t"))

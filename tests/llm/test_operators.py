@@ -637,6 +637,22 @@ def test_list_and_heap_agendas_agree():
             assert p._short(w, key) == p._long(w, key)
 
 
+def test_cycle_collector_rests_while_units_are_cut():
+    """On for the caller before and after, off in between, whatever happens there."""
+    import gc
+
+    assert gc.isenabled()
+    with pytest.raises(ValueError), PD._no_collection():
+        assert not gc.isenabled()
+        raise ValueError
+    assert gc.isenabled()
+    gc.disable()
+    with PD._no_collection():
+        pass
+    assert not gc.isenabled()
+    gc.enable()
+
+
 def test_dropout_cuts_every_occurrence_on_its_own(spark):
     """Within a text, and over many documents; by the law of a plain agenda with free draws; whatever is remembered."""
     word, n = " international", 4000
