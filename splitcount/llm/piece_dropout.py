@@ -4,8 +4,9 @@ Pieces are merged by an agenda, best piece first and leftmost among equals.  Wit
 candidate is skipped with the given rate, by draws keyed on (seed, document id, place of the unit in its
 text, number of the pop): each occurrence of a word is cut on its own, and the same key always gives the
 same segmentation.  The draws of an occurrence are its gaps between skips, of geometric law.  What a unit
-becomes depends on nothing but which of its pops are skipped, so a worker remembers units by that (in a
-bounded table) and the table never changes a result.  Rate 0 is the plain encoding.
+becomes depends on nothing but which of its pops are skipped, so a worker remembers units by that (in
+bounded arrays, in which all occurrences of a group of texts go from skip to skip together), and what it
+remembers never changes a result.  Rate 0 is the plain encoding.
 
 The text is cut into units at spaces and at characters that no piece holds; no piece spans such a cut, so
 unit by unit encoding is exact.  Characters without a piece become byte pieces; so does the character
@@ -25,8 +26,7 @@ import re
 import zlib
 from array import array
 from collections.abc import Iterable, Iterator
-from functools import partial
-from operator import itemgetter
+from itertools import chain, compress, repeat
 
 import numpy as np
 import pandas as pd
@@ -39,10 +39,14 @@ _SPACE = "▁"
 _NEVER = float("inf")
 #: Step between places, and the multipliers of the keyed hash.
 _STEP, _MIX_A, _MIX_B = 0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9, 0x94D049BB133111EB
-#: Units above so many characters take the heap, and are not remembered with their skips.
+#: Units above so many characters take the heap, and are not remembered; places in the others fit six bits.
 _LONG = 48
-#: Units whose agendas run in step.
-_GROUP = 4096
+#: Skips of pops from here on are not remembered: the pops of remembered skips fit six bits.
+_DEEP = 64
+#: Units whose agendas run in step, and units of texts that go together.
+_GROUP, _TOGETHER = 4096, 1 << 17
+#: An agenda's place without a candidate.
+_LAST = np.int32(2**31 - 1)
 _UNITS = re.compile(f" +[^ \\n{_SPACE}]*|[^ \\n{_SPACE}]+|[\\n{_SPACE}]")
 
 
@@ -52,6 +56,62 @@ def default_model() -> str:
     return public_tokenizers.path("piece_bpe_32k.model")
 
 
+class _Table:
+    """Numbers by keys, neither below 0: slots in arrays, asked and filled many at a time."""
+
+    def __init__(self, room: int = 1024):
+        self.n = 0
+        self._lay(room)
+
+    def _lay(self, room: int) -> None:
+        bits = max(4, (4 * room - 1).bit_length())
+        self.shift, self.wrap = np.uint64(64 - bits), (1 << bits) - 1
+        self.keys, self.values = np.full(1 << bits, -1, np.int64), np.full(1 << bits, -1, np.int64)
+
+    def _slot(self, key: np.ndarray) -> np.ndarray:
+        return ((key.view(np.uint64) * np.uint64(_STEP)) >> self.shift).view(np.int64)
+
+    def put(self, key: np.ndarray, value: np.ndarray) -> None:
+        """Keys that differ and are not there yet."""
+        self.n += len(key)
+        if 2 * self.n > len(self.keys):
+            old = self.keys >= 0
+            key, value = np.concatenate([self.keys[old], key]), np.concatenate([self.values[old], value])
+            self._lay(self.n)
+        at = self._slot(key)
+        while len(key):
+            free = self.keys[at] < 0
+            self.keys[at[free]] = key[free]  # of several for one slot, one gets it
+            got = self.keys[at] == key
+            self.values[at[got]] = value[got]
+            key, value, at = key[~got], value[~got], at[~got] + 1 & self.wrap
+
+    def find(self, key: np.ndarray) -> np.ndarray:
+        """-1 where there is none."""
+        at = self._slot(key)
+        found = self.keys[at]
+        open_ = np.flatnonzero((found != key) & (found >= 0))
+        while len(open_):
+            at[open_] = at[open_] + 1 & self.wrap
+            found = self.keys[at[open_]]
+            open_ = open_[(found != key[open_]) & (found >= 0)]
+        return np.where(self.keys[at] == key, self.values[at], -1)
+
+
+def _stretches(at: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """Every place of the stretches that start at ``at``, in a row."""
+    ends = np.cumsum(size)
+    return np.repeat(at - ends + size, size) + np.arange(ends[-1] if len(ends) else 0)
+
+
+def _with(have: np.ndarray, n: int, more: np.ndarray) -> np.ndarray:
+    """``have`` with ``more`` from place n on, in a larger array where it is full."""
+    if n + len(more) > len(have):
+        have = np.concatenate([have[:n], np.empty(n + len(more), have.dtype)])
+    have[n : n + len(more)] = more
+    return have
+
+
 class Pieces:
     """Vocabulary, encoder and decoder of one model file."""
 
@@ -60,7 +120,6 @@ class Pieces:
 
         sp = sentencepiece.SentencePieceProcessor(model_file=path)
         n = sp.get_piece_size()
-        self.library = partial(sp.encode, num_threads=1)
         self.byte = [0] * 256
         self.order: dict[str, float] = {}
         self.ids: dict[str, int] = {}
@@ -73,17 +132,56 @@ class Pieces:
             elif not (sp.is_control(i) or sp.is_unknown(i) or sp.is_unused(i)):
                 self.order[name], self.ids[name] = -sp.get_score(i), i
                 self.raw[i] = name.replace(_SPACE, " ").encode()
-        #: Characters that are pieces: words of them have no byte pieces, so each piece is of whole characters.
-        self.whole = {x for x in self.ids if len(x) == 1 and x != _SPACE}
         self.rate, self.seed, self.limit = rate, seed, limit
         self._merges()
         #: Rate 1 leaves no gap.
         self.per_gap = 1 / math.log1p(-rate) if 0 < rate < 1 else 0.0
-        #: Units without skips, and (unit, skipped pops as bits): piece ids and the number of pops.
-        self.known: dict[str, tuple[bytes, int]] = {}
-        self.old: dict[str, tuple[bytes, int]] = {}
-        self.forms: dict[tuple[str, int], tuple[bytes, int]] = {}
-        self.old_forms: dict[tuple[str, int], tuple[bytes, int]] = {}
+        self.raw_size = np.array(list(map(len, self.raw)), np.int64)
+        self.raw_at, self.raw_all = np.cumsum(self.raw_size) - self.raw_size, np.frombuffer(b"".join(self.raw), np.uint8)
+        self._empty()
+
+    def _empty(self) -> None:
+        """No form is remembered.
+
+        A form is what a unit becomes when certain of its pops are skipped.  Forms have numbers: units have those of
+        their forms without skips, and a step leads from a form to that with one more, later skip.
+        """
+        self.known: dict[str, int] = {}
+        self.steps = _Table()
+        self.n = self.n_chars = self.n_ids = 0
+        self.chars, self.ids_all = np.empty(0, np.int32), np.empty(0, np.int32)
+        #: By form: its unit's stretch of chars, its skipped pops as bits, its stretch of ids, its pops and how often it was met.
+        self.char_at, self.char_n, self.skips = np.empty(0, np.int64), np.empty(0, np.int32), np.empty(0, np.uint64)
+        self.ids_at, self.ids_n, self.pops, self.met = np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0, np.int64)
+
+    def _forget(self) -> None:
+        """Keep the forms met twice or more since the last time, if those are not too many; the way to each was met as often."""
+        n = self.n
+        keep = self.met[:n] > 1
+        if keep.sum() > 2 * self.limit:
+            keep[:] = False
+        to = np.cumsum(keep) - 1
+        known, old = self.known, self.steps
+        kept = {x: getattr(self, x)[:n][keep] for x in ("char_at", "char_n", "skips", "ids_at", "ids_n", "pops")}
+        chars, ids = self.chars, self.ids_all
+        self._empty()
+        place = np.fromiter(known.values(), np.int64, len(known))
+        self.known = dict(zip(compress(known, keep[place]), to[place[keep[place]]].tolist(), strict=True))
+        from_ = old.keys[old.keys >= 0]
+        into = old.values[old.keys >= 0]
+        both = keep[from_ >> 6] & keep[into]
+        self.steps.put(to[from_[both] >> 6] << 6 | from_[both] & 63, to[into[both]])
+        # Forms of one unit share its characters.
+        first, of = np.unique(kept["char_at"], return_index=True)
+        size = kept["char_n"][of].astype(np.int64)
+        self.chars, self.n_chars = chars[_stretches(first, size)], int(size.sum())
+        kept["char_at"] = (np.cumsum(size) - size)[np.searchsorted(first, kept["char_at"])]
+        self.ids_all, self.n_ids = ids[_stretches(kept["ids_at"], kept["ids_n"])], int(kept["ids_n"].sum())
+        kept["ids_at"] = np.cumsum(kept["ids_n"]) - kept["ids_n"]
+        for x, values in kept.items():
+            setattr(self, x, values)
+        self.n = len(kept["pops"])
+        self.met = np.zeros(self.n, np.int64)
 
     def unit(self, unit: str, skips: int = 0) -> tuple[bytes, int]:
         """Piece ids of one unit, four bytes each, and its pops; bit k of ``skips`` drops pop k."""
@@ -96,23 +194,6 @@ class Pieces:
             out = [i for x, got in zip(syms, out, strict=True) for i in ([self.byte[c] for c in x.encode("utf-8", "replace")] if got is None else (got,))]
         return array("I", out).tobytes(), pops
 
-    def _plain(self, units: list[str]) -> None:
-        """Make units known; single words of whole pieces by the library."""
-        if len(self.known) + len(units) > self.limit:  # what is still in use moves on from the old table
-            self.old, self.known = self.known, {}
-        known, old, whole = self.known, self.old, self.whole
-        new = []
-        for u in units:
-            got = old.get(u)
-            if got is not None:
-                known[u] = got
-            elif u[0] == " " and whole.issuperset(word := u[1:]) and word:
-                new.append(word)
-            else:
-                known[u] = self.unit(u)
-        for word, ids in zip(new, self.library(new) if new else (), strict=True):
-            known[" " + word] = array("I", ids).tobytes(), len(word) + 1 - len(ids)
-
     def _short(self, text: str, skips: int) -> tuple[list[str], int]:
         """The agenda as a list of the neighbours' orders; the smallest, leftmost one is next."""
         get = self.order.get
@@ -167,205 +248,209 @@ class Pieces:
         return [text[a : end[a]] for a in range(n) if end[a]], pop
 
     def _merges(self) -> None:
-        """What two neighbouring pieces become, by their ids in one number, and the pieces of single characters."""
-        made = [(self.ids[a] << 32 | self.ids[b], o, self.ids[x]) for x, o in self.order.items() for k in range(1, len(x)) if (a := x[:k]) in self.ids and (b := x[k:]) in self.ids]
-        made.sort()
-        key = np.array([m[0] for m in made], np.int64)
-        # Orders as ranks, equal where they are; a table by hash, with as many probes as its fullest chain asks for.
-        self.last = np.int32(2**31 - 1)
-        rank = np.unique([m[1] for m in made], return_inverse=True)[1].astype(np.int32)
-        bits = max(4, (4 * len(made)).bit_length())
-        self.slot_shift = np.uint64(64 - bits)
-        self.slot_key = np.full((1 << bits) + 64, -1, np.int64)
-        self.slot_order, self.slot_made = np.full(len(self.slot_key), self.last), np.zeros(len(self.slot_key), np.int32)
-        self.probes, left, at = 0, np.arange(len(made)), self._slot(key)
-        while len(left):
-            free = np.flatnonzero(self.slot_key[at] < 0)
-            _, first = np.unique(at[free], return_index=True)
-            put = free[first]
-            k, to = left[put], at[put]
-            self.slot_key[to], self.slot_order[to], self.slot_made[to] = key[k], rank[k], np.array([made[i][2] for i in k.tolist()], np.int32)
-            rest = np.ones(len(left), bool)
-            rest[put] = False
-            left, at = left[rest], at[rest] + 1
-            self.probes += 1
-        self.piece_of = np.full(0x110000, -1, np.int32)
-        for x in self.whole | {_SPACE} & self.ids.keys():
-            self.piece_of[ord(x)] = self.ids[x]
-
-    def _slot(self, key: np.ndarray) -> np.ndarray:
-        return ((key.view(np.uint64) * np.uint64(_STEP)) >> self.slot_shift).astype(np.int64)
-
-    def _joined(self, left: np.ndarray, right: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Order and id of what the neighbours become; the largest order where they become nothing."""
-        key = left.astype(np.int64) << 32 | right.astype(np.uint32)
+        """What two neighbouring pieces become, by their ids in one number, and what characters are in an agenda."""
+        made = {self.ids[a] << 32 | self.ids[b]: (o, self.ids[x]) for x, o in self.order.items() for k in range(1, len(x)) if (a := x[:k]) in self.ids and (b := x[k:]) in self.ids}
+        # Orders as ranks, equal where they are.
+        rank = np.unique([o for o, _ in made.values()], return_inverse=True)[1].astype(np.int64)
+        self.merges = _Table(len(made))
+        self.merges.put(np.array(list(made), np.int64), rank << 32 | np.array([i for _, i in made.values()], np.int64))
+        #: Pieces, or below -1 what has none: -2 less the code point.
+        self.piece_of = np.arange(-2, -2 - 0x110000, -1, dtype=np.int32)
+        for x, i in self.ids.items():
+            if len(x) == 1:
+                self.piece_of[ord(x)] = i
+        self.piece_of[ord(" ")], self.piece_of[ord(_SPACE)] = self.piece_of[ord(_SPACE)], -2 - ord(_SPACE)
+        #: Characters of pieces that are none themselves; units of these go by their text.
+        self.odd = {c for x in self.ids for c in x} - self.ids.keys()
+        if _SPACE in self.odd:
+            self.odd.add(" ")
+
+    def _joined(self, left: np.ndarray, right: np.ndarray, place: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The agenda's number and the id of what the neighbours become; numbers go by order, then place."""
+        key = left.astype(np.int64) << 32 | right
         key[right < 0] = -2
-        at = self._slot(key)
-        open_ = np.flatnonzero((self.slot_key[at] != key) & (self.slot_key[at] >= 0))
-        for _ in range(self.probes):
-            if not len(open_):
-                break
-            at[open_] += 1
-            found = self.slot_key[at[open_]]
-            open_ = open_[(found != key[open_]) & (found >= 0)]
-        return np.where(self.slot_key[at] == key, self.slot_order[at], self.last), self.slot_made[at]
+        found = self.merges.find(key)
+        return np.where(found < 0, _LAST, (found >> 32 << 6 | place)).astype(np.int32), found.astype(np.int32)
 
-    def _many(self, texts: list[str], key: np.ndarray, skip: np.ndarray) -> Iterator[tuple[int, bytes, int, int]]:
-        """(number, ids, pops, skipped pops) of units of whole pieces, all agendas in step: every round is one pop of each.
+    def _many(self, start: np.ndarray, size: np.ndarray, skips: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(ids in a row, their number, pops) of units, all agendas in step: every round is one pop of each.
 
-        ``skip`` holds the first pop that each skips; the next ones are drawn when they are reached.  A unit's pieces
-        stay where they start and are chained, so a merge touches its neighbours alone.
+        ``start`` and ``size`` are the units' stretches of characters; bit k of ``skips`` drops pop k.  Units are columns.
+        A unit's pieces stay where they start and are chained, so a merge touches its neighbours alone.
         """
-        size = np.fromiter(map(len, texts), np.int64, len(texts))
-        n, width = len(texts), int(size.max())
-        x = np.full((n, width + 1), -1, np.int32)  # the last place is the end of every chain
-        x[np.arange(width + 1) < size[:, None]] = self.piece_of[np.frombuffer("".join(texts).encode("utf-32-le"), np.uint32)]
-        order, made = (z.reshape(n, width) for z in self._joined(x[:, :-1].reshape(-1), x[:, 1:].reshape(-1)))
-        order, made, x = order.copy(), made.copy(), x.reshape(-1)
-        after = np.tile(np.arange(1, width + 2, dtype=np.int32), n)
-        before = np.tile(np.arange(-1, width, dtype=np.int32), n)
-        alive = x >= 0
-        drawn, mask, pops = np.zeros(n, np.int64), np.zeros(n, np.uint64), np.zeros(n, np.int64)
-        flat, joins = order.reshape(-1), made.reshape(-1)
-        row, pop = np.arange(n), 0
-        while len(row):
-            best = order[row].argmin(axis=1) if len(row) < n else order.argmin(axis=1)
-            going = flat[row * width + best] != self.last
-            if not going.all():
-                pops[row[~going]] = pop
-                row, best = row[going], best[going]
-            out = skip[row] == pop
-            hit = row[out]
-            if len(hit):
-                flat[hit * width + best[out]] = self.last
-                drawn[hit] += 1
-                if pop < 64:
-                    mask[hit] |= np.uint64(1 << pop)
-                skip[hit] = pop + 1 + self._gap(key[hit], drawn[hit])
-                best = best[~out]
-                at = row[~out]
-            else:
-                at = row
-            cell = at * (width + 1)
-            a = cell + best
-            b = cell + after[a]
-            c = cell + after[b]
-            x[a] = piece = joins[at * width + best]
-            alive[b] = False
-            # The second piece's own place in the agenda goes with it.
-            inner = b - cell
-            flat[at * width + np.minimum(inner, width - 1)] = self.last
-            after[a] = c - cell
-            before[c] = best
-            flat[at * width + best], joins[at * width + best] = self._joined(piece, x[c])
-            has = np.flatnonzero(before[a] >= 0)
-            if len(has):
-                p = before[a[has]].astype(np.int64)
-                to = at[has] * width + p
-                flat[to], joins[to] = self._joined(x[cell[has] + p], piece[has])
+        n, width = len(size), int(size.max())
+        rows = np.arange(width + 1)[:, None]
+        inside = rows < size
+        x = np.full((width + 1, n), -1, np.int32)  # the last place is the end of every chain
+        x[inside] = self.chars[(start + rows)[inside]]
+        agenda, made = self._joined(x[:-1].reshape(-1), x[1:].reshape(-1), np.repeat(rows[:-1, 0], n))
+        by_row, x = agenda.reshape(width, n), x.reshape(-1)
+        after, before = np.arange(n, n * (width + 2)), np.arange(-n, n * width)
+        pops, pop, any_skip = np.zeros(n, np.int64), 0, bool(skips.any())
+        while True:
+            best = by_row.min(axis=0)
+            going = np.flatnonzero(best != _LAST)
+            if not len(going):
+                break
+            a = (best[going] & 63).astype(np.int64) * n + going
             pop += 1
-        x, alive = x.reshape(n, width + 1), alive.reshape(n, width + 1)
-        lens = alive.sum(axis=1)
-        ids = x[alive].astype("<u4").tobytes()
-        ends = (4 * np.cumsum(lens)).tolist()
-        return zip(range(n), map(ids.__getitem__, map(slice, [0, *ends], ends)), pops.tolist(), mask.tolist(), strict=True)
-
-    def _gap(self, at: np.ndarray, nth: np.ndarray) -> np.ndarray:
+            pops[going] = pop
+            if any_skip and pop <= _DEEP:
+                out = (skips[going] >> np.uint64(pop - 1) & np.uint64(1)).astype(bool)
+                agenda[a[out]] = _LAST
+                a = a[~out]
+            b = after[a]
+            c = after[b]
+            x[a] = piece = made[a]
+            # The second piece's own place in the agenda goes with it.
+            x[b], agenda[b] = -1, _LAST
+            after[a], before[c] = c, a
+            p = before[a]
+            has = np.flatnonzero(p >= 0)
+            p = p[has]
+            cell = np.concatenate([a, p])
+            agenda[cell], made[cell] = self._joined(np.concatenate([piece, x[p]]), np.concatenate([x[c], piece[has]]), cell // n)
+        x = x.reshape(width + 1, n).T
+        alive = x != -1
+        return x[alive], alive.sum(axis=1), pops
+
+    def _learn(self, char_at: np.ndarray, char_n: np.ndarray, skips: np.ndarray) -> np.ndarray:
+        """Numbers of new forms, whose agendas run in groups of like length."""
+        new = np.arange(self.n, self.n + len(char_at))
+        by_size = np.argsort(char_n, kind="stable")
+        for lo in range(0, len(new), _GROUP):
+            part = by_size[lo : lo + _GROUP]
+            ids, lens, pops = self._many(char_at[part], char_n[part], skips[part])
+            none = np.flatnonzero(ids < 0)
+            if len(none):  # characters without a piece become byte pieces
+                put = [[self.byte[b] for b in chr(c).encode("utf-8", "replace")] for c in (-2 - ids[none]).tolist()]
+                each = np.ones(len(ids), np.int64)
+                each[none] = list(map(len, put))
+                ids, lens = np.repeat(ids, each), np.add.reduceat(each, np.cumsum(lens) - lens)
+                ids[_stretches((np.cumsum(each) - each)[none], each[none])] = list(chain.from_iterable(put))
+            self._add(char_at[part], char_n[part], skips[part], ids, lens, pops)
+        out = np.empty_like(new)
+        out[by_size] = new
+        return out
+
+    def _add(self, char_at: np.ndarray, char_n: np.ndarray, skips: np.ndarray, ids: np.ndarray, lens: np.ndarray, pops: np.ndarray) -> None:
+        n = self.n
+        self.char_at, self.char_n, self.skips = _with(self.char_at, n, char_at), _with(self.char_n, n, char_n), _with(self.skips, n, skips)
+        self.ids_at, self.ids_n = _with(self.ids_at, n, np.cumsum(lens) - lens + self.n_ids), _with(self.ids_n, n, lens)
+        self.pops, self.met = _with(self.pops, n, pops), _with(self.met, n, np.zeros(len(pops), np.int64))
+        self.ids_all = _with(self.ids_all, self.n_ids, ids)
+        self.n, self.n_ids = n + len(pops), self.n_ids + len(ids)
+
+    def _meet(self, units: list[str]) -> None:
+        """Make units known."""
+        size = np.fromiter(map(len, units), np.int64, len(units))
+        at = self.n_chars + np.cumsum(size) - size
+        self.chars = _with(self.chars, self.n_chars, self.piece_of[np.frombuffer("".join(units).encode("utf-32-le", "surrogatepass"), "<u4")])
+        self.n_chars += int(size.sum())
+        self.known.update(zip(units, self._learn(at, size, np.zeros(len(units), np.uint64)).tolist(), strict=True))
+
+    def _step(self, key: np.ndarray) -> np.ndarray:
+        """The forms with one more skip, for (form, pop) as a number, where no step is known."""
+        form = key >> 6
+        to = self._learn(self.char_at[form], self.char_n[form], self.skips[form] | np.uint64(1) << (key & 63).astype(np.uint64))
+        self.steps.put(key, to)
+        return to
+
+    def _gap(self, at: np.ndarray, nth: int | np.ndarray) -> np.ndarray:
         """The nth run of pops without a skip, of each key."""
-        return self._mixed(at + nth.astype(np.uint64) * np.uint64(_MIX_B))
-
-    def _gaps(self, at: np.ndarray, *nth: int) -> np.ndarray:
-        """A row for each of the nth runs of pops without a skip, for keys of occurrences."""
-        return self._mixed(at + np.array([[n * _MIX_B % 2**64] for n in nth], np.uint64))
-
-    def _mixed(self, x: np.ndarray) -> np.ndarray:
+        x = at + (np.uint64(nth * _MIX_B % 2**64) if isinstance(nth, int) else nth.astype(np.uint64) * np.uint64(_MIX_B))
         x = (x ^ x >> np.uint64(30)) * np.uint64(_MIX_A)
         x = (x ^ x >> np.uint64(27)) * np.uint64(_MIX_B)
         x ^= x >> np.uint64(31)
         # At most 53 bits and above 0, so the logarithm is finite.
         return (np.log(((x >> np.uint64(11)) + np.uint64(1)) * 2.0**-53) * self.per_gap).astype(np.int64)
 
-    def _dropped(self, units: list[str], got: list[tuple[bytes, int]], doc: int | None, later: list[tuple]) -> None:
-        """Put the units' forms under their own skips into ``got``, which holds those without.
-
-        Forms that nobody remembers are left to ``later``: (got, place, unit, key, first skip).
-        """
-        name = f"{self.seed} {doc}".encode()
-        start = np.uint64(zlib.crc32(name) << 32 | zlib.crc32(name, 1))
-        at = (np.arange(len(units), dtype=np.uint64) + start) * np.uint64(_STEP)
-        first = self._gaps(at, 0)[0]
-        hit = np.flatnonzero(first < np.array(list(map(itemgetter(1), got))))
-        if not len(hit):
-            return
-        at = at[hit]
-        gaps = [first[hit].tolist(), *self._gaps(at, 1, 2, 3, 4).tolist()]
-        forms, old, whole = self.forms, self.old_forms, self.whole
-        for a, k in enumerate(hit.tolist()):
-            u, pop, n, pops = units[k], gaps[0][a], 0, got[k][1]
-            skips, long = 0, len(u) > _LONG
-            while pop < pops:
-                skips |= 1 << pop
-                n += 1
-                pop += 1 + (gaps[n][a] if n < 5 else int(self._gaps(at[a : a + 1], n)[0, 0]))
-                key = u, skips
-                form = None if long else forms.get(key)
-                if form is None and not long and old and (form := old.get(key)) is not None:
-                    forms[key] = form
-                if form is None:
-                    if not long and whole.issuperset(u.lstrip(" ")):
-                        later.append((got, k, u, at[a], gaps[0][a]))
-                    else:
-                        got[k] = self._alone(u, skips, pop, n, at[a : a + 1])
-                    break
-                got[k], pops = form, form[1]
-
-    def _alone(self, u: str, skips: int, pop: int, n: int, at: np.ndarray) -> tuple[bytes, int]:
-        """One unit's form; its agenda takes all skips as far as pops seldom reach, and runs again if they went beyond."""
-        form, pops = None, len(u)
-        while form is None or pop < pops:
-            while pop < pops:
-                skips |= 1 << pop
-                n += 1
-                pop += 1 + int(self._gaps(at, n)[0, 0])
-            form = self.unit(u, skips)
-            pops = form[1]
-        return form
-
-    def _settle(self, later: list[tuple]) -> None:
-        """The forms that were left, in groups of like length."""
-        later.sort(key=lambda x: len(x[2]))
-        for lo in range(0, len(later), _GROUP):
-            part = later[lo : lo + _GROUP]
-            at, skip = np.array([x[3] for x in part], np.uint64), np.array([x[4] for x in part], np.int64)
-            for k, ids, pops, skips in self._many([x[2].replace(" ", _SPACE) for x in part], at, skip):
-                got, place, u, *_ = part[k]
-                got[place] = form = ids, pops
-                if pops <= 64:
-                    self.forms[u, skips] = form
-        if len(self.forms) >= self.limit:
-            self.old_forms, self.forms = self.forms, {}
+    def _alone(self, unit: str, at: np.ndarray) -> np.ndarray:
+        """The ids of one occurrence that is not remembered."""
+        skips = 0
+        if self.rate > 0:
+            # A pop takes a candidate away; there is one between two characters, and a merge makes at most two.
+            most = 3 * len(unit)
+            bits, pop, nth = np.zeros(most, np.uint8), -1, 0
+            while pop < most:
+                to = pop + np.cumsum(1 + self._gap(at, np.arange(nth, nth + 1024)))
+                bits[to[to < most]] = 1
+                pop, nth = int(to[-1]), nth + 1024
+            skips = int.from_bytes(np.packbits(bits, bitorder="little").tobytes(), "little")
+        return np.frombuffer(self.unit(unit, skips)[0], np.uint32).astype(np.int32)
+
+    def _together(self, units: list[str], at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(ids in a row, their number by unit) of occurrences, by the keys of their draws."""
+        form = np.fromiter(map(self.known.get, units, repeat(-1)), np.int64, len(units))
+        new = np.flatnonzero(form < 0)
+        if len(new):
+            names = list(map(units.__getitem__, new.tolist()))
+            fresh = [u for u in dict.fromkeys(names) if len(u) <= _LONG and (not self.odd or self.odd.isdisjoint(u))]
+            if fresh:
+                self._meet(fresh)
+            form[new] = np.fromiter(map(self.known.get, names, repeat(-1)), np.int64, len(names))
+        alone = np.flatnonzero(form < 0)
+        if self.n:
+            np.add.at(self.met, form[form >= 0], 1)
+        if self.rate > 0 and self.n:
+            skip, nth = self._gap(at, 0), 0
+            on = np.flatnonzero((skip < self.pops[form]) & (form >= 0))
+            skip = skip[on]
+            while len(on):
+                deep = skip >= _DEEP
+                if deep.any():
+                    alone = np.concatenate([alone, on[deep]])
+                    on, skip = on[~deep], skip[~deep]
+                key = form[on] << 6 | skip
+                to = self.steps.find(key)
+                miss = np.flatnonzero(to < 0)
+                if len(miss):
+                    ask, back = np.unique(key[miss], return_inverse=True)
+                    to[miss] = self._step(ask)[back]
+                np.add.at(self.met, to, 1)
+                form[on] = to
+                nth += 1
+                skip += 1 + self._gap(at[on], nth)
+                more = skip < self.pops[to]
+                on, skip = on[more], skip[more]
+        if not len(alone):
+            return self.ids_all[_stretches(self.ids_at[form], self.ids_n[form])], self.ids_n[form]
+        rest = np.ones(len(units), bool)
+        rest[alone] = False
+        own = [self._alone(units[k], at[k : k + 1]) for k in alone.tolist()]
+        start, lens = np.zeros(len(units), np.int64), np.zeros(len(units), np.int64)
+        start[rest], lens[rest] = self.ids_at[form[rest]], self.ids_n[form[rest]]
+        lens[alone] = size = np.array(list(map(len, own)), np.int64)
+        start[alone] = self.n_ids + np.cumsum(size) - size
+        return np.concatenate([self.ids_all[: self.n_ids], *own])[_stretches(start, lens)], lens
 
     def packed_all(self, items: Iterable[tuple[str, int | None]]) -> Iterator[bytes]:
         """Piece ids of every (text, document), four bytes each; texts go together so that their agendas run in step."""
-        held: list[list[tuple[bytes, int]]] = []
-        later: list[tuple] = []
-        size = 0
+        held: list[str] = []
+        sizes: list[int] = []
+        starts: list[int] = []
         for text, doc in items:
             units = _UNITS.findall(" " + text) if text else []
-            got = list(map(self.known.get, units))
-            if None in got:
-                self._plain(list({u for u, x in zip(units, got, strict=True) if x is None}))
-                got = [self.known[u] if x is None else x for u, x in zip(units, got, strict=True)]
-            if self.rate > 0 and got:
-                self._dropped(units, got, doc, later)
-            held.append(got)
-            size += len(got)
-            if len(later) >= _GROUP or size > 1 << 18:
-                self._settle(later)
-                yield from (b"".join(map(itemgetter(0), x)) for x in held)
-                held, later, size = [], [], 0
-        self._settle(later)
-        yield from (b"".join(map(itemgetter(0), x)) for x in held)
+            name = f"{self.seed} {doc}".encode()
+            held += units
+            sizes.append(len(units))
+            starts.append(zlib.crc32(name) << 32 | zlib.crc32(name, 1))
+            if len(held) > _TOGETHER:
+                yield from self._packed(held, sizes, starts)
+                held, sizes, starts = [], [], []
+        yield from self._packed(held, sizes, starts)
+
+    def _packed(self, units: list[str], sizes: list[int], starts: list[int]) -> Iterator[bytes]:
+        """The same for texts of units, by the starts of their keys."""
+        if self.n > 4 * self.limit:
+            self._forget()
+        size = np.array(sizes, np.int64)
+        ends = np.cumsum(size)
+        place = np.arange(len(units)) - np.repeat(ends - size, size)
+        ids, lens = self._together(units, (place.astype(np.uint64) + np.repeat(np.array(starts, np.uint64), size)) * np.uint64(_STEP)) if units else (np.empty(0, np.int32), size[:0])
+        out = memoryview(ids.astype("<u4").tobytes())
+        cuts = (4 * np.concatenate([[0], np.cumsum(lens)])[ends]).tolist()
+        return (bytes(out[a:z]) for a, z in zip([0, *cuts], cuts, strict=False))
 
     def packed(self, text: str, doc: int | None = 0) -> bytes:
         return next(self.packed_all([(text, doc)]))
@@ -375,8 +460,9 @@ class Pieces:
         out.frombytes(self.packed(text, doc))
         return out.tolist()
 
-    def decode(self, ids: list[int]) -> str:
-        return b"".join(map(self.raw.__getitem__, ids)).decode("utf-8", "replace")[1:]
+    def decode(self, ids: list[int] | np.ndarray) -> str:
+        ids = np.asarray(ids, np.int64)
+        return self.raw_all[_stretches(self.raw_at[ids], self.raw_size[ids])].tobytes().decode("utf-8", "replace")[1:]
 
 
 @contextlib.contextmanager
@@ -433,7 +519,7 @@ def digest(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rate
             of = b["i"].astype("Int64")
             with _no_collection():
                 for i, t, ids in zip(of, b["t"], p.packed_all(zip(b["t"], of, strict=True)), strict=True):
-                    rows.append((i, len(ids) // 4, zlib.crc32(ids), p.decode(np.frombuffer(ids, "<u4").tolist()) == t))
+                    rows.append((i, len(ids) // 4, zlib.crc32(ids), p.decode(np.frombuffer(ids, "<u4")) == t))
             yield pd.DataFrame(rows, columns=["doc_id", "n_ids", "ids_crc32", "lossless"]).astype({"doc_id": "Int64"})
 
     src = docs.select(F.col(id_col).cast("long").alias("i"), text_of(text_col).alias("t"))

@@ -673,6 +673,75 @@ def test_dropout_cuts_every_occurrence_on_its_own(spark):
     assert len({tuple(r["ids"]) for r in rows}) > 5
 
 
+def by_occurrence(p, text, doc):
+    """Each unit by the list agenda (the heap's for long ones), its skips drawn one after another."""
+    name, out = f"{p.seed} {doc}".encode(), []
+    start = zlib.crc32(name) << 32 | zlib.crc32(name, 1)
+    for k, u in enumerate(PD._UNITS.findall(" " + text) if text else []):
+        at, skips, pop, nth = np.array([(start + k) * PD._STEP % 2**64], np.uint64), 0, -1, 0
+        while p.rate and (pop := pop + 1 + int(p._gap(at, nth)[0])) < 3 * len(u):  # more pops there are not
+            skips |= 1 << pop
+            nth += 1
+        out.append(p.unit(u, skips)[0])
+    return b"".join(out)
+
+
+def test_agendas_in_step_equal_the_list_agenda(docs, odd, monkeypatch):
+    """Over groups of any size, with few forms remembered, with characters without a piece, long units and odd characters."""
+    rows = [(t or "", d) for d, t in texts(docs)[:25] + texts(odd)]
+    rows.append(("日本語 naïve\u2581x  \n\n \U0001f600ab " + "x" * 48 + " " + "y" * 47 + " internationalisationsandthetransformations" * 40 + " " + "ab" * 700 + "\n", 3))
+    for rate in (0.0, 0.1, 0.6, 1.0):
+        p = PD.Pieces(PD.default_model(), rate=rate)
+        want = [by_occurrence(p, t, d) for t, d in rows]
+        assert list(p.packed_all(rows)) == want
+        p.odd = {"e"}
+        p._empty()
+        assert list(p.packed_all(rows)) == want
+        few = PD.Pieces(PD.default_model(), rate=rate, limit=400)
+        forgot = []
+        monkeypatch.setattr(few, "_forget", lambda f=few._forget, few=few, forgot=forgot: f() or forgot.append(few.n))
+        monkeypatch.setattr(PD, "_TOGETHER", 300)
+        assert list(few.packed_all(rows * 2)) == want * 2 and forgot and few.n < 4000
+        monkeypatch.setattr(PD, "_TOGETHER", 1 << 17)
+        assert rate in (0.0, 1.0) or max(forgot) > 0
+        shallow = PD.Pieces(PD.default_model(), rate=rate)
+        monkeypatch.setattr(PD, "_DEEP", 4)
+        assert list(shallow.packed_all(rows)) == want
+        monkeypatch.setattr(PD, "_DEEP", 64)
+
+
+def test_remembered_texts_run_no_agenda_again(docs, monkeypatch):
+    """Every form on the way to an occurrence's own is remembered with it."""
+    rows = [(t, d) for d, t in texts(docs)[:60]]
+    p, runs = PD.Pieces(PD.default_model(), rate=0.3), []
+    first = list(p.packed_all(rows))
+    for name in ("_many", "unit"):
+        f = getattr(p, name)
+        monkeypatch.setattr(p, name, lambda *a, f=f, name=name: runs.append(name) or f(*a))
+    assert list(p.packed_all(rows)) == first and not runs
+
+
+def test_long_units_are_cut_in_bounded_time():
+    import time
+
+    p, text = PD.Pieces(PD.default_model(), rate=0.9), "ab" * 1_000_000
+    at = time.process_time()
+    ids = p.encode(text, 5)
+    assert p.decode(ids) == text and time.process_time() - at < 40
+
+
+def test_table_equals_a_dict():
+    rng = np.random.default_rng(3)
+    keys = rng.permutation(np.unique(rng.integers(0, 2**62, 5000)))
+    table, want = PD._Table(1), {}
+    for part in np.array_split(keys[:4000], 37):
+        value = rng.integers(0, 2**40, len(part))
+        table.put(part, value)
+        want |= dict(zip(part.tolist(), value.tolist(), strict=True))
+    assert table.find(keys).tolist() == [want.get(k, -1) for k in keys.tolist()]
+    assert table.find(np.array([-2, -7], np.int64)).tolist() == [-1, -1] and 2 * table.n <= len(table.keys)
+
+
 # ---------------------------------------------------------------- 9 near-duplicates
 
 
