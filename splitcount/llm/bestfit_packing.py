@@ -20,15 +20,18 @@ import os
 import re
 import zlib
 from array import array
-from collections.abc import Iterator
+from collections import deque
+from collections.abc import Iterable, Iterator
+from itertools import chain
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from splitcount.llm.common import cut, remembered, text_of
+from splitcount.llm.common import cut, remembered, small_batches, text_of
 
 CAPACITY = 4096
 #: Words above so many bytes are not remembered, and words of so many bytes altogether make the table thin out.
@@ -112,12 +115,13 @@ class WordIds:
         if len(self.parts) > self.limit:
             self.parts.clear()
         parts = self.parts
-        new = sorted({p for c in cuts if c for p in c if p not in parts})
+        shared = {p for c in cuts if c and len(c) > 1 for p in c}
+        new = sorted((shared | {c[0] for c in cuts if c and len(c) == 1}) - parts.keys())
         parts.update(zip(new, self._encode_parts(new), strict=True))
         odd = iter(self._encode([t for t, c in zip(text, cuts, strict=True) if c is None]))
         out = [next(odd) if c is None else parts[c[0]] if len(c) == 1 else b"".join(map(parts.__getitem__, c)) for c in cuts]
         for p in new:
-            if len(p) > _LONG:  # long parts are forgotten at once
+            if len(p) > _LONG or p not in shared:  # long parts are forgotten at once, as are words that the table holds whole
                 del parts[p]
         return out
 
@@ -131,7 +135,7 @@ class WordIds:
         self.uses = np.concatenate((self.uses, np.zeros(len(got), np.int32)))
         self.pool = np.concatenate((self.pool, np.frombuffer(b"".join(got), np.uint32)))
 
-    def ids(self, texts: list[str]) -> Iterator[np.ndarray]:
+    def ids(self, texts: Iterable[str]) -> Iterator[np.ndarray]:
         """Ids per text; texts are taken in groups so that a group's new words are encoded together."""
         group: list[list[bytes]] = []
         size = 0
@@ -183,6 +187,18 @@ def best_fit(sizes: np.ndarray, capacity: int) -> tuple[np.ndarray, np.ndarray,
 
 
 _PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long, bin long, offset long, open boolean"
+_ARROW = pa.schema([(name, {"long": pa.int64(), "int": pa.int32(), "boolean": pa.bool_()}[kind]) for name, kind in map(str.split, _PIECES.split(", "))])
+#: Rows of a batch that are Python strings at once.
+_SLICE = 100
+
+
+def _texts(batches: Iterator[pa.RecordBatch], docs: deque[int | None]) -> Iterator[str]:
+    """The texts, a few of them outside Arrow at a time and no batch kept while the next one is read; their ids go to ``docs``."""
+    while (batch := next(batches, None)) is not None:
+        for at in range(0, batch.num_rows, _SLICE):
+            docs.extend(batch["i"].slice(at, _SLICE).to_pylist())
+            yield from batch["t"].slice(at, _SLICE).to_pylist()
+        del batch
 
 
 def _bin_numbers(round_no: int, n: int, first: int = 0) -> np.ndarray:
@@ -192,11 +208,11 @@ def _bin_numbers(round_no: int, n: int, first: int = 0) -> np.ndarray:
 
 
 def _pack_local(path: str, capacity: int, end_id: int, slack: int, hold: int):
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rows: list[tuple] = []
         used = 0
 
-        def flush() -> pd.DataFrame:
+        def flush() -> pa.RecordBatch:
             nonlocal rows, used
             f = pd.DataFrame(rows, columns=["doc_id", "piece", "start", "length", "ids_crc32"])
             f["doc_id"] = f["doc_id"].astype("Int64")
@@ -204,15 +220,18 @@ def _pack_local(path: str, capacity: int, end_id: int, slack: int, hold: int):
             f["bin"], f["offset"] = _bin_numbers(0, len(fill), used)[b], o
             f["open"] = fill[b] < capacity - slack
             rows, used = [], used + len(fill)
-            return f
-
-        for batch in batches:
-            ids = remembered(("word ids", path), lambda: WordIds(path)).ids(batch["t"].tolist())
-            for doc, got in zip(batch["i"].astype("Int64"), ids, strict=True):
-                got = np.append(got, np.uint32(end_id)).astype("<u4")
-                for k, at in enumerate(range(0, len(got), capacity)):
-                    part = got[at : at + capacity]
-                    rows.append((doc, k, at, len(part), zlib.crc32(part.tobytes())))
+            return pa.RecordBatch.from_pandas(f, _ARROW, preserve_index=False)
+
+        docs: deque[int | None] = deque()
+        texts = _texts(batches, docs)
+        first = next(texts, None)
+        if first is None:
+            return
+        for got in remembered(("word ids", path), lambda: WordIds(path)).ids(chain([first], texts)):
+            doc, got = docs.popleft(), np.append(got, np.uint32(end_id)).astype("<u4")
+            for k, at in enumerate(range(0, len(got), capacity)):
+                part = got[at : at + capacity]
+                rows.append((doc, k, at, len(part), zlib.crc32(part.tobytes())))
             if len(rows) >= hold:
                 yield flush()
         if rows:
@@ -258,7 +277,8 @@ def pack(
     ``round_rows``: pieces of open bins per task in the merge rounds.
     """
     src = docs.select(F.col(id_col).cast("long").alias("i"), text_of(text_col).alias("t"))
-    state = cut(src.mapInPandas(_pack_local(tokenizer or default_tokenizer(), capacity, end_id, slack, hold), _PIECES))
+    with small_batches(docs.sparkSession):
+        state = cut(src.mapInArrow(_pack_local(tokenizer or default_tokenizer(), capacity, end_id, slack, hold), _PIECES))
     done = [state.where(~F.col("open"))]
     left = state.where("open")
     bins_before = None

@@ -11,15 +11,19 @@ Conventions for every operator in this subpackage:
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
+import gc
 from collections.abc import Callable
 from typing import TypeVar
 
+import pyarrow as pa
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
-from splitcount.session import cut, shared_dir, table
+from splitcount.session import cut, shared_dir, small_batches, table
 
-__all__ = ["WORD", "cut", "held_out", "remembered", "shared_dir", "table", "text_of"]
+__all__ = ["WORD", "cut", "held_out", "remembered", "shared_dir", "small_batches", "table", "text_of"]
 
 T = TypeVar("T")
 _REMEMBERED: dict = {}
@@ -28,10 +32,15 @@ _REMEMBERED: dict = {}
 def remembered(key: tuple, make: Callable[[], T]) -> T:
     """What a worker keeps from task to task: one operator's vocabulary and word memory at a time.
 
-    Workers outlive stages; the next operator's tables take the place of the last one's instead of adding to them.
+    Workers outlive stages; the next operator's tables take the place of the last one's instead of adding to them, and
+    what the stages before have freed goes back to the system first.
     """
     if key not in _REMEMBERED:
         _REMEMBERED.clear()
+        gc.collect()
+        pa.default_memory_pool().release_unused()
+        with contextlib.suppress(OSError, AttributeError):  # only some C libraries keep it and can let it go
+            ctypes.CDLL(None).malloc_trim(0)
         _REMEMBERED[key] = make()
     return _REMEMBERED[key]
 

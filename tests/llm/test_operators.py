@@ -396,6 +396,41 @@ def test_packing(docs, odd):
     assert BP.pack(odd.limit(0)).count() == 0
 
 
+def test_packing_keeps_little_of_its_input():
+    import gc
+
+    import pyarrow as pa
+
+    made, alive = [], []
+
+    def batches():
+        for k in range(6):
+            gc.collect()
+            alive.append(pa.total_allocated_bytes() - base)
+            texts_ = [f"{'same old words ' * 3000}{k}"] * 100
+            made.append(pa.RecordBatch.from_pydict({"i": pa.array(range(100 * k, 100 * k + 100), pa.int64()), "t": texts_}))
+            yield made.pop()
+
+    base = pa.total_allocated_bytes()
+    run = BP._pack_local(BP.default_tokenizer(), BP.CAPACITY, 1, 16, 100_000)
+    got = [r for b in run(batches()) for r in b.to_pylist()]
+    assert sorted({r["doc_id"] for r in got}) == list(range(600))
+    assert max(alive) < 1 << 20  # a batch has 4.5 MB
+    assert list(run(iter([]))) == []
+    w = BP.WordIds(BP.default_tokenizer())
+    list(w.ids([" ".join(f"{a}{b}{c}" for a in "abcdefgh" for b in "abcdefgh" for c in "abcdefgh") + " abc1"]))
+    assert set(w.parts) == {"abc", "1"}  # words of one part stand in the table already
+
+
+def test_small_batches_for_packing(spark, monkeypatch):
+    key, seen = "spark.sql.execution.arrow.maxRecordsPerBatch", []
+    before, cut_ = spark.conf.get(key), BP.cut
+    monkeypatch.setattr(BP, "cut", lambda df: seen.append(spark.conf.get(key)) or cut_(df))
+    df = spark.createDataFrame([(k, f"word {k}") for k in range(2500)], "doc_id long, text string").coalesce(1)
+    assert BP.pack(df).count() == 2500
+    assert seen[0] == "1000" and spark.conf.get(key) == before
+
+
 def test_packing_in_many_rounds(docs):
     rows = BP.pack(docs.repartition(6), capacity=512, hold=3, round_rows=40).collect()
     check_packing(rows, texts(docs), 512)
